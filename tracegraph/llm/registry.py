@@ -7,6 +7,9 @@ import importlib
 #: module -> query
 MODULES = {
     "quality_mcd": "op1_quality_mcd",
+    "shard_propagation": "op2_balanced_label_propagation",
+    "license_rules": "op6_license_rules",
+    "pii_disclosure": "op7_pii_disclosure",
 }
 
 
