@@ -148,7 +148,8 @@ def _cut(rows: DataFrame, share: float, name: str) -> DataFrame:
     whole = Window.partitionBy("grp")
     run = hist.select("grp", "bin", F.sum("n").over(up).alias("c"), F.sum("n").over(whole).alias("t"))
     edge = F.min(F.when(F.col("c") >= share * F.col("t"), F.col("bin")))
-    return run.groupBy("grp").agg(F.pow(F.lit(2.0), (edge + 1) / 16.0).alias(name))
+    # stored, so that its size is known where it meets the rows: few groups are broadcast, many are not
+    return store(run.groupBy("grp").agg(F.pow(F.lit(2.0), (edge + 1) / 16.0).alias(name)), "mcd-cut").df
 
 
 def estimate(vectors: DataFrame, support: float = 0.75, steps: int = 4) -> DataFrame:
@@ -169,7 +170,7 @@ def estimate(vectors: DataFrame, support: float = 0.75, steps: int = 4) -> DataF
             for j in range(i + 1)
         ],
     )
-    held = store(fit, "mcd-start")
+    held = store(fit, "mcd-start")  # one row for each group
     for step in range(steps + 1):
         rows = vectors.join(held.df, "grp").withColumn("d2", _distance()).select("grp", "d2", *FEATURES)
         share, name = (support, "edge") if step < steps else (0.5, "median")
@@ -205,20 +206,21 @@ def score_quality(
     rows = rows.withColumns({"g2": F.concat_ws("\x01", lang, source), "g1": lang})
     sizes = rows.groupBy("g1", "g2").agg(F.count(F.lit(1)).alias("n2"))
     langs = sizes.groupBy("g1").agg(F.sum("n2").alias("n1"))
-    keys = sizes.join(langs, "g1").select(
+    named = sizes.join(langs, "g1").select(
         "g2",
         F.when(F.col("n2") >= min_group, F.col("g2"))
         .when(F.col("n1") >= min_group, F.concat(F.lit("\x02"), F.col("g1")))
         .otherwise(F.lit("\x03"))
         .alias("grp"),
     )
+    keys = store(named, "mcd-keys").df
     rows = rows.join(keys, "g2")
     pooled = rows.select(
         F.explode(
             F.array_distinct(F.array(F.col("grp"), F.concat(F.lit("\x02"), F.col("g1")), F.lit("\x03")))
         ).alias("grp"),
         *FEATURES,
-    ).join(keys.select("grp").distinct(), "grp", "left_semi")
+    ).join(store(keys.select("grp").distinct(), "mcd-groups").df, "grp", "left_semi")
     fit = estimate(pooled, support, steps)
     judged = rows.join(fit, "grp", "left").withColumn("distance", _distance() / F.greatest(F.col("scale"), F.lit(1e-3)))
     return judged.select(
