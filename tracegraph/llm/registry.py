@@ -10,6 +10,8 @@ MODULES = {
     "shard_propagation": "op2_balanced_label_propagation",
     "license_rules": "op6_license_rules",
     "pii_disclosure": "op7_pii_disclosure",
+    "token_groups": "op8_token_group_join",
+    "packing_nnls": "op10_nnls_packing",
 }
 
 
