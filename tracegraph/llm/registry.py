@@ -8,6 +8,7 @@ import importlib
 MODULES = {
     "quality_mcd": "op1_quality_mcd",
     "shard_propagation": "op2_balanced_label_propagation",
+    "tool_calls": "op3_tool_call_linking",
     "license_rules": "op6_license_rules",
     "pii_disclosure": "op7_pii_disclosure",
     "token_groups": "op8_token_group_join",
