@@ -101,17 +101,14 @@ def base_spans(text: Column) -> Column:
     return F.concat(*[_spans(k, t) for k in KINDS])
 
 
-def _located_words(text: Column) -> Column:
-    """(value, start, end) of each word of a text."""
-
-    def add(acc: Column, x: Column) -> Column:
-        end = acc["at"] + F.length(x)
-        word = F.struct(acc["at"].alias("start"), end.alias("end"), x.alias("value"))
-        return F.struct((end + 1).alias("at"), F.concat(acc["out"], F.array(word)).alias("out"))
-
-    empty = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int,value:string>>").alias("out"))
-    pieces = F.split(text, r"[\x20\x09-\x0D]", -1)
-    return F.filter(F.aggregate(pieces, empty, add, lambda a: a["out"]), lambda w: w["value"] != "")
+def _term_places(text: Column, term: Column) -> Column:
+    """Spans of the places where ``term`` stands as a word: lengths between them add up."""
+    quoted = F.concat(F.lit("\\Q"), F.replace(term, F.lit("\\E"), F.lit("\\E\\\\E\\Q")), F.lit("\\E"))
+    pattern = F.concat(F.lit(r"(?<![^\x20\x09-\x0D])"), quoted, F.lit(r"(?![^\x20\x09-\x0D])"))
+    return let(
+        F.split(text, pattern, -1),
+        lambda s: _located(s, F.array_repeat(term, F.size(s) - 1), F.lit(len(KINDS))),
+    )
 
 
 def find_entities(docs: DataFrame, carry: list[str]) -> DataFrame:
@@ -169,19 +166,29 @@ def disclosing_terms(docs: DataFrame, found: DataFrame, tau: float, z: float, mi
 
 
 def term_spans(found: DataFrame, terms: DataFrame) -> DataFrame:
-    """__row and __more: the spans of disclosing terms, outside the entities themselves."""
-    located = found.where(F.size("__base") > 0).select(
-        "__row", "__base", F.explode(_located_words(F.col("__text"))).alias("w")
+    """__row and __more: the spans of disclosing terms, outside the entities themselves.
+
+    Words are matched without the text; only documents that hold a disclosing term are read again.
+    """
+    hits = found.where(F.size("__base") > 0)
+    words = hits.select(
+        "__row",
+        F.array_distinct(F.transform("__base", lambda s: s["kind"])).alias("kinds"),
+        F.explode(F.array_distinct(F.filter(F.split("__text", SPACE_CLASS), lambda w: w != ""))).alias("term"),
     )
-    joined = located.join(terms.select("term", "kind"), F.col("w.value") == F.col("term"))
-    here = F.exists("__base", lambda s: s["kind"] == F.col("kind"))
-    free = ~F.exists("__base", lambda s: (s["start"] < F.col("w.end")) & (s["end"] > F.col("w.start")))
-    return (
-        joined.where(here & free)
-        .select("__row", F.struct(F.lit(len(KINDS)).alias("kind"), "w.start", "w.end", "w.value").alias("s"))
+    mine = (
+        words.join(terms.select("term", "kind"), "term")
+        .where(F.array_contains("kinds", F.col("kind")))
         .groupBy("__row")
-        .agg(F.array_sort(F.collect_set("s")).alias("__more"))
+        .agg(F.array_sort(F.collect_set("term")).alias("terms"))
+    )
+    located = hits.join(mine, "__row").withColumn(
+        "all", F.flatten(F.transform("terms", lambda t: _term_places(F.col("__text"), t)))
+    )
+    free = F.filter(
+        "all", lambda w: ~F.exists("__base", lambda s: (s["start"] < w["end"]) & (s["end"] > w["start"]))
     )
+    return located.select("__row", F.array_sort(free).alias("__more"))
 
 
 def protected(
