@@ -10,6 +10,7 @@ MODULES = {
     "shard_propagation": "op2_balanced_label_propagation",
     "tool_calls": "op3_tool_call_linking",
     "license_rules": "op6_license_rules",
+    "wrapper_induction": "op5_wrapper_induction",
     "pii_disclosure": "op7_pii_disclosure",
     "token_groups": "op8_token_group_join",
     "packing_nnls": "op10_nnls_packing",
