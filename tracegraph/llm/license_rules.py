@@ -22,9 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import table
-
-#: Every ASCII character outside 0-9 and a-z separates words once A-Z are lowered; others are part of words.
-_TO_WORDS = bytes(b + 32 if 65 <= b <= 90 else b if b > 127 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))
+from .shingles import plain_words
 
 #: Phrases of the contract and their labels.
 BASE = (("cc by", "cc-by"), ("general public license", "gpl"), ("all rights reserved", "reserved"))
@@ -144,8 +142,7 @@ def _gate() -> re.Pattern:
 
 def normalised(text: str | None) -> bytes:
     """The words of a text, lower-cased, each between single spaces."""
-    words = (text or "").encode("utf-8", "surrogatepass").translate(_TO_WORDS).split()
-    return b" " + b" ".join(words) + b" "
+    return b" " + b" ".join(plain_words(text)) + b" "
 
 
 def _places(words: bytes, phrase: bytes) -> list[int]:

@@ -12,6 +12,8 @@ MODULES = {
     "license_rules": "op6_license_rules",
     "wrapper_induction": "op5_wrapper_induction",
     "pii_disclosure": "op7_pii_disclosure",
+    "deleted_interpolation": "op4_deleted_interpolation",
+    "decontamination": "op9_decontamination",
     "token_groups": "op8_token_group_join",
     "packing_nnls": "op10_nnls_packing",
 }

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from functools import lru_cache
-
 import numpy as np
 import xxhash
 
@@ -24,12 +22,16 @@ def words_of(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "surrogatepass").lower().split()
 
 
-_hash = xxhash.xxh3_64_intdigest
+#: Lower case for A-Z; other ASCII than letters and digits separates.
+_PLAIN = bytes(b + 32 if 65 <= b <= 90 else b if b > 127 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))
+
 
+def plain_words(text: str | None) -> list[bytes]:
+    """Words without punctuation, lower-cased."""
+    return (text or "").encode("utf-8", "surrogatepass").translate(_PLAIN).split()
 
-@lru_cache(1 << 17)
-def _word(w: bytes) -> int:
-    return _hash(w)
+
+_hash = xxhash.xxh3_64_intdigest
 
 
 def word_hashes(words: list[bytes]) -> np.ndarray:
