@@ -34,7 +34,9 @@ from .shingles import mix, shingle_set
 
 ROWS = 4
 #: Classes in a block of a bucket; two blocks at most are in a task's memory.
-BLOCK = 128
+BLOCK = 256
+#: Buckets of so many classes are compared in pairs, larger ones in blocks.
+SMALL = 32
 
 
 def band_keys(tokens: np.ndarray, bands: int) -> np.ndarray:
@@ -126,9 +128,7 @@ def _across(blocks: DataFrame, percent: int) -> DataFrame:
         side = group.column("side").to_numpy()
         nodes, comps = group.column("node").to_numpy(), group.column("comp").to_numpy()
         sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in group.column("tokens")]
-        same = key[1].as_py() == key[2].as_py()
-        q = np.flatnonzero(side == 0)
-        m = q if same else np.flatnonzero(side == 1)
+        q, m = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
         a, b = [], []
         if len(q) and len(m):
             counts, inside = open_groups([sets[i] for i in q], [sets[i] for i in m], percent)
@@ -203,11 +203,11 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int, miss: float = 1e-10) -
     last = components(links.df.union(more.df))
     # a component is named after its smallest doc_id
     led = classes.df.select("id", "node").join(last.select(F.col("node").alias("id"), "comp"), "id", "left")
-    least = led.where("comp is not null").groupBy("comp").agg(F.min("node").alias("least"))
+    least = store(led.where("comp is not null").groupBy("comp").agg(F.min("node").alias("least")), "tg-least")
     found = materialise(
-        led.join(least, "comp", "left").select("id", "node", F.coalesce("least", "node").alias("component_id")), "tg-out"
+        led.join(least.df, "comp", "left").select("id", "node", F.coalesce("least", "node").alias("component_id")), "tg-out"
     )
-    for x in (classes, rows, shared, sets, left):
+    for x in (classes, rows, shared, sets, left, least):
         x.drop()
     return seen.join(found, "id", "left").select(
         "doc_id", "n_shingles", "id", "node", F.coalesce("component_id", "doc_id").alias("component_id")
@@ -234,7 +234,7 @@ def _sets_of_classes(docs: DataFrame, n: int, names: DataFrame) -> DataFrame:
 
 def _rest(rows: DataFrame, stars: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Links between components inside the buckets that still hold several."""
-    few = rows.where(f"k <= {BLOCK // 4}")
+    few = rows.where(f"k <= {SMALL}")
     other = few.select("bucket", F.col("node").alias("b"), F.col("comp").alias("cb"))
     small = (
         few.select("bucket", F.col("node").alias("a"), F.col("comp").alias("ca"))
@@ -245,25 +245,38 @@ def _rest(rows: DataFrame, stars: DataFrame, sets: DataFrame, percent: int) -> D
     )
     known = stars.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     pairs = verified(small.join(known, ["a", "b"], "left_anti"), sets, percent)
-    many = rows.where(f"k > {BLOCK // 4}").withColumns(
-        {"blocks": F.ceil(F.col("k") / BLOCK).cast("int")}
-    ).withColumn("mine", F.pmod(F.xxhash64("node", "bucket"), F.col("blocks")).cast("int"))
-    # each block meets every block once, itself included
-    dealt = many.select(
+    many = rows.where(f"k > {SMALL}")
+    # members of a bucket's largest component are linked already: only the others ask, and all are asked
+    sizes = many.groupBy("bucket", "comp", "k").agg(F.count(F.lit(1)).alias("m"))
+    largest = sizes.groupBy("bucket").agg(F.max(F.struct("m", "comp")).alias("top")).select(
+        "bucket", F.col("top.comp").alias("top"), F.col("top.m").alias("m")
+    )
+    dealt = many.join(store(largest, "tg-largest").df, "bucket").select(
+        "bucket",
+        "node",
+        "comp",
+        (F.col("comp") != F.col("top")).alias("asks"),
+        F.ceil(F.col("k") / BLOCK).cast("int").alias("blocks"),
+        F.ceil((F.col("k") - F.col("m")) / BLOCK).cast("int").alias("stray_blocks"),
+        F.xxhash64("node", "bucket").alias("h"),
+    )
+    ask = dealt.where("asks").select(
         "bucket",
+        F.pmod("h", "stray_blocks").cast("int").alias("one"),
+        F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("two"),
+        F.lit(0).alias("side"),
         "node",
         "comp",
-        "mine",
-        F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("theirs"),
-    ).select(
+    )
+    asked = dealt.select(
         "bucket",
-        F.least("mine", "theirs").alias("one"),
-        F.greatest("mine", "theirs").alias("two"),
-        F.when(F.col("mine") <= F.col("theirs"), 0).otherwise(1).alias("side"),
+        F.explode(F.sequence(F.lit(0), F.col("stray_blocks") - 1)).alias("one"),
+        F.pmod("h", "blocks").cast("int").alias("two"),
+        F.lit(1).alias("side"),
         "node",
         "comp",
     )
-    return pairs.union(_across(dealt.join(sets, "node"), percent))
+    return pairs.union(_across(ask.union(asked).join(sets, "node"), percent))
 
 
 def op8_token_group_join(spark: SparkSession, sf_dir: str) -> DataFrame:
