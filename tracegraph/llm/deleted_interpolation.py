@@ -19,7 +19,7 @@ Counts of n-grams grow with the corpus and never reach the driver or a broadcast
 A hot word or copied text is counted inside the batches before anything is sent. N-grams are told apart by hashes of 48 bits
 and the bits of the range.
 
-Defined results: null text counts as empty, its only token is the end; without training tokens every token has the uniform
+Defined results: null text counts as empty, its only token is the end; a null doc_id has the fold of an empty one; without training tokens every token has the uniform
 share; repeated rows are trained on and scored one by one; an empty table gives an empty result; other columns are ignored.
 """
 
@@ -43,6 +43,8 @@ RANGE_TOKENS = 2_000_000
 #: Hashes that no word has but by accident: the end of a text, and the context of its first word.
 END, BEGIN = np.uint64(0x0E4D0E4D0E4D0E4D), np.uint64(0xBE61BE61BE61BE61)
 FOLDS, TEST, HELD = 7, 2, 3
+#: Stands for a null doc_id in a batch.
+NO_ID = -(1 << 63)
 BUCKETS, STEPS = 24, 4
 
 
@@ -64,7 +66,7 @@ def tokenised(docs: DataFrame) -> DataFrame:
                 [(part << 32) | made],
                 [held],
                 [int(sizes.sum())],
-                [np.array([r[0] for r in rows], np.int64).tobytes()],
+                [np.array([NO_ID if r[0] is None else r[0] for r in rows], np.int64).tobytes()],
                 [np.array([r[1] for r in rows], np.uint8).tobytes()],
                 [sizes.tobytes()],
                 [index.astype(np.uint32).tobytes()],
@@ -76,7 +78,7 @@ def tokenised(docs: DataFrame) -> DataFrame:
 
         for batch in batches:
             for doc, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist(), strict=True):
-                fold = zlib.crc32(str(doc).encode()) % FOLDS
+                fold = zlib.crc32(b"" if doc is None else str(doc).encode()) % FOLDS
                 row = np.append(word_hashes(words_of(text)), END)
                 held = fold == HELD
                 open_[held].append((doc, fold, row))
@@ -288,7 +290,7 @@ def scored(batches: DataFrame, answers: DataFrame, bits: int, n: int, v: int, we
         add = lambda x: np.add.reduceat(x, b.first)
         return pa.table(
             {
-                "doc_id": b.docs,
+                "doc_id": pa.array(b.docs, mask=b.docs == NO_ID),
                 "held_out": b.folds == TEST,
                 "n_tokens": b.sizes.astype(np.int64),
                 "n_known": add((word > 0).astype(np.int64)),

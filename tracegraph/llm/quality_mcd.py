@@ -193,13 +193,14 @@ def score_quality(
     steps: int = 4,
     cutoff: float = 160.0,
     min_group: int = 50,
+    carry: tuple[str, ...] = ("doc_id",),
 ) -> DataFrame:
-    """One row per input row: the counts, the base rules' verdict, the robust distance and ``kept``.
+    """One row per input row: ``carry``, the counts, the base rules' verdict, the robust distance and ``kept``.
 
     ``cutoff`` bounds the squared Mahalanobis distance, scaled so that a group's median is that of a
     chi-square law. The distance is null where there is no estimate.
     """
-    stats = store(text_statistics(docs), "mcd-stats").df
+    stats = store(text_statistics(docs, (*carry, "lang", "source")), "mcd-stats").df
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     rows = _vector(stats).withColumn("base_failed", failed)
     lang, source = F.coalesce(F.col("lang"), F.lit("\x00")), F.coalesce(F.col("source"), F.lit("\x00"))
@@ -224,7 +225,7 @@ def score_quality(
     fit = estimate(pooled, support, steps)
     judged = rows.join(fit, "grp", "left").withColumn("distance", _distance() / F.greatest(F.col("scale"), F.lit(1e-3)))
     return judged.select(
-        "doc_id",
+        *carry,
         "n_words",
         "word_chars",
         "n_symbols",
@@ -236,5 +237,13 @@ def score_quality(
     )
 
 
+def keep_quality(docs: DataFrame, **options) -> DataFrame:
+    """The rows of docs that the rules keep. Rows equal in id, text, language and source are judged alike."""
+    key = {"__id": F.coalesce("doc_id", F.lit(-1)), "__key": F.xxhash64("text", "lang", "source")}
+    keyed = docs.withColumns(key)
+    bad = score_quality(keyed, carry=("__id", "__key"), **options).where("not kept").select("__id", "__key").distinct()
+    return keyed.join(store(bad, "mcd-bad").df, ["__id", "__key"], "left_anti").select(*docs.columns)
+
+
 def op1_quality_mcd(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_quality(table(spark, sf_dir, "documents"))

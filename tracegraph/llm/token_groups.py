@@ -57,7 +57,7 @@ def band_keys(tokens: np.ndarray, bands: int) -> np.ndarray:
 
 
 def signatures(docs: DataFrame, n: int, bands: int) -> DataFrame:
-    """doc_id, n_shingles, a 128-bit digest of the set (d1, d2) and the band keys (null without shingles)."""
+    """doc_id, key, n_shingles, a 128-bit digest of the set (d1, d2) and the band keys (null without shingles)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -70,11 +70,12 @@ def signatures(docs: DataFrame, n: int, bands: int) -> DataFrame:
                 keys.append(band_keys(tokens, bands).view(np.int64) if len(tokens) else None)
             longs = lambda x: pa.array(np.array(x, np.uint64).view(np.int64), pa.int64())
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array(sizes, pa.int64()), longs(d1), longs(d2), pa.array(keys, pa.list_(pa.int64()))],
-                ["doc_id", "n_shingles", "d1", "d2", "keys"],
+                [batch.column("doc_id"), batch.column("key"), pa.array(sizes, pa.int64()), longs(d1), longs(d2), pa.array(keys, pa.list_(pa.int64()))],
+                ["doc_id", "key", "n_shingles", "d1", "d2", "keys"],
             )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_shingles long, d1 long, d2 long, keys array<long>")
+    keyed = docs.select("doc_id", F.xxhash64("text").alias("key"), "text")
+    return keyed.mapInArrow(run, "doc_id long, key long, n_shingles long, d1 long, d2 long, keys array<long>")
 
 
 def _linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
@@ -172,7 +173,7 @@ def components(edges: DataFrame, tag: str = "cc") -> DataFrame:
 
 
 def jaccard_groups(docs: DataFrame, n: int, percent: int, miss: float = 1e-10) -> DataFrame:
-    """Per row of docs (doc_id, text): doc_id, n_shingles, id (its class), node (the class's least doc_id), component_id."""
+    """Per row of docs (doc_id, text): doc_id, key (hash of the text), n_shingles, id (its class), node (the class's least doc_id), component_id."""
     made = signatures(docs, n, bands_for(percent / 100, ROWS, miss))
     seen = materialise(made.withColumn("id", F.xxhash64("d1", "d2", "n_shingles")), "tg-sets")
     classes = store(
@@ -210,7 +211,7 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int, miss: float = 1e-10) -
     for x in (classes, rows, shared, sets, left, least):
         x.drop()
     return seen.join(found, "id", "left").select(
-        "doc_id", "n_shingles", "id", "node", F.coalesce("component_id", "doc_id").alias("component_id")
+        "doc_id", "key", "n_shingles", "id", "node", F.coalesce("component_id", "doc_id").alias("component_id")
     )
 
 
@@ -279,6 +280,24 @@ def _rest(rows: DataFrame, stars: DataFrame, sets: DataFrame, percent: int) -> D
     return pairs.union(_across(ask.union(asked).join(sets, "node"), percent))
 
 
+def keep_one(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
+    """The rows of docs, but of each group of near copies only its first document.
+
+    Documents without words stay. Repeated rows of a first document are one document.
+    """
+    ids = {"doc_id": F.coalesce("doc_id", F.lit(-1))}
+    found = store(jaccard_groups(docs.select("doc_id", "text").withColumns(ids), words, percent), "tg-groups").df
+    lone = found.where("n_shingles = 0").select("doc_id", "key", F.lit(1).alias("rows")).distinct()
+    # a component's first class, then its first text: a doc_id may be repeated with other texts
+    first = found.where("n_shingles > 0 and doc_id = component_id").groupBy("component_id").agg(F.min("key").alias("key"))
+    led = found.where("n_shingles > 0").join(store(first, "tg-first").df, ["component_id", "key"]).where("doc_id = component_id")
+    kept = store(lone.union(led.groupBy("doc_id", "key").agg(F.count(F.lit(1)).cast("int").alias("rows"))), "tg-kept").df
+    keyed = docs.withColumns({"__id": ids["doc_id"], "__key": F.xxhash64("text")})
+    joined = keyed.join(kept.select(F.col("doc_id").alias("__id"), F.col("key").alias("__key"), "rows"), ["__id", "__key"])
+    once, more = joined.where("rows = 1"), joined.where("rows > 1").dropDuplicates(["__id", "__key"])
+    return once.unionByName(more).select(*docs.columns)
+
+
 def op8_token_group_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = jaccard_groups(table(spark, sf_dir, "documents"), 4, 85)
     return found.select("doc_id", "n_shingles", "component_id")
