@@ -31,6 +31,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -69,7 +70,7 @@ def tokenised(docs: DataFrame) -> DataFrame:
                 [np.array([NO_ID if r[0] is None else r[0] for r in rows], np.int64).tobytes()],
                 [np.array([r[1] for r in rows], np.uint8).tobytes()],
                 [sizes.tobytes()],
-                [index.astype(np.uint32).tobytes()],
+                [_squeezed(index.astype(np.uint32).tobytes())],
                 [words.tobytes()],
             ]
             types = [pa.int64(), pa.bool_(), pa.int64(), *[pa.binary()] * 5]
@@ -99,7 +100,7 @@ class Batch:
     def __init__(self, row: dict):
         view = lambda name, kind: np.frombuffer(row[name], kind)
         self.docs, self.folds, self.sizes = view("docs", np.int64), view("folds", np.uint8), view("sizes", np.int32)
-        self.word, words = view("tokens", np.uint32), view("words", np.uint64)
+        self.word, words = np.frombuffer(_opened(row["tokens"]), np.uint32), view("words", np.uint64)
         self.first = np.concatenate([[0], np.cumsum(self.sizes)[:-1]]).astype(np.int64)
         hashes = words[self.word]
         before = np.roll(hashes, 1)
@@ -116,43 +117,39 @@ class Batch:
         return np.repeat(self.folds, self.sizes)
 
 
+def _squeezed(data: bytes) -> bytes:
+    return zstandard.ZstdCompressor(level=1).compress(data)
+
+
+def _opened(data: bytes) -> bytes:
+    return zstandard.ZstdDecompressor().decompress(data)
+
+
 def _packed(counts: np.ndarray) -> bytes:
-    """Counts as bytes, with the few that need more at the end."""
+    """Counts as a byte each, and the few that need more behind them."""
     big = np.flatnonzero(counts >= 255)
     small = np.minimum(counts, 255).astype(np.uint8)
-    return small.tobytes() + big.astype(np.uint64).tobytes() + counts[big].astype(np.uint64).tobytes()
+    return _squeezed(np.int64(len(counts)).tobytes() + big.astype(np.int64).tobytes() + counts[big].astype(np.int64).tobytes() + small.tobytes())
 
 
 def _unpacked(data: bytes) -> np.ndarray:
-    """Inverse of ``_packed``; the length follows from the number of full bytes."""
-    raw = np.frombuffer(data, np.uint8)
-    # n bytes, of which k are 255, then 16 k bytes: found from the front, where k only grows
-    n = len(raw) - 16 * _overflow(raw)
-    out = raw[:n].astype(np.int64)
-    tail = np.frombuffer(data, np.uint64, offset=n) if len(raw) > n else np.zeros(0, np.uint64)
-    k = len(tail) // 2
-    out[tail[:k].astype(np.int64)] = tail[k:].astype(np.int64)
+    raw = _opened(data)
+    n = int(np.frombuffer(raw, np.int64, 1)[0])
+    out = np.frombuffer(raw, np.uint8, n, len(raw) - n).astype(np.int64)
+    index, values = np.frombuffer(raw[8 : len(raw) - n], np.int64).reshape(2, -1)
+    out[index] = values
     return out
 
 
-def _overflow(raw: np.ndarray) -> int:
-    """The k for which the first len - 16 k bytes hold k times 255; the largest n that fits is the right one."""
-    full = np.concatenate([[0], np.cumsum(raw == 255)])
-    total = len(raw)
-    for k in range(total // 16 + 1):
-        if full[total - 16 * k] == k:
-            return k
-    raise ValueError("not packed counts")
-
-
 def _short(keys: np.ndarray) -> bytes:
-    return keys.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
+    """The low 48 bits of sorted keys, high bytes first: those change slowly and cost little."""
+    return _squeezed(np.ascontiguousarray(keys.astype("<u8").view(np.uint8).reshape(-1, 8)[:, 5::-1].T).tobytes())
 
 
 def _long(data: bytes) -> np.ndarray:
-    raw = np.frombuffer(data, np.uint8).reshape(-1, 6)
-    out = np.zeros((len(raw), 8), np.uint8)
-    out[:, :6] = raw
+    raw = np.frombuffer(_opened(data), np.uint8).reshape(6, -1)
+    out = np.zeros((raw.shape[1], 8), np.uint8)
+    out[:, :6] = raw[::-1].T
     return out.view("<u8").reshape(-1)
 
 
