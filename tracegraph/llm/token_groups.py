@@ -7,7 +7,7 @@ a group, and is compared with its members, only if its overlap with that union c
 1. One pass over the texts: size, digest and band keys of each shingle set (``bands_for`` chooses the number of
    bands, so that a pair at the threshold shares no bucket with probability ``miss``, 1e-10, at most).
 2. Each class is compared with one pivot per bucket; links found give components.
-3. Buckets that still hold several components are compared across components: whole buckets in
+3. Buckets that still hold several components are compared across components: small buckets in pairs, large ones in
    blocks of bounded size, with the union bound deciding which blocks a query opens. Pairs inside a component are
    never formed: they can't change the result.
 4. Components by repeated minimum labels over the links, one written table a round.
@@ -33,6 +33,8 @@ from .common import bands_for, materialise, store, table
 from .shingles import mix, shingle_set
 
 ROWS = 4
+#: Orders in which pivots are chosen: few, so that a class meets few different ones; several, so that groups hold together.
+PIVOTS = 8
 #: Classes in a block of a bucket; two blocks at most are in a task's memory.
 BLOCK = 256
 #: Buckets of so many classes are compared in pairs, larger ones in blocks.
@@ -122,8 +124,30 @@ def open_groups(queries: list[np.ndarray], members: list[np.ndarray], percent: i
     return np.array(counts).reshape(-1, len(members)), inside
 
 
+class _Unions:
+    """Union-find over the components that a task meets."""
+
+    def __init__(self) -> None:
+        self.up: dict[int, int] = {}
+
+    def root(self, x: int) -> int:
+        path = []
+        while (y := self.up.get(x, x)) != x:
+            path.append(x)
+            x = y
+        for p in path:
+            self.up[p] = x
+        return x
+
+    def join(self, x: int, y: int) -> bool:
+        """False if they were one already."""
+        x, y = self.root(x), self.root(y)
+        self.up[x] = y
+        return x != y
+
+
 def _across(blocks: DataFrame, percent: int) -> DataFrame:
-    """Links between rows of different components, for rows (bucket, one, two, side, node, comp, tokens)."""
+    """Links that join different components, for rows (bucket, one, two, side, node, comp, tokens)."""
 
     def run(key, group):
         side = group.column("side").to_numpy()
@@ -134,10 +158,14 @@ def _across(blocks: DataFrame, percent: int) -> DataFrame:
         if len(q) and len(m):
             counts, inside = open_groups([sets[i] for i in q], [sets[i] for i in m], percent)
             sizes = np.array([len(sets[i]) for i in m])
+            known = _Unions()
             for row, i in zip(counts, (q[j] for j in inside), strict=True):
-                ok = (100 * row >= percent * (len(sets[i]) + sizes - row)) & (comps[m] != comps[i])
-                a += [nodes[i]] * int(ok.sum())
-                b += nodes[m][ok].tolist()
+                ok = np.flatnonzero((100 * row >= percent * (len(sets[i]) + sizes - row)) & (comps[m] != comps[i]))
+                # one link to each component is enough, and none to those that this task has joined already
+                for comp, j in zip(*np.unique(comps[m][ok], return_index=True), strict=True):
+                    if known.join(int(comps[i]), int(comp)):
+                        a.append(nodes[i])
+                        b.append(nodes[m][ok[j]])
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
     return blocks.groupBy("bucket", "one", "two").applyInArrow(run, "a long, b long")
@@ -183,7 +211,7 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int, miss: float = 1e-10) -
     rows = store(classes.df.select("id", "node", F.explode(F.array_distinct("keys")).alias("bucket")), "tg-keys")
     pivots = (
         rows.df.groupBy("bucket")
-        .agg(F.min(F.struct(F.xxhash64("id", "bucket").alias("o"), "id")).alias("p"), F.count(F.lit(1)).alias("k"))
+        .agg(F.min(F.struct(F.xxhash64("id", F.pmod("bucket", F.lit(PIVOTS))).alias("o"), "id")).alias("p"), F.count(F.lit(1)).alias("k"))
         .where("k > 1")
         .select("bucket", F.col("p.id").alias("pivot"))
     )
@@ -201,7 +229,18 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int, miss: float = 1e-10) -
     mixed = open_rows.groupBy("bucket").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.count(F.lit(1)).alias("k")).where("x <> y")
     left = store(open_rows.join(mixed.select("bucket", "k"), "bucket"), "tg-open")
     more = store(_rest(left.df, stars, sets.df, percent), "tg-more")
-    last = components(links.df.union(more.df))
+    # links between components are joined as links of their names
+    named = more.df.join(comps.select(F.col("node").alias("a"), F.col("comp").alias("ca")), "a", "left").join(
+        comps.select(F.col("node").alias("b"), F.col("comp").alias("cb")), "b", "left"
+    )
+    above = components(named.select(F.coalesce("ca", "a").alias("a"), F.coalesce("cb", "b").alias("b")).where("a <> b").distinct())
+    lone = above.select("node", F.col("comp").alias("higher"))
+    last = (
+        comps.select("node", F.col("comp").alias("mine"))
+        .union(above.join(comps, "node", "left_anti").select("node", F.col("node").alias("mine")))
+        .join(lone.withColumnRenamed("node", "mine"), "mine", "left")
+        .select("node", F.coalesce("higher", "mine").alias("comp"))
+    )
     # a component is named after its smallest doc_id
     led = classes.df.select("id", "node").join(last.select(F.col("node").alias("id"), "comp"), "id", "left")
     least = store(led.where("comp is not null").groupBy("comp").agg(F.min("node").alias("least")), "tg-least")
