@@ -61,11 +61,15 @@ class Stored:
         _kept[:] = [x for x in _kept if x[1] != self.path]
 
 
-def store(df: DataFrame, tag: str) -> Stored:
-    """Cut the lineage: write ``df`` as Parquet in the shared folder, so a lost executor costs no recomputation."""
+def store(df: DataFrame, tag: str, parts: int | None = None) -> Stored:
+    """Cut the lineage: write ``df`` as Parquet in the shared folder, so a lost executor costs no recomputation.
+
+    ``parts``: number of files of a table that is small whatever the corpus (a row per group): many tiny
+    files would make it look too large to broadcast.
+    """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{tag}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    (df.repartition(parts) if parts else df).write.option("compression", "zstd").parquet(path)
     return Stored(spark, path, df.schema)
 
 

@@ -27,6 +27,8 @@ from .common import SPACES, let, store, table, words_of
 FEATURES = ("f_len", "f_word", "f_sym", "f_dup", "f_rep")
 #: Least variance of each transformed statistic: below it, differences say nothing about quality.
 FLOORS = (1.0, 0.01, 0.09, 0.04, 0.04)
+#: Files of a table with one row per group.
+FILES = 8
 #: Upper quantiles of the chi-square law with five degrees of freedom, fixed values: 0.5 and 0.975.
 CHI_MEDIAN, CHI_REWEIGHT = 4.351, 12.833
 
@@ -149,7 +151,7 @@ def _cut(rows: DataFrame, share: float, name: str) -> DataFrame:
     run = hist.select("grp", "bin", F.sum("n").over(up).alias("c"), F.sum("n").over(whole).alias("t"))
     edge = F.min(F.when(F.col("c") >= share * F.col("t"), F.col("bin")))
     # stored, so that its size is known where it meets the rows: few groups are broadcast, many are not
-    return store(run.groupBy("grp").agg(F.pow(F.lit(2.0), (edge + 1) / 16.0).alias(name)), "mcd-cut").df
+    return store(run.groupBy("grp").agg(F.pow(F.lit(2.0), (edge + 1) / 16.0).alias(name)), "mcd-cut", FILES).df
 
 
 def estimate(vectors: DataFrame, support: float = 0.75, steps: int = 4) -> DataFrame:
@@ -170,19 +172,19 @@ def estimate(vectors: DataFrame, support: float = 0.75, steps: int = 4) -> DataF
             for j in range(i + 1)
         ],
     )
-    held = store(fit, "mcd-start")  # one row for each group
+    held = store(fit, "mcd-start", FILES)  # one row for each group
     for step in range(steps + 1):
         rows = vectors.join(held.df, "grp").withColumn("d2", _distance()).select("grp", "d2", *FEATURES)
         share, name = (support, "edge") if step < steps else (0.5, "median")
         cuts = _cut(rows, share, name)
         limit = F.col("edge") if step < steps else F.col("median") * (CHI_REWEIGHT / CHI_MEDIAN)
         nearest = rows.join(cuts, "grp").where(F.col("d2") <= limit)
-        after = store(_moments(nearest), "mcd-step")
+        after = store(_moments(nearest), "mcd-step", FILES)
         held.drop()
         held = after
     final = vectors.join(held.df, "grp").withColumn("d2", _distance()).select("grp", "d2")
     scale = _cut(final, 0.5, "median").select("grp", (F.col("median") / CHI_MEDIAN).alias("scale"))
-    out = store(held.df.join(scale, "grp"), "mcd-fit")
+    out = store(held.df.join(scale, "grp"), "mcd-fit", FILES)
     held.drop()
     return out.df
 
@@ -214,14 +216,14 @@ def score_quality(
         .otherwise(F.lit("\x03"))
         .alias("grp"),
     )
-    keys = store(named, "mcd-keys").df
+    keys = store(named, "mcd-keys", FILES).df
     rows = rows.join(keys, "g2")
     pooled = rows.select(
         F.explode(
             F.array_distinct(F.array(F.col("grp"), F.concat(F.lit("\x02"), F.col("g1")), F.lit("\x03")))
         ).alias("grp"),
         *FEATURES,
-    ).join(store(keys.select("grp").distinct(), "mcd-groups").df, "grp", "left_semi")
+    ).join(store(keys.select("grp").distinct(), "mcd-groups", FILES).df, "grp", "left_semi")
     fit = estimate(pooled, support, steps)
     judged = rows.join(fit, "grp", "left").withColumn("distance", _distance() / F.greatest(F.col("scale"), F.lit(1e-3)))
     return judged.select(
