@@ -48,8 +48,8 @@ def generate_edges(
     limit = F.when(c % 10 < frequent_of_10, p_frequent).otherwise(p_rare)
     base = (
         customers.select("object_id", "home")
-        .withColumn("week", F.explode(F.sequence(F.lit(0), F.lit(weeks - 1))).cast("bigint"))
-        .withColumn("visit", F.explode(F.sequence(F.lit(0), F.lit(visits - 1))).cast("bigint"))
+        .withColumn("week", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(weeks - 1).cast("bigint"))))
+        .withColumn("visit", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(visits - 1).cast("bigint"))))
         .where((48271 * c + 69621 * w + 12345 + 7717 * v) % 1000 < limit)
         .withColumn("ts_us", F.lit(START_US) + w * WEEK_US + ((31 * c + 17 * w + 5 * v) % (7 * 24)) * HOUR_US)
         .withColumn("pick", (7919 * c + 104729 * w + 13 * v) % 1_000_003)

@@ -472,10 +472,10 @@ def _cost_sql():
     return " UNION ALL ".join(rows)
 
 
-@entry("cost_table", f"SELECT query, plan, round(r, 4) AS read, round(i, 4) AS invoke, round(f, 4) AS shuffle, round(r + i + f, 4) AS total FROM ({_cost_sql()})")
+@entry("cost_table", f"SELECT query, plan, round(r, 3) AS read, round(i, 3) AS invoke, round(f, 3) AS shuffle, round(r + i + f, 3) AS total FROM ({_cost_sql()})")
 def cost_table(s, d):
     rows = cm.cost_table(s, cm.CostParams(), 1, 100)
-    return rows.select("query", "plan", *[F.round(c, 4).alias(c) for c in ("read", "invoke", "shuffle", "total")])
+    return rows.select("query", "plan", *[F.round(c, 3).alias(c) for c in ("read", "invoke", "shuffle", "total")])
 
 
 @entry("cost_choice", f"SELECT query, arg_min(plan, r + i + f) AS plan FROM ({_cost_sql()}) GROUP BY query")
@@ -495,7 +495,7 @@ def cost_break_even(s, d):
     return s.createDataFrame([(float(round(cm.break_even_regions(1, cm.CostParams()))),)], "regions double")
 
 
-@entry("capacity_plan", """SELECT * FROM (VALUES ('object_tb', 1.0), ('location_gb', 1.0), ('edge_pb', 2.4), ('stored_pb', 7.2),
+@entry("capacity_plan", """SELECT measure, CAST(value AS DOUBLE) AS value FROM (VALUES ('object_tb', 1.0), ('location_gb', 1.0), ('edge_pb', 2.4), ('stored_pb', 7.2),
   ('machines', 720.0), ('day_tb', 24.0), ('rate_mb_s', 277.7778), ('rate_mib_s', 291.2711), ('ingest_workers', 15.0)) v(measure, value)""")
 def capacity_plan(s, d):
     return cap.capacity_table(s)
@@ -566,8 +566,8 @@ def group_loads_brand(s, d):
 
 @entry("group_moves")
 def group_moves(s, d):
-    placed = [(r["group_id"], r["worker"], r["edges"]) for r in grp.group_placement(group_loads_brand(s, d), 4).collect()]
-    moves = grp.rebalance(placed, 4)
+    placed = [(r["group_id"], r["worker"], r["edges"]) for r in grp.group_placement(group_loads_brand(s, d), 7).collect()]
+    moves = grp.rebalance(placed, 7)
     return s.createDataFrame([(m.group_id, m.source, m.target, m.load) for m in moves], "group_id string, source int, target int, load long")
 
 

@@ -16,7 +16,10 @@ from tracegraph.sources import tables as t
 
 from .entries import DAY, EV, HOUR, PC, PL, S0, SE, SO, E, days, entry, slot, zcode
 
-COUNT = F.count(F.lit(1))
+
+def count_rows():
+    return F.count(F.lit(1))
+
 
 
 def _edges(s, d):
@@ -34,12 +37,12 @@ def _with_area(s, d):
 
 @entry("op_scan_edges_f1", f"WITH {EV} SELECT count(*) AS edges, CAST(sum(edge_id) AS BIGINT) AS ids, min(ts_us) AS first_us, max(ts_us) AS last_us FROM ev")
 def op_scan_edges_f1(s, d):
-    return t.event_edges(s, d).agg(COUNT.alias("edges"), F.sum("edge_id").alias("ids"), F.min("ts_us").alias("first_us"), F.max("ts_us").alias("last_us"))
+    return t.event_edges(s, d).agg(count_rows().alias("edges"), F.sum("edge_id").alias("ids"), F.min("ts_us").alias("first_us"), F.max("ts_us").alias("last_us"))
 
 
 @entry("op_scan_edges_f2", f"WITH {SO} SELECT count(*) AS edges, CAST(sum(object_id) AS BIGINT) AS ids, min(ts_us) AS first_us, max(ts_us) AS last_us FROM so")
 def op_scan_edges_f2(s, d):
-    return t.shop_edges(s, d).agg(COUNT.alias("edges"), F.sum("object_id").alias("ids"), F.min("ts_us").alias("first_us"), F.max("ts_us").alias("last_us"))
+    return t.shop_edges(s, d).agg(count_rows().alias("edges"), F.sum("object_id").alias("ids"), F.min("ts_us").alias("first_us"), F.max("ts_us").alias("last_us"))
 
 
 _CHECKS = ("duplicate_location", "dangling_location", "null_in_edge", "location_off_grid", "duplicate_object", "dangling_object")
@@ -58,12 +61,12 @@ def op_graph_integrity_f2(s, d):
 
 @entry("op_degree_objects", f"WITH {EV} SELECT object_id, count(*) AS degree FROM ev GROUP BY 1")
 def op_degree_objects(s, d):
-    return t.event_edges(s, d).groupBy("object_id").agg(COUNT.alias("degree"))
+    return t.event_edges(s, d).groupBy("object_id").agg(count_rows().alias("degree"))
 
 
 @entry("op_degree_locations", f"WITH {E} SELECT pl.location_id, count(ev.edge_id) AS degree FROM pl LEFT JOIN ev USING (location_id) GROUP BY 1")
 def op_degree_locations(s, d):
-    per = t.event_edges(s, d).groupBy("location_id").agg(COUNT.alias("n"))
+    per = t.event_edges(s, d).groupBy("location_id").agg(count_rows().alias("n"))
     return t.event_places(s).join(per, "location_id", "left").select("location_id", F.coalesce("n", F.lit(0)).alias("degree"))
 
 
@@ -91,13 +94,13 @@ def op_join_broadcast_location(s, d):
 def op_join_sortmerge_orders(s, d):
     lines, orders = t.read(s, d, "lineitem"), t.read(s, d, "orders")
     joined = lines.join(orders.hint("merge"), lines["l_orderkey"] == orders["o_orderkey"])
-    return joined.groupBy("o_custkey").agg(COUNT.alias("lines"), F.round(F.sum("l_quantity"), 2).alias("quantity"))
+    return joined.groupBy("o_custkey").agg(count_rows().alias("lines"), F.round(F.sum("l_quantity"), 2).alias("quantity"))
 
 
 @entry("op_join_shuffle_hash", "SELECT n_name, count(*) AS customers FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY 1")
 def op_join_shuffle_hash(s, d):
     c, n = t.read(s, d, "customer"), t.read(s, d, "nation")
-    return c.join(n.hint("shuffle_hash"), c["c_nationkey"] == n["n_nationkey"]).groupBy("n_name").agg(COUNT.alias("customers"))
+    return c.join(n.hint("shuffle_hash"), c["c_nationkey"] == n["n_nationkey"]).groupBy("n_name").agg(count_rows().alias("customers"))
 
 
 @entry("op_join_theta_nested", f"""WITH {E} SELECT a.edge_id AS a, b.edge_id AS b FROM e a JOIN e b ON a.object_id = 7 AND b.object_id = 1
@@ -157,7 +160,7 @@ def op_join_anti_inactive(s, d):
   dom AS (SELECT CAST(a AS INTEGER) AS area, dd AS day FROM range(25) x(a), range(30) y(dd))
   SELECT coalesce(v.area, dom.area) AS area, coalesce(v.day, dom.day) AS day, coalesce(n, 0) AS visits FROM v FULL JOIN dom ON v.area = dom.area AND v.day = dom.day""")
 def op_join_full_gap(s, d):
-    v = _with_area(s, d).groupBy("area", F.expr(f"(ts_us - {S0}) div {DAY}").alias("day")).agg(COUNT.alias("n"))
+    v = _with_area(s, d).groupBy("area", F.expr(f"(ts_us - {S0}) div {DAY}").alias("day")).agg(count_rows().alias("n"))
     dom = s.range(25 * 30).select(F.expr("cast(id div 30 as int)").alias("area"), (F.col("id") % 30).alias("day"))
     return v.join(dom, ["area", "day"], "full").select("area", "day", F.coalesce("n", F.lit(0)).alias("visits"))
 
@@ -166,7 +169,7 @@ def op_join_full_gap(s, d):
   AND a.object_id < b.object_id AND abs(a.ts_us - b.ts_us) <= {7 * HOUR} GROUP BY 1, 2""")
 def op_self_join_copresence(s, d):
     pairs = interval_join(t.event_edges(s, d), ["location_id"], 7 * HOUR).where("oa <> ob")
-    return pairs.groupBy(F.least("oa", "ob").alias("o1"), F.greatest("oa", "ob").alias("o2")).agg(COUNT.alias("meets"))
+    return pairs.groupBy(F.least("oa", "ob").alias("o1"), F.greatest("oa", "ob").alias("o2")).agg(count_rows().alias("meets"))
 
 
 # --- aggregations ------------------------------------------------------------------------
@@ -175,18 +178,18 @@ def op_self_join_copresence(s, d):
 @entry("op_agg_region_day", f"""WITH {E} SELECT {zcode('x', 'y')} AS region, ts_us // {DAY} AS tru, count(*) AS visits, count(DISTINCT object_id) AS objects FROM e GROUP BY 1, 2""")
 def op_agg_region_day(s, d):
     return _edges(s, d).groupBy(region_of("x", "y", t.EVENTS_SPEC).alias("region"), F.expr(f"ts_us div {DAY}").alias("tru")).agg(
-        COUNT.alias("visits"), F.countDistinct("object_id").alias("objects")
+        count_rows().alias("visits"), F.countDistinct("object_id").alias("objects")
     )
 
 
 @entry("op_agg_rollup", f"WITH {E} SELECT area, location_id, count(*) AS visits FROM e GROUP BY ROLLUP (area, location_id)")
 def op_agg_rollup(s, d):
-    return _with_area(s, d).rollup("area", "location_id").agg(COUNT.alias("visits"))
+    return _with_area(s, d).rollup("area", "location_id").agg(count_rows().alias("visits"))
 
 
 @entry("op_agg_cube", f"WITH {E} SELECT event_type, area, count(*) AS visits FROM e GROUP BY CUBE (event_type, area)")
 def op_agg_cube(s, d):
-    return _with_area(s, d).cube("event_type", "area").agg(COUNT.alias("visits"))
+    return _with_area(s, d).cube("event_type", "area").agg(count_rows().alias("visits"))
 
 
 @entry("op_agg_grouping_sets", f"WITH {E} SELECT event_type, area, count(*) AS visits FROM e GROUP BY GROUPING SETS ((event_type), (area), ())")
@@ -199,7 +202,7 @@ def op_agg_grouping_sets(s, d):
   count(*) FILTER (WHERE event_type = 'view') AS "view" FROM e WHERE event_type IN ('click', 'purchase', 'view') GROUP BY 1""")
 def op_agg_pivot_type(s, d):
     kinds = ["click", "purchase", "view"]
-    rows = _with_area(s, d).where(F.col("event_type").isin(kinds)).groupBy("area").pivot("event_type", kinds).agg(COUNT)
+    rows = _with_area(s, d).where(F.col("event_type").isin(kinds)).groupBy("area").pivot("event_type", kinds).agg(count_rows())
     return rows.select("area", *[F.coalesce(k, F.lit(0)).alias(k) for k in kinds])
 
 
@@ -243,7 +246,7 @@ def op_window_lead_next(s, d):
 @entry("op_window_rank_places", f"""WITH {E}, c AS (SELECT area, location_id, count(*) AS visits FROM e GROUP BY 1, 2),
   r AS (SELECT *, dense_rank() OVER (PARTITION BY area ORDER BY visits DESC) AS rnk FROM c) SELECT area, location_id, visits, CAST(rnk AS INTEGER) AS rnk FROM r WHERE rnk <= 3""")
 def op_window_rank_places(s, d):
-    c = _with_area(s, d).groupBy("area", "location_id").agg(COUNT.alias("visits"))
+    c = _with_area(s, d).groupBy("area", "location_id").agg(count_rows().alias("visits"))
     return c.withColumn("rnk", F.dense_rank().over(Window.partitionBy("area").orderBy(F.desc("visits")))).where("rnk <= 3")
 
 
@@ -258,18 +261,18 @@ def op_window_row_number_dedup(s, d):
 @entry("op_window_running_visits", f"WITH {EV} SELECT edge_id, count(*) OVER (PARTITION BY object_id ORDER BY ts_us, edge_id ROWS UNBOUNDED PRECEDING) AS visits FROM ev")
 def op_window_running_visits(s, d):
     w = _by_time().rowsBetween(Window.unboundedPreceding, 0)
-    return t.event_edges(s, d).select("edge_id", COUNT.over(w).alias("visits"))
+    return t.event_edges(s, d).select("edge_id", count_rows().over(w).alias("visits"))
 
 
 @entry("op_window_range_7h", f"WITH {EV} SELECT edge_id, count(*) OVER (PARTITION BY object_id ORDER BY ts_us RANGE BETWEEN {7 * HOUR} PRECEDING AND CURRENT ROW) AS visits FROM ev")
 def op_window_range_7h(s, d):
     w = Window.partitionBy("object_id").orderBy("ts_us").rangeBetween(-7 * HOUR, 0)
-    return t.event_edges(s, d).select("edge_id", COUNT.over(w).alias("visits"))
+    return t.event_edges(s, d).select("edge_id", count_rows().over(w).alias("visits"))
 
 
 @entry("op_window_ntile_activity", f"WITH {EV}, c AS (SELECT object_id, count(*) AS n FROM ev GROUP BY 1) SELECT object_id, CAST(ntile(4) OVER (ORDER BY n, object_id) AS INTEGER) AS quartile FROM c")
 def op_window_ntile_activity(s, d):
-    c = t.event_edges(s, d).groupBy("object_id").agg(COUNT.alias("n"))
+    c = t.event_edges(s, d).groupBy("object_id").agg(count_rows().alias("n"))
     return c.select("object_id", F.ntile(4).over(Window.orderBy("n", "object_id")).alias("quartile"))
 
 
@@ -280,12 +283,12 @@ def op_trip_sessions(s, d):
     w = _by_time()
     e = t.event_edges(s, d).withColumn("fresh", F.when(F.col("ts_us") - F.lag("ts_us").over(w) <= 12 * HOUR, 0).otherwise(1))
     e = e.withColumn("trip", F.sum("fresh").over(w.rowsBetween(Window.unboundedPreceding, 0)))
-    return e.groupBy("object_id", "trip").agg(COUNT.alias("edges"), F.min("ts_us").alias("start_us"), F.max("ts_us").alias("end_us"))
+    return e.groupBy("object_id", "trip").agg(count_rows().alias("edges"), F.min("ts_us").alias("start_us"), F.max("ts_us").alias("end_us"))
 
 
 @entry("op_topk_places", f"WITH {EV} SELECT location_id, count(*) AS visits FROM ev GROUP BY 1 ORDER BY visits DESC, location_id LIMIT 10")
 def op_topk_places(s, d):
-    return t.event_edges(s, d).groupBy("location_id").agg(COUNT.alias("visits")).orderBy(F.desc("visits"), "location_id").limit(10)
+    return t.event_edges(s, d).groupBy("location_id").agg(count_rows().alias("visits")).orderBy(F.desc("visits"), "location_id").limit(10)
 
 
 @entry("op_sort_trace", f"WITH {SO} SELECT object_id, ts_us, location_id FROM so WHERE object_id < 20")
@@ -391,7 +394,7 @@ def op_scalar_bounds(s, d):
             g = [cell(c, eta) for c in ("ax", "ay", "bx", "by")]
             lo, hi = grid_bounds(*g, eta, bound)
             dist = F.sqrt(F.col("sq_dist").cast("double"))
-            row = both.where((lo > dist) | (hi < dist)).agg(COUNT.alias("violations")).select(F.lit(bound).alias("bound"), F.lit(eta).alias("eta"), "violations")
+            row = both.where((lo > dist) | (hi < dist)).agg(count_rows().alias("violations")).select(F.lit(bound).alias("bound"), F.lit(eta).alias("eta"), "violations")
             out = row if out is None else out.unionByName(row)
     return out
 
@@ -420,7 +423,7 @@ def op_json_props(s, d):
 
 @entry("op_map_props", f"WITH {EV} SELECT object_id, count(*) FILTER (WHERE event_type = 'click') AS clicks, count(DISTINCT event_type) AS kinds FROM ev GROUP BY 1")
 def op_map_props(s, d):
-    per = t.event_edges(s, d).groupBy("object_id", "event_type").agg(COUNT.alias("n"))
+    per = t.event_edges(s, d).groupBy("object_id", "event_type").agg(count_rows().alias("n"))
     m = per.groupBy("object_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))  # five types at most
     return m.select("object_id", F.coalesce(F.try_element_at("m", F.lit("click")), F.lit(0)).alias("clicks"), F.size("m").cast("bigint").alias("kinds"))
 
@@ -452,14 +455,14 @@ def op_vector_distance(s, d):
 @entry("op_tumbling_window", f"WITH {EV} SELECT ts_us // {DAY} * {DAY} AS start_us, event_type, count(*) AS visits FROM ev GROUP BY 1, 2")
 def op_tumbling_window(s, d):
     e = t.event_edges(s, d).withColumn("ts", F.timestamp_micros("ts_us"))
-    w = e.groupBy(F.window("ts", "1 day").alias("w"), "event_type").agg(COUNT.alias("visits"))
+    w = e.groupBy(F.window("ts", "1 day").alias("w"), "event_type").agg(count_rows().alias("visits"))
     return w.select(F.unix_micros("w.start").alias("start_us"), "event_type", "visits")
 
 
 @entry("op_sliding_window", f"""WITH {EV} SELECT ts_us // {12 * HOUR} * {12 * HOUR} - o * {12 * HOUR} AS start_us, count(*) AS visits FROM ev, range(2) k(o) GROUP BY 1""")
 def op_sliding_window(s, d):
     e = t.event_edges(s, d).withColumn("ts", F.timestamp_micros("ts_us"))
-    w = e.groupBy(F.window("ts", "24 hours", "12 hours").alias("w")).agg(COUNT.alias("visits"))
+    w = e.groupBy(F.window("ts", "24 hours", "12 hours").alias("w")).agg(count_rows().alias("visits"))
     return w.select(F.unix_micros("w.start").alias("start_us"), "visits")
 
 
