@@ -18,7 +18,7 @@ def write_split(edges: DataFrame, path: str, key: Column, props: list[str], code
     rows = F.array_sort(F.collect_list(F.struct("ts_us", "object_id", "location_id", *[c for c in props if c not in CORE])))
     lists = keyed.groupBy("row_key").agg(rows.alias("r"))
     for c in dict.fromkeys([*CORE, *props]):
-        out = lists.select("row_key", F.transform("r", lambda x, c=c: x[c]).alias(c))
+        out = lists.select("row_key", F.col(f"r.{c}").alias(c))
         out.write.mode("overwrite").option("compression", codec).parquet(f"{path}/{c}")
 
 
