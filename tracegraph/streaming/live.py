@@ -66,13 +66,15 @@ def copresence(left: DataFrame, right: DataFrame, locations: DataFrame, th: Thre
 ALARM = "object_id long, ts1_us long, loc1 long, ts2_us long, loc2 long, dist_m double"
 
 
-def clone_alarm(edges: DataFrame, locations: DataFrame, kmh: float = 120.0, idle_ms: int = 30 * 86_400_000) -> DataFrame:
+def clone_alarm(
+    edges: DataFrame, locations: DataFrame, kmh: float = 120.0, idle_ms: int = 30 * 86_400_000, delay: str = "1 hour"
+) -> DataFrame:
     """Alarm when an object moves faster than ``kmh`` from its last edge.
 
-    State: the latest edge of each object, forgotten after ``idle_ms``. The edges of a micro-batch are sorted first;
+    State: the latest edge of each object, forgotten ``idle_ms`` of event time after it. The edges of a micro-batch are sorted first;
     one that is older than the state is compared with it and leaves it as it is.
     """
-    located = edges.join(small(locations.select("location_id", "x", "y")), "location_id")
+    located = timed(edges, delay).join(small(locations.select("location_id", "x", "y")), "location_id")
 
     def watch(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
@@ -92,11 +94,11 @@ def clone_alarm(edges: DataFrame, locations: DataFrame, kmh: float = 120.0, idle
                 last = row
         if last is not None:
             state.update(tuple(last))
-            state.setTimeoutDuration(idle_ms)
+            state.setTimeoutTimestamp(max(last[0] // 1000, state.getCurrentWatermarkMs()) + idle_ms)
         yield pd.DataFrame(out, columns=[c.split()[0] for c in ALARM.split(", ")])
 
     return located.groupBy("object_id").applyInPandasWithState(
-        watch, ALARM, "ts_us long, location_id long, x long, y long", "append", GroupStateTimeout.ProcessingTimeTimeout
+        watch, ALARM, "ts_us long, location_id long, x long, y long", "append", GroupStateTimeout.EventTimeTimeout
     )
 
 
