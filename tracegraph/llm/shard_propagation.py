@@ -42,11 +42,12 @@ def propagate(units: DataFrame, shards: int, total: Column, rounds: int, slack:
         u = now.df
         seen = u.where("grp is not null").groupBy("grp", "label").agg(F.sum("cnt").alias("near"))
         best = seen.groupBy("grp").agg(
-            F.max(F.struct("near", F.xxhash64("grp", "label").alias("tie"), "label")).alias("b")
-        ).select("grp", F.col("b.label").alias("want"))
+            F.max(F.struct("near", F.xxhash64("grp", "label").alias("tie"), "label")).alias("b"), F.sum("near").alias("members")
+        ).select("grp", F.col("b.label").alias("want"), "members")
         wish = u.join(best, "grp", "left").withColumn("want", F.coalesce("want", "label"))
         moves = wish.where("want <> label")
-        load = u.groupBy(F.col("label").alias("s")).agg(F.sum("cnt").alias("load"))
+        # unlinked documents make room in the last step: only linked ones fill a shard here
+        load = u.where("grp is not null").groupBy(F.col("label").alias("s")).agg(F.sum("cnt").alias("load"))
         out = moves.groupBy(F.col("label").alias("s")).agg(F.sum("cnt").alias("leaving"))
         come = moves.groupBy(F.col("want").alias("s")).agg(F.sum("cnt").alias("coming"))
         room = (
@@ -55,18 +56,21 @@ def propagate(units: DataFrame, shards: int, total: Column, rounds: int, slack:
             .join(total, F.lit(True))
             .select(
                 F.col("s").alias("want"),
+                (F.col("total") / shards).alias("fair"),
                 (
                     (F.col("total") * (1.0 + slack) / shards - F.coalesce("load", F.lit(0)) + F.coalesce("leaving", F.lit(0)))
                     / F.col("coming")
                 ).alias("share"),
             )
         )
+        # a group moves as a whole, unless it could not fit any shard
+        draw = F.when(F.col("members") > F.col("fair"), _unit_hash("grp", "home", F.lit(step))).otherwise(_unit_hash("grp", F.lit(step)))
         after = wish.join(room, "want", "left").select(
             "grp",
             "home",
             "cnt",
             F.when(
-                (F.col("want") != F.col("label")) & (_unit_hash("grp", F.lit(step)) < F.coalesce("share", F.lit(0.0))),
+                (F.col("want") != F.col("label")) & (draw < F.coalesce("share", F.lit(0.0))),
                 F.col("want"),
             )
             .otherwise(F.col("label"))
