@@ -114,7 +114,7 @@ TRAFFIC = [
 def test_tool_calls(spark):
     df = spark.createDataFrame(TRAFFIC, "conv_id long, turn long, role string, text string")
     rows = {(r["conv_id"], r["turn"], r["item"]): r for r in tc.link_tool_calls(df).collect()}
-    assert len(rows) == 15
+    assert len(rows) == 16
     first, second = rows[1, 2, 2], rows[1, 2, 1]
     assert (first["call_id"], first["level"], first["linked_turn"], first["errors"]) == ("c1", 0, 3, "missing:b,type:a")
     assert (second["call_id"], second["level"], second["errors"]) == ("c2", 1, "no_result")
