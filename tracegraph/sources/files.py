@@ -2,11 +2,18 @@
 
 from __future__ import annotations
 
+import atexit
+import re
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
 from tracegraph.model import EDGE_CORE
 
+_scratch: list[tuple[SparkSession, str]] = []
+
 FORMATS = ("parquet", "orc", "csv", "json")
 
 
@@ -95,3 +102,25 @@ def size_of(spark: SparkSession, path: str) -> int:
     """Bytes of all files under a path."""
     fs, where = _fs(spark, path)
     return fs.getContentSummary(where).getLength()
+
+
+def scratch(spark: SparkSession, tag: str) -> str:
+    """A fresh path in the folder that driver and executors share (spark.checkpoint.dir); removed when the process ends."""
+    sc = spark.sparkContext
+    base = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
+    if not base:
+        if not re.match(r"local(\[|$)", sc.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        base = f"file://{tempfile.gettempdir()}/trace-scratch"
+    path = f"{base.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
+    _scratch.append((spark, path))
+    return path
+
+
+@atexit.register
+def _remove_scratch() -> None:
+    for spark, path in _scratch:
+        try:
+            delete(spark, path)
+        except Exception:  # the session may be gone already
+            return

@@ -6,11 +6,12 @@ from pyspark.sql import functions as F
 
 from tracegraph.functions.geometry import METRICS, vector_l2
 from tracegraph.functions.slots import object_placement, slot_of
-from tracegraph.model import GraphSpec, QuerySpec, Thresholds, TimeRange
+from tracegraph.model import GraphSpec, QuerySpec, Thresholds, TimeRange, TraceGraph
 from tracegraph.operators import baselines as base
 from tracegraph.operators import groups as grp
 from tracegraph.operators import queries as ops
-from tracegraph.operators.layouts import kt_columns, st_columns
+from tracegraph.operators import store
+from tracegraph.operators.layouts import kt_columns, row_key, st_columns
 from tracegraph.operators.replicas import placement, recover_worker, with_workers
 from tracegraph.plans import capacity as cap
 from tracegraph.plans import cost as cm
@@ -18,6 +19,7 @@ from tracegraph.plans import mapping as mp
 from tracegraph.plans.choose import choose_plan
 from tracegraph.sources import tables as t
 from tracegraph.sources.datagen import generate_edges
+from tracegraph.sources.files import scratch, write_edges
 
 from .entries import DAY, EV, HOUR, PC, PL, S0, SE, SO, E, days, entry, fast, near, slot, zcode
 
@@ -210,6 +212,51 @@ def q4_properties_3(s, d):
     return g.edges.groupBy("object_id").agg(F.count(F.lit(1)).alias("n"), F.min("ts_us").alias("first_us"))
 
 
+# --- stores: each property apart, or all of a sub-partition in one value -----------
+
+_PROPS = ["l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
+_SHOP_Q4 = f"""WITH {SE} SELECT DISTINCT a.object_id FROM se a JOIN se b
+  ON a.object_id = b.object_id AND a.ts_us <= b.ts_us WHERE {fast(120)}"""
+
+
+def _kept(s, d, write):
+    """Shop edges stored by (slot, 400 days); returns the graph without edges and the path."""
+    g = t.shop_graph(s, d)
+    path = scratch(s, "store")
+    write(kt_columns(g.edges, g.spec), path, row_key(F.lit("B"), "slot", F.expr("tru div 400"), "worker"), _PROPS)
+    return g, path
+
+
+def _clones_of(g, edges):
+    return ops.clone_objects(TraceGraph(g.locations, edges, None, g.spec), None, 120.0, "stitched")
+
+
+@entry("q4_store_split", _SHOP_Q4)
+def q4_store_split(s, d):
+    g, path = _kept(s, d, store.write_split)
+    return _clones_of(g, store.read_split(s, path, ["object_id", "ts_us", "location_id"]).drop("row_key"))
+
+
+@entry("q4_store_packed", _SHOP_Q4)
+def q4_store_packed(s, d):
+    g, path = _kept(s, d, store.write_packed)
+    return _clones_of(g, store.read_packed(s, path, "row_key string, object_id long, ts_us long, location_id long").drop("row_key"))
+
+
+@entry("op_codec_roundtrip", " UNION ALL ".join(
+    f"SELECT '{c}' AS codec, count(*) AS edges, CAST(sum(l_orderkey * 8 + l_linenumber) AS BIGINT) AS ids FROM lineitem JOIN orders ON l_orderkey = o_orderkey"
+    for c in store.CODECS))
+def op_codec_roundtrip(s, d):
+    edges, out = t.shop_edges(s, d), None
+    for codec in store.CODECS:
+        path = scratch(s, f"codec-{codec}")
+        write_edges(edges, path, compression=codec)
+        sums = s.read.schema(edges.schema).parquet(path).agg(F.count(F.lit(1)).alias("edges"), F.sum("edge_id").alias("ids"))
+        rows = sums.select(F.lit(codec).alias("codec"), "edges", "ids")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
 # --- distribution and replicas ----------------------------------------------
 
 _MAP10 = 10
@@ -482,8 +529,6 @@ def cost_table(s, d):
 def cost_choice(s, d):
     spec = GraphSpec()
     day = TimeRange.days(S0, 1)
-    from tracegraph.model import TraceGraph
-
     g = TraceGraph(None, None, None, spec)
     picks = [(q, choose_plan(QuerySpec(q, (ME,), day), g, cm.CostParams(), 100).plan) for q in cm.QUERIES]
     return s.createDataFrame(picks, "query string, plan string")
@@ -594,8 +639,6 @@ def vector_similar_objects(s, d):
 @entry("vector_clones_cosine")
 def vector_clones_cosine(s, d):
     """Clones under cosine distance, no metric: the all-pairs definition is forced."""
-    from tracegraph.model import TraceGraph
-
     places = t.vector_locations(s, d)
     n = places.count()
     e = t.event_edges(s, d, t.events_days(1)).withColumn("location_id", F.col("edge_id") % n)

@@ -206,6 +206,16 @@ def op_agg_pivot_type(s, d):
     return rows.select("area", *[F.coalesce(k, F.lit(0)).alias(k) for k in kinds])
 
 
+_WEEK = ("mon", "tue", "wed", "thu", "fri", "sat", "sun")
+
+
+@entry("op_agg_pivot_weekday", f"WITH {E} SELECT area, " + ", ".join(f"count(*) FILTER (WHERE (ts_us // {DAY} + 3) % 7 = {i}) AS {w}" for i, w in enumerate(_WEEK)) + " FROM e GROUP BY 1")
+def op_agg_pivot_weekday(s, d):
+    day = F.expr(f"(ts_us div {DAY} + 3) % 7").cast("int")
+    rows = _with_area(s, d).withColumn("day", day).groupBy("area").pivot("day", list(range(7))).agg(count_rows())
+    return rows.select("area", *[F.coalesce(F.col(str(i)), F.lit(0)).alias(w) for i, w in enumerate(_WEEK)])
+
+
 @entry("op_agg_approx_visitors")
 def op_agg_approx_visitors(s, d):
     return _with_area(s, d).groupBy("area").agg(F.approx_count_distinct("object_id").alias("visitors"))
