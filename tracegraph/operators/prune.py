@@ -10,11 +10,18 @@ from tracegraph.model import GraphSpec, Thresholds
 
 #: Rows of a side that is broadcast at most; about 100 MB with the columns used here.
 BROADCAST_ROWS = 2_000_000
+#: Estimated bytes below which a side is broadcast without counting it; an expansion to neighbour keys adds a factor of 27.
+SURELY_SMALL = 4 << 20
 LEVELS = ("none", "time", "both", "cell")
 
 
 def small(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """``df`` with a broadcast hint if it has at most ``limit`` rows, else as it is: the join then shuffles."""
+    """``df`` with a broadcast hint if it has at most ``limit`` rows, else as it is: the join then shuffles.
+
+    Catalyst's own bound on the size settles the clear cases without a job.
+    """
+    if int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) <= SURELY_SMALL:
+        return F.broadcast(df)
     return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df
 
 

@@ -5,6 +5,7 @@ Each builds one DataFrame from derived predicates; all plans and prune levels of
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -16,6 +17,8 @@ from .layouts import kt_columns, located, st_columns
 from .prune import bucket_reach, candidate_join, in_intervals, intervals, neighbours, regions_touching, small
 
 PLANS = ("st", "kt", "kt+st")
+#: Edges of a trace that the driver takes in at most.
+TRACE_ROWS = 20_000
 
 
 class Layouts:
@@ -125,15 +128,23 @@ def similar_objects(
         edges = located(lay.kt(rng), lay.g.locations)
     else:
         edges = lay.st(rng)
+    hint = small
     if plan == "kt+st":
-        # the only trip to the driver: the distinct places of one object's trace
-        points = [(r["x"], r["y"]) for r in trace.select("x", "y").distinct().collect()]
+        # the only trip to the driver: one object's trace, or if that is long its distinct places
+        rows = trace.select("ts_us", "location_id", "x", "y").limit(TRACE_ROWS + 1).collect()
+        if len(rows) <= TRACE_ROWS:
+            columns = {c: pa.array([r[c] for r in rows], pa.int64()) for c in ("ts_us", "location_id", "x", "y")}
+            trace = trace.sparkSession.createDataFrame(pa.table(columns))
+            hint = F.broadcast
+            points = list({(r["x"], r["y"]) for r in rows})
+        else:
+            points = [(r["x"], r["y"]) for r in trace.select("x", "y").distinct().collect()]
         regions = regions_touching(points, th.dist_m, spec)
         # a stored column is skipped by ranges, a derived one is tested by one set lookup
         edges = edges.where(in_intervals("region", intervals(regions)) if lay.stored_st else F.col("region").isin(regions))
     if not include_self:
         edges = edges.where(F.col("object_id") != object_id)
-    pairs = candidate_join(trace, edges.select("object_id", "ts_us", "location_id", "x", "y"), th, spec, prune)
+    pairs = candidate_join(trace, edges.select("object_id", "ts_us", "location_id", "x", "y"), th, spec, prune, hint)
     counts = pairs.groupBy("object_id").agg(F.count(F.lit(1)).alias("similarity")).where(F.col("similarity") >= min_sim)
     ordered = counts.orderBy(F.desc("similarity"), "object_id")
     return ordered.limit(limit) if limit is not None else ordered

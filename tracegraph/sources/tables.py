@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import datetime as dt
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -32,18 +33,21 @@ def _ntz(us: int) -> Column:
 
 
 def event_places(spark: SparkSession) -> DataFrame:
-    """All 500 places, visited or not: five doors for each k, 20 k's in area 0 down to 2 in area 24."""
-    k, t = F.col("id") % 100, F.floor(F.col("id") / 100)
-    area = F.expr("(k * k) div 400")
-    return (
-        spark.range(500)
-        .select(F.col("id").alias("location_id"), k.alias("k"), t.alias("t"))
-        .select("location_id", "k", "t", area.alias("area"))
-        .select(
-            "location_id",
-            (102400 + 204800 * (F.col("area") % 5) + 1500 * (F.col("k") % 7) + 60 * F.col("t")).alias("x"),
-            (102400 + 204800 * F.expr("area div 5") + 1500 * (F.col("k") % 5)).alias("y"),
-            F.col("area").cast("int").alias("area"),
+    """All 500 places, visited or not: five doors for each k, 20 k's in area 0 down to 2 in area 24.
+
+    A local table: coordinates are plain columns for everything that is derived from them.
+    """
+    k = [i % 100 for i in range(500)]
+    kind = [i // 100 for i in range(500)]
+    area = [v * v // 400 for v in k]
+    return spark.createDataFrame(
+        pa.table(
+            {
+                "location_id": pa.array(range(500), pa.int64()),
+                "x": pa.array([102400 + 204800 * (r % 5) + 1500 * (v % 7) + 60 * t for r, v, t in zip(area, k, kind, strict=True)], pa.int64()),
+                "y": pa.array([102400 + 204800 * (r // 5) + 1500 * (v % 5) for r, v in zip(area, k, strict=True)], pa.int64()),
+                "area": pa.array(area, pa.int32()),
+            }
         )
     )
 
