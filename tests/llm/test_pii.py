@@ -91,3 +91,10 @@ def test_sanitise_keeps_columns_and_rows(spark):
         map(str, spark.createDataFrame([(1, "x [EMAIL] y", "k", 11)] * 2 + [(None, None, None, None), (2, "", "__base", 0)], df.schema).collect())
     )
     assert pii.sanitise(df.limit(0)).count() == 0
+
+
+def test_handle_beside_one_address(spark):
+    rows = [(i, f"note{i} by quill7 via q@one.example.org ok") for i in range(8)] + [(100 + i, f"note by other{i} via ok") for i in range(3000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    out = {r["doc_id"]: r["text"] for r in pii.sanitise(df).collect()}
+    assert out[3] == "note3 by [NUMBER] via [EMAIL] ok" and out[103] == "note by other3 via ok"

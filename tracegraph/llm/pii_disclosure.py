@@ -1,12 +1,14 @@
 """PII: information-theoretic sanitisation.
 
 Protected entities are found by pattern (email, ip, card, phone). The corpus then tells how
-strongly other terms reveal them: for a term t and a kind K, P(K|t) is estimated by the number of
-distinct entity values of kind K in documents with t, over the number of documents with t, and
-taken at its lower confidence bound. t discloses K when the pointwise mutual information
-log2(P(K|t) / P(K)) reaches ``tau`` of K's information content -log2 P(K). In documents that hold an entity
-of kind K, terms disclosing K become spans of kind ``term``: numbers are generalised, other terms removed.
-Distinct values, not documents, are counted on top, so copies of one document prove nothing.
+strongly other terms reveal them. All counts are of distinct texts, so copies of a document prove nothing.
+For a term t and one entity value v, t discloses v when the pointwise mutual information log2(P(v|t) / P(v))
+reaches ``tau`` of v's information content -log2 P(v), and their meeting is no chance: the bound exp(-n KL(c/n, h/N))
+on the probability that c of the n texts with t hold v (h of all N do), times the number of (term, value)
+pairs that could meet, stays under the normal tail beyond ``z``. A term discloses a whole kind K in the same way,
+with P(K|t) taken at its lower confidence bound. Documents that hold v, or an entity of kind K, get spans
+of kind ``term`` for the terms disclosing it: numbers are generalised, other terms removed.
+Near copies are different texts: what they share beside an address does disclose it.
 
 Native: patterns run inside the row as built-in expressions; all patterns are linear in the text
 (possessive loops, starts anchored at the edge of a run). Documents are gated by a character
@@ -19,6 +21,8 @@ Other columns pass through the sanitiser untouched (n_chars, if there, follows t
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -112,12 +116,13 @@ def _term_places(text: Column, term: Column) -> Column:
 
 
 def find_entities(docs: DataFrame, carry: list[str]) -> DataFrame:
-    """Stored: ``carry``, __row, __base (spans) and __text, the latter only where there are spans."""
+    """Stored: ``carry``, __row, __h0 and __h1 (of the text), __base (spans) and __text, the latter only where there are spans."""
     spans = docs.select(*carry, F.col("text").alias("__t"), base_spans(F.col("text")).alias("__base"))
     return materialise(
         spans.select(
             *carry,
             F.monotonically_increasing_id().alias("__row"),
+            *[h.alias(f"__h{i}") for i, h in enumerate(_hashes("__t"))],
             "__base",
             F.when(F.size("__base") > 0, F.col("__t")).alias("__text"),
         ),
@@ -125,43 +130,56 @@ def find_entities(docs: DataFrame, carry: list[str]) -> DataFrame:
     )
 
 
-def disclosing_terms(docs: DataFrame, found: DataFrame, tau: float, z: float, min_values: int) -> DataFrame:
-    """(term, kind) that reveal entities of the kind: stored, with the estimates."""
-    hits = found.where(F.size("__base") > 0)
-    kinds = hits.select(F.explode(F.array_distinct(F.transform("__base", lambda s: s["kind"]))).alias("kind"))
-    prior = kinds.groupBy("kind").agg(F.count(F.lit(1)).alias("holders"))
-    total = docs.select(F.count(F.lit(1)).alias("docs"))
-    words = hits.select(
-        F.explode(
-            F.array_distinct(
-                F.filter(F.split("__text", SPACE_CLASS), lambda w: w != "")
-            )
-        ).alias("term"),
-        F.array_distinct(F.transform("__base", lambda s: F.struct(s["kind"].alias("kind"), F.xxhash64(s["value"]).alias("v")))).alias("e"),
-    ).select("term", F.explode("e").alias("e"))
-    together = (
-        words.select("term", F.col("e.kind").alias("kind"), F.col("e.v").alias("v"))
-        .distinct()
-        .groupBy("term", "kind")
-        .agg(F.count(F.lit(1)).alias("values"))
-        .where(F.col("values") >= min_values)
+def _hashes(name: str) -> list[Column]:
+    text = F.coalesce(F.col(name), F.lit(""))
+    return [F.xxhash64(text), F.xxhash64(text, F.lit(1))]
+
+
+def _marks() -> Column:
+    """What a text protects: each of its values, and each kind as a whole (kind + len(KINDS), 0)."""
+    values = F.transform("__base", lambda s: F.struct(s["kind"].alias("kind"), F.xxhash64(s["value"]).alias("v")))
+    kinds = F.transform("__base", lambda s: F.struct((s["kind"] + len(KINDS)).alias("kind"), F.lit(0).cast("long").alias("v")))
+    return F.array_distinct(F.concat(values, kinds))
+
+
+def _terms(name: str) -> Column:
+    return F.array_distinct(F.filter(F.split(F.coalesce(F.col(name), F.lit("")), SPACE_CLASS), lambda w: w != ""))
+
+
+def disclosing_terms(docs: DataFrame, found: DataFrame, tau: float, z: float) -> DataFrame:
+    """term, kind and v (see ``_marks``) of what each disclosing term reveals: stored, with the estimates."""
+    hits = found.where(F.size("__base") > 0).select("__h0", "__h1", "__base", "__text")
+    once = store(hits.dropDuplicates(["__h0", "__h1"]).select(_marks().alias("marks"), _terms("__text").alias("terms")), "pii-once")
+    texts = docs.select("text", *[h.alias(f"h{i}") for i, h in enumerate(_hashes("text"))]).dropDuplicates(["h0", "h1"])
+    holds = store(texts.select(F.explode(_terms("text")).alias("term")).groupBy("term").agg(F.count(F.lit(1)).alias("n")), "pii-holds")
+    marks = store(once.df.select(F.explode("marks").alias("m")).groupBy("m.kind", "m.v").agg(F.count(F.lit(1)).alias("h")), "pii-marks")
+    total = found.select("__h0", "__h1").distinct().count()
+    tests = holds.df.count() * marks.df.where(F.col("kind") < len(KINDS)).count()
+    need = math.log(max(tests, 1) / (math.erfc(z / math.sqrt(2)) / 2))
+    # the least a pair needs, were all texts of the term and of the mark the same ones: no other can pass below
+    rare = max(total, 2) ** (tau - 1)
+    c, h, n, every = F.col("c").cast("double"), F.col("h").cast("double"), F.col("n").cast("double"), F.lit(float(total))
+    whole = F.col("kind") >= len(KINDS)
+    hope = F.when(whole, c >= z * z * rare / (1 - rare) - 1e-6).otherwise(c * F.log(every / c) >= need - 1e-6)
+    pairs = once.df.select(F.explode("terms").alias("term"), "marks").select("term", F.explode("marks").alias("m"))
+    candidates = store(
+        pairs.groupBy("term", "m.kind", "m.v").agg(F.count(F.lit(1)).alias("c")).where(hope).withColumn("salt", F.pmod(F.xxhash64("term"), F.lit(16))),
+        "pii-terms",
     )
-    candidates = store(together, "pii-terms")
-    holds = docs.select(
-        F.explode(F.array_distinct(F.split(F.coalesce("text", F.lit("")), SPACE_CLASS))).alias("term")
-    ).groupBy("term").agg(F.count(F.lit(1)).alias("n"))
-    n, k = F.col("n").cast("double"), F.least(F.col("values"), F.col("n")).cast("double")
-    p = k / n
-    low = (p + z * z / (2 * n) - z * F.sqrt(p * (1 - p) / n + z * z / (4 * n * n))) / (1 + z * z / n)
+    salted = marks.df.where((F.col("h") > 1) | F.lit(math.log(max(total, 1)) >= need)).withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(15).cast("long"))))
+    q, p0 = c / n, h / every
+    low = (q + z * z / (2 * n) - z * F.sqrt(q * (1 - q) / n + z * z / (4 * n * n))) / (1 + z * z / n)
+    chance = n * (q * F.log(q / p0) + F.when(q < 1, (1 - q) * F.log((1 - q) / (1 - p0))).otherwise(0.0))
     scored = (
-        candidates.df.join(holds, "term")
-        .join(F.broadcast(prior), "kind")  # at most one row for each kind
-        .join(F.broadcast(total), F.lit(True))  # one row
-        .withColumn("content", -F.log2(F.col("holders") / F.col("docs")))
-        .withColumn("pmi", F.log2(F.greatest(low, F.lit(1e-12))) + F.col("content"))
+        candidates.df.join(salted, ["kind", "v", "salt"])
+        .join(holds.df, "term")
+        .withColumn("content", -F.log2(p0))
+        .withColumn("pmi", F.log2(F.greatest(F.when(whole, low).otherwise(q), F.lit(1e-12))) + F.col("content"))
+        .where((F.col("content") > 0) & (F.col("pmi") >= tau * F.col("content")) & (whole | (chance >= need)))
     )
-    out = store(scored.where((F.col("content") > 0) & (F.col("pmi") >= tau * F.col("content"))).select("term", "kind", "n", "values", "pmi", "content"), "pii-disclosing")
-    candidates.drop()
+    out = store(scored.select("term", "kind", "v", "n", "c", "pmi", "content"), "pii-disclosing")
+    for x in (once, holds, marks, candidates):
+        x.drop()
     return out.df
 
 
@@ -171,14 +189,11 @@ def term_spans(found: DataFrame, terms: DataFrame) -> DataFrame:
     Words are matched without the text; only documents that hold a disclosing term are read again.
     """
     hits = found.where(F.size("__base") > 0)
-    words = hits.select(
-        "__row",
-        F.array_distinct(F.transform("__base", lambda s: s["kind"])).alias("kinds"),
-        F.explode(F.array_distinct(F.filter(F.split("__text", SPACE_CLASS), lambda w: w != ""))).alias("term"),
-    )
+    words = hits.select("__row", _marks().alias("marks"), F.explode(_terms("__text")).alias("term"))
+    reveals = terms.groupBy("term").agg(F.collect_set(F.struct("kind", "v")).alias("what"))
     mine = (
-        words.join(terms.select("term", "kind"), "term")
-        .where(F.array_contains("kinds", F.col("kind")))
+        words.join(reveals, "term")
+        .where(F.arrays_overlap("marks", "what"))
         .groupBy("__row")
         .agg(F.array_sort(F.collect_set("term")).alias("terms"))
     )
@@ -192,12 +207,12 @@ def term_spans(found: DataFrame, terms: DataFrame) -> DataFrame:
 
 
 def protected(
-    docs: DataFrame, carry: list[str], tau: float = 0.9, z: float = 4.0, min_values: int = 30
+    docs: DataFrame, carry: list[str], tau: float = 0.9, z: float = 4.0
 ) -> DataFrame:
     """``carry`` plus __base and __more spans for each row."""
     found = find_entities(docs, carry)
-    terms = disclosing_terms(docs, found, tau, z, min_values)
-    return found.join(term_spans(found, terms), "__row", "left").withColumn(
+    terms = disclosing_terms(docs, found, tau, z)
+    return found.drop("__h0", "__h1").join(term_spans(found, terms), "__row", "left").withColumn(
         "__more", F.coalesce("__more", F.array().cast(SPAN))
     )
 
