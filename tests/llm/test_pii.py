@@ -98,3 +98,18 @@ def test_handle_beside_one_address(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string")
     out = {r["doc_id"]: r["text"] for r in pii.sanitise(df).collect()}
     assert out[3] == "note3 by [NUMBER] via [EMAIL] ok" and out[103] == "note by other3 via ok"
+
+
+@pytest.mark.parametrize("copies", [1, 2, 150])
+def test_copies_change_no_estimate(spark, copies):
+    rows = [(i, f"badge mail u{i}@corp.example.org x{i}") for i in range(200)] + [(1000 + i, f"plain text {i} mail") for i in range(20_000)]
+    rows += [(50_000 + i, rows[i % 200 if copies == 2 else 7][1]) for i in range({1: 0, 2: 200, 150: 149}[copies])]
+    out = pii.sanitise(spark.createDataFrame(rows, "doc_id long, text string")).where("doc_id = 5").first()
+    assert out["text"] == "[TERM] mail [EMAIL] x5"
+
+
+def test_many_values_in_one_text_count_once(spark):
+    rows = [(0, "lot " + " ".join(f"m{i}@corp.example.org" for i in range(200)))] + [(i, f"lot number {i}") for i in range(1, 200)]
+    rows += [(1000 + i, f"plain {i}") for i in range(20_000)]
+    out = pii.sanitise(spark.createDataFrame(rows, "doc_id long, text string")).where("doc_id = 0").first()
+    assert out["text"].startswith("lot [EMAIL]")
