@@ -225,6 +225,21 @@ def test_wrapper_finds_template_and_slots(spark):
     assert wi.extract_pages(df.limit(0)).count() == 0
 
 
+def test_wrapper_keeps_all_that_varies():
+    def page(i):
+        return (f"<body><div class=top>All the news</div><div class=post><h1>Title {i}</h1><p class=lead>Lead {i}</p>"
+                f"<div class=body>{''.join(f'<p>body {i} part {k} {"word " * 30}</p>' for k in range(9))}</div></div></body>")
+
+    lines = wi.extract(page(7), wi.induce([page(i) for i in range(12)])).split("\n")
+    assert lines[:2] == ["Title 7", "Lead 7"] and len(lines) == 11
+
+
+def test_named_inline_elements_split_no_paragraph():
+    assert wi.extract("<p>one <span class=ad>buy</span>two</p>") == "one two"
+    assert wi.extract("<span class='ad'><div>only</div></span>") == wi.extract("<p><span class=ad>only</span>") == "only"
+    assert wi.extract("<span class=ad>" * 50_000 + "<div>deep") == "deep"
+
+
 def test_tree_matching_counts_a_known_pair():
     a = wi.reduced([(("b", "p"), "x"), (("b", "div"), "y"), (("b", "p"), "z")])
     b = wi.reduced([(("b", "p"), "x"), (("b", "p"), "z")])
