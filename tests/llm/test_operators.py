@@ -234,6 +234,13 @@ def test_wrapper_keeps_all_that_varies():
     assert lines[:2] == ["Title 7", "Lead 7"] and len(lines) == 11
 
 
+@pytest.mark.parametrize("open_", ["<body class='has-sidebar'><div>", "<body><main class='no-sidebar'>", "<body><div class='content with-comments'>", "<body><article class='share-enabled'>", "<body class=sidebar><div>", "<body><div class='content comments'>"])
+def test_names_lose_no_article(open_):
+    pages = [f"{open_}<h1>Title {i}</h1><p>body {i} at some length<div class=ad>buy {i}</div>" for i in range(8)]
+    assert wi.extract(pages[3], wi.induce(pages)).split("\n") == ["Title 3", "body 3 at some length"]
+    assert wi.extract(pages[3]).startswith("Title 3\nbody 3 at some length")
+
+
 def test_named_inline_elements_split_no_paragraph():
     assert wi.extract("<p>one <span class=ad>buy</span>two</p>") == "one two"
     assert wi.extract("<span class='ad'><div>only</div></span>") == wi.extract("<p><span class=ad>only</span>") == "only"
