@@ -306,6 +306,12 @@ def op_sort_trace(s, d):
     return t.shop_edges(s, d).where("object_id < 20").select("object_id", "ts_us", "location_id").orderBy("object_id", "ts_us", "location_id")
 
 
+@entry("op_sort_trace_all", f"WITH {SO} SELECT object_id, ts_us, location_id FROM so")
+def op_sort_trace_all(s, d):
+    """The full order; ``op_sort_trace`` holds the objects below 20 only."""
+    return t.shop_edges(s, d).select("object_id", "ts_us", "location_id").orderBy("object_id", "ts_us", "location_id")
+
+
 # --- sets ----------------------------------------------------------------------------------
 
 
