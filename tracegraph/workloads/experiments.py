@@ -169,6 +169,11 @@ def q3_all_pairs(s, d):
     return ops.all_similar_pairs(_ev(s, d, 3), t.events_days(3), NARROW)
 
 
+@entry("q3_all_pairs_month")
+def q3_all_pairs_month(s, d):
+    return ops.all_similar_pairs(_ev(s, d, 30), t.events_days(30), NARROW)
+
+
 # --- Q4 --------------------------------------------------------------------
 
 
@@ -625,9 +630,18 @@ def group_moves(s, d):
   SELECT b.object_id, count(*) AS similarity FROM m a JOIN m b ON a.object_id = 7 AND b.object_id <> 7 AND abs(a.ts_us - b.ts_us) <= 36000000000
   AND round(list_distance(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 9) <= 10 GROUP BY 1""")
 def vector_similar_objects(s, d):
+    return _vector_similar(s, d, 1)
+
+
+@entry("vector_similar_objects_month")
+def vector_similar_objects_month(s, d):
+    return _vector_similar(s, d, 30)
+
+
+def _vector_similar(s, d, days_):
     places = t.vector_locations(s, d)
     n = places.count()
-    e = t.event_edges(s, d, t.events_days(1)).select("object_id", "ts_us", (F.col("edge_id") % n).alias("location_id"))
+    e = t.event_edges(s, d, t.events_days(days_)).select("object_id", "ts_us", (F.col("edge_id") % n).alias("location_id"))
     m = e.join(places.select("location_id", "embedding"), "location_id")
     # no grid in a vector space: the trace meets edges in neighbouring time buckets, then by exact distance
     a = m.where(F.col("object_id") == ME).select(F.col("ts_us").alias("ta"), F.col("embedding").alias("va"), F.explode(F.expr(f"sequence(ts_us div {10 * HOUR} - 1, ts_us div {10 * HOUR} + 1)")).alias("tb"))
@@ -641,16 +655,24 @@ def vector_clones_cosine(s, d):
     """Clones under cosine distance, no metric: the all-pairs definition is forced."""
     places = t.vector_locations(s, d)
     n = places.count()
-    e = t.event_edges(s, d, t.events_days(1)).withColumn("location_id", F.col("edge_id") % n)
+    e = t.event_edges(s, d, t.events_days(30)).withColumn("location_id", F.col("edge_id") % n)
     g = TraceGraph(places.select("location_id", "embedding"), e, None, t.EVENTS_SPEC)
-    return ops.clone_objects(g, t.events_days(1), 1e-4, metric="cosine")
+    return ops.clone_objects(g, t.events_days(30), 1e-4, metric="cosine")
 
 
 @entry("vector_near_places", """SELECT a.vec_id AS a, b.vec_id AS b, round(list_distance(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS dist FROM embeddings a JOIN embeddings b
   ON a.vec_id < 3 AND b.vec_id <> a.vec_id WHERE round(list_distance(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) <= 9""")
 def vector_near_places(s, d):
-    v = t.vector_locations(s, d)
-    q = v.where("location_id < 3").select(F.col("location_id").alias("a"), F.col("embedding").alias("ea"))  # three query vectors
+    return _vector_near(t.vector_locations(s, d), "location_id < 3")  # three query vectors
+
+
+@entry("vector_near_places_all")
+def vector_near_places_all(s, d):
+    return _vector_near(t.vector_locations(s, d), "location_id % 100 = 0")
+
+
+def _vector_near(v, wanted):
+    q = v.where(wanted).select(F.col("location_id").alias("a"), F.col("embedding").alias("ea"))
     dist = F.round(METRICS["vector_l2"].distance("ea", "embedding"), 6)
     return v.join(F.broadcast(q), F.col("a") != F.col("location_id")).select("a", F.col("location_id").alias("b"), dist.alias("dist")).where("dist <= 9")
 
