@@ -1,9 +1,10 @@
 """Packing: non-negative least squares over shallow length combinations.
 
-Documents are tokenised and cut into pieces of one window at most. Combinations of up to four lengths
-that fill a window well are enumerated from the histogram of piece lengths; their repeat counts solve a
-non-negative least squares problem against the histogram, are rounded down to what is there, and what remains
-is packed greedily (largest piece first, then the largest that fits).
+Documents are tokenised and cut into pieces of one window at most. Combinations of few lengths (four, more
+only where pieces are too short for four to fill a window) are enumerated from the histogram of piece lengths; their repeat counts solve a
+non-negative least squares problem against the histogram. Whole parts are taken first, then the largest fractions
+are rounded up while pieces last, best filled windows before others. What is left is a smaller histogram, which is enumerated and solved again
+until a round places little; the residual is packed greedily (largest piece first, then the largest that fits).
 
 The plan works on the histogram alone, which has one number per length: it is solved on the driver, whatever the
 corpus. Pieces then find their place by their rank among the pieces of their length, taken without
@@ -16,6 +17,7 @@ texts of any length are tokenised whole; an empty table gives an empty result; o
 from __future__ import annotations
 
 import json
+import math
 import re
 import zlib
 from collections.abc import Iterator
@@ -28,8 +30,12 @@ from pyspark.sql import functions as F
 
 from .common import gapless_rank, materialise, store, table
 
-#: Runs that a regex-driven tokeniser handles badly go to the reference library.
-_LONG_RUN = re.compile(r"\S{5000}|\s{5000}")
+#: White space so long overflows the stack of the fast encoder's pattern: the library takes such texts, with equal ids.
+_LONG_SPACE = re.compile(r"\s{100000}")
+#: A window is well filled from this share on.
+FULL = 0.98
+#: Pieces of one length that a task ranks.
+RANK_ROWS = 200_000
 
 
 @cache
@@ -37,14 +43,19 @@ def encoder(path: str):
     """text -> ids (numpy uint32), equal to the tokenizers library on the file, special strings included.
 
     The fast path is a byte-pair encoder of the tiktoken library over the same vocabulary: in this kind of file
-    a token's id is its merge rank. Texts that hold an added token's string, or very long runs, take the library itself.
+    a token's id is its merge rank. Added tokens' strings are cut out first, as the library does; texts with
+    extremely long white space take the library itself. Tests hold both against each other over the whole vocabulary and random texts.
     """
     import tiktoken
     from tokenizers import Tokenizer
 
     with open(path, encoding="utf-8") as f:
         spec = json.load(f)
-    added = [t["content"] for t in spec.get("added_tokens", [])]
+    tokens = spec.get("added_tokens", [])
+    if any(t.get("lstrip") or t.get("rstrip") or t.get("single_word") for t in tokens):
+        raise ValueError("added tokens that take in the text around them are not supported")
+    added = {t["content"]: t["id"] for t in tokens}
+    apart = re.compile("|".join(re.escape(t) for t in sorted(added, key=len, reverse=True)) or r"(?!)")
     slow = Tokenizer.from_file(path)
     import public_tokenizers
 
@@ -52,9 +63,13 @@ def encoder(path: str):
     fast = tiktoken.Encoding("file", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
     def encode(text: str) -> np.ndarray:
-        if any(t in text for t in added) or (len(text) > 5000 and _LONG_RUN.search(text)):
+        if len(text) > 100_000 and _LONG_SPACE.search(text):
             return np.array(slow.encode(text, add_special_tokens=False).ids, np.uint32)
-        return np.array(fast.encode_ordinary(text), np.uint32)
+        out, at = [], 0
+        for m in apart.finditer(text):
+            out += [*fast.encode_ordinary(text[at : m.start()]), added[m.group()]]
+            at = m.end()
+        return np.array(out + fast.encode_ordinary(text[at:]) if out else fast.encode_ordinary(text), np.uint32)
 
     return encode
 
@@ -95,8 +110,8 @@ def pieces(docs: DataFrame, tokenizer: str, window: int, end_id: int, carry_ids:
     return docs.select("doc_id", "text").mapInArrow(run, schema)
 
 
-def combinations(lengths: np.ndarray, window: int) -> list[tuple[int, ...]]:
-    """Combinations of at most four of ``lengths`` that leave little of the window: the last always the largest that fits."""
+def combinations(lengths: np.ndarray, window: int, depth: int = 4) -> list[tuple[int, ...]]:
+    """Combinations of at most ``depth`` of ``lengths`` that leave little of the window: each ends with the largest that fits."""
     have = np.sort(lengths)
 
     def fit(room: int) -> int:
@@ -104,34 +119,40 @@ def combinations(lengths: np.ndarray, window: int) -> list[tuple[int, ...]]:
         return int(have[i]) if i >= 0 else 0
 
     found = set()
+
+    def close(start: list[int]) -> None:
+        combo, room = [n for n in start if n], window - sum(start)
+        while len(combo) < depth and (n := fit(room)):
+            combo.append(n)
+            room -= n
+        found.add(tuple(sorted(combo, reverse=True)))
+
     for first in have.tolist():
-        found.add((first,))
         rest = window - first
-        for share in (1.0, 0.75, 0.5, 0.34, 0.2):
+        close([first])
+        for many in range(2, depth + 1 if depth > 4 else 2):  # short pieces: the rest in even parts
+            combo = [first]
+            while len(combo) < many and (n := fit((window - sum(combo)) // (many - len(combo)))):
+                combo.append(n)
+            close(combo)
+        for share in (0.75, 0.5, 0.34, 0.2):
             second = fit(int(rest * share))
-            if not second:
-                continue
-            third = fit(rest - second)
-            if not third:
-                found.add(tuple(sorted((first, second), reverse=True)))
-                continue
-            found.add(tuple(sorted((first, second, third), reverse=True)))
-            half = fit((rest - second) // 2)
-            fourth = fit(rest - second - half) if half else 0
-            if fourth:
-                found.add(tuple(sorted((first, second, half, fourth), reverse=True)))
+            if second:
+                close([first, second])
+                close([first, second, fit((rest - second) // 2)])
     return sorted(found, reverse=True)
 
 
-def repeat_counts(combos: list[tuple[int, ...]], histogram: dict[int, int], window: int, sweeps: int = 60) -> np.ndarray:
+def repeat_counts(combos: list[tuple[int, ...]], histogram: dict[int, int], window: int, sweeps: int = 40) -> np.ndarray:
     """Non-negative x with A x near the histogram (A: how often a combination holds a length).
 
     Coordinate descent, exact in each coordinate; a small price on wasted room decides between equal fits.
     """
+    top = max(histogram.values())
     rest = {k: float(v) for k, v in histogram.items()}
     parts = [[(n, c.count(n)) for n in sorted(set(c))] for c in combos]
     norm = [float(sum(m * m for _, m in p)) for p in parts]
-    price = [0.05 * (window - sum(c)) / window * max(rest.values()) for c in combos]
+    price = [0.05 * (window - sum(c)) / window * top for c in combos]
     x = [0.0] * len(combos)
     for _ in range(sweeps):
         moved = 0.0
@@ -143,37 +164,67 @@ def repeat_counts(combos: list[tuple[int, ...]], histogram: dict[int, int], wind
                 for n, m in p:
                     rest[n] -= m * step
                 moved = max(moved, abs(step))
-        if moved < 0.25:
+        if moved < max(0.25, 1e-3 * top):
             break
     return np.array(x)
 
 
-def plan(histogram: dict[int, int], window: int) -> list[tuple[int, tuple[int, ...]]]:
-    """(repeats, combination): together they hold every piece of the histogram once."""
-    rest = {k: v for k, v in histogram.items() if v}
-    chosen: list[tuple[int, tuple[int, ...]]] = []
+class Plan:
+    """What is left of a histogram, the sequences chosen so far, and how many pieces each step placed."""
+
+    def __init__(self, histogram: dict[int, int]):
+        self.rest = {k: v for k, v in histogram.items() if v}
+        self.chosen: list[tuple[int, tuple[int, ...]]] = []
+        self.placed = {"whole": 0, "solved": 0, "greedy": 0}
 
-    def use(combo: tuple[int, ...], times: int) -> None:
-        times = min([times, *(rest.get(n, 0) // combo.count(n) for n in set(combo))])
+    def use(self, combo: tuple[int, ...], times: int, step: str) -> int:
+        """Take ``times`` sequences of a combination, or as many as there are pieces for."""
+        times = min([times, *(self.rest.get(n, 0) // combo.count(n) for n in set(combo))])
         if times > 0:
-            chosen.append((times, combo))
+            self.chosen.append((times, combo))
+            self.placed[step] += times * len(combo)
             for n in combo:
-                rest[n] -= times
-                if not rest[n]:
-                    del rest[n]
-
-    if window in rest:
-        use((window,), rest[window])
-    if rest:
-        combos = combinations(np.array(list(rest)), window)
-        x = repeat_counts(combos, rest, window)
-        order = sorted(range(len(combos)), key=lambda j: (window - sum(combos[j]), -x[j]))
-        for j in order:
-            if sum(combos[j]) >= window * 0.98:  # badly filled ones are left to the greedy step
-                use(combos[j], int(x[j]))
-    while rest:
-        have = np.array(sorted(rest))
-        room, combo, left = window, [], dict(rest)
+                self.rest[n] -= times
+                if not self.rest[n]:
+                    del self.rest[n]
+        return times
+
+
+def solve_round(p: Plan, window: int) -> int:
+    """One round of enumeration, solution and rounding; returns how many pieces it placed."""
+    pieces = sum(p.rest.values())
+    if not pieces:
+        return 0
+    # four lengths as a rule; where pieces are so short that four leave a window half empty, as many as fill it
+    depth = max(4, math.ceil(1.5 * window * pieces / sum(n * c for n, c in p.rest.items())))
+    combos = [c for c in combinations(np.array(list(p.rest)), window, depth) if sum(c) >= FULL * window]
+    if not combos:
+        return 0
+    combos.sort(key=lambda c: (window - sum(c), len(c), c))
+    x = repeat_counts(combos, p.rest, window)
+    before = p.placed["solved"]
+    for j in np.flatnonzero(x >= 1):
+        p.use(combos[j], int(x[j]), "solved")
+    part = x - np.floor(x)
+    for j in np.lexsort((np.arange(len(x)), -part)):
+        if part[j] < 0.02:
+            break
+        p.use(combos[j], 1, "solved")
+    return p.placed["solved"] - before
+
+
+def make_plan(histogram: dict[int, int], window: int, rounds: int = 12) -> Plan:
+    """Sequences that together hold every piece of the histogram once."""
+    p = Plan(histogram)
+    if window in p.rest:
+        p.use((window,), p.rest[window], "whole")
+    for _ in range(rounds):
+        left = sum(p.rest.values())
+        if solve_round(p, window) * 20 < left or not p.rest:
+            break
+    while p.rest:
+        have = np.array(sorted(p.rest))
+        room, combo, left = window, [], dict(p.rest)
         while have.size and (i := int(np.searchsorted(have, room, "right")) - 1) >= 0:
             n = int(have[i])
             combo.append(n)
@@ -181,8 +232,13 @@ def plan(histogram: dict[int, int], window: int) -> list[tuple[int, tuple[int, .
             left[n] -= 1
             if not left[n]:
                 have = np.delete(have, i)
-        use(tuple(combo), min(rest[n] // combo.count(n) for n in set(combo)))
-    return chosen
+        p.use(tuple(combo), min(p.rest[n] // combo.count(n) for n in set(combo)), "greedy")
+    return p
+
+
+def plan(histogram: dict[int, int], window: int) -> list[tuple[int, tuple[int, ...]]]:
+    """(repeats, combination): together they hold every piece of the histogram once."""
+    return make_plan(histogram, window).chosen
 
 
 def intervals(chosen: list[tuple[int, tuple[int, ...]]]) -> tuple[np.ndarray, ...]:
@@ -228,7 +284,9 @@ def pack(docs: DataFrame, tokenizer: str, window: int = 2048, end_id: int = 1, c
     cut = store(pieces(docs, tokenizer, window, end_id, carry_ids), "pack-pieces")
     counts = cut.df.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()  # at most one row for each length
     chosen = plan({r["length"]: r["n"] for r in counts}, window)
-    bucket = F.pmod(F.xxhash64("doc_id", "start"), F.lit(256))
+    # a length's pieces are ranked in buckets of RANK_ROWS rows or so, however many there are
+    buckets = max(1, math.ceil(max((r["n"] for r in counts), default=0) / RANK_ROWS))
+    bucket = F.pmod(F.xxhash64("doc_id", "start"), F.lit(buckets))
     ranked = gapless_rank(cut.df, ["length"], bucket, ["doc_id", "start", "ids_crc32"], "rank")
     out = placed(ranked.select(*cut.df.columns, "rank"), chosen)
     done = materialise(out, "pack-out")
