@@ -1,11 +1,12 @@
 """License scans: ordered signature rules.
 
-Several hundred regular expressions, spelled out from families of licenses, their
-names, versions and the phrases they appear in, run over a text's lower-cased words. A rule is tried only
+The hand-written regular expressions of ``license_pack`` run over a text's lower-cased words. A rule is tried only
 where its keyword occurs. Detections are kept in order of priority; one that lies inside the
 interval of a kept detection is suppressed. The base phrases keep their labels whatever happens.
 
 One pass over each text with bounded state: no shuffle. The style is a vectorised map over Arrow batches.
+Places become word numbers by one index of a text's spaces, containment by one tree of prefix maxima: time is
+in proportion to the text, and to the hits times their logarithm.
 
 Defined results: null text counts as empty: no words, no labels, score 0. Texts of any length are searched whole.
 Repeated rows are judged alike; an empty table gives an empty result; other columns are ignored.
@@ -18,78 +19,17 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
+from . import license_pack
 from .common import table
 from .shingles import plain_words
 
 #: Phrases of the contract and their labels.
 BASE = (("cc by", "cc-by"), ("general public license", "gpl"), ("all rights reserved", "reserved"))
 
-#: label, names (already as words), versions
-FAMILIES = (
-    ("apache", ("apache", "apache software"), ("1.0", "1.1", "2.0")),
-    ("mit", ("mit", "expat"), ()),
-    ("bsd", ("bsd", "berkeley software distribution", "bsd 2 clause", "bsd 3 clause", "new bsd", "simplified bsd"), ()),
-    ("gpl", ("gpl", "gnu gpl", "gnu general public"), ("1", "2", "3", "2.0", "3.0")),
-    ("lgpl", ("lgpl", "gnu lgpl", "gnu lesser general public", "gnu library general public"), ("2", "2.1", "3", "3.0")),
-    ("agpl", ("agpl", "gnu agpl", "gnu affero general public"), ("3", "3.0")),
-    ("fdl", ("gfdl", "gnu free documentation"), ("1.1", "1.2", "1.3")),
-    ("mpl", ("mpl", "mozilla public"), ("1.0", "1.1", "2.0")),
-    ("epl", ("epl", "eclipse public"), ("1.0", "2.0")),
-    ("cddl", ("cddl", "common development and distribution"), ("1.0", "1.1")),
-    ("isc", ("isc", "internet systems consortium"), ()),
-    ("artistic", ("artistic", "perl artistic"), ("1.0", "2.0")),
-    ("zlib", ("zlib", "zlib libpng"), ()),
-    ("boost", ("boost software", "bsl"), ("1.0",)),
-    ("eupl", ("eupl", "european union public"), ("1.0", "1.1", "1.2")),
-    ("odbl", ("odbl", "open database"), ("1.0",)),
-    ("ofl", ("ofl", "sil open font"), ("1.0", "1.1")),
-    ("unlicense", ("unlicense",), ()),
-    ("wtfpl", ("wtfpl", "do what the fuck you want to public"), ("2",)),
-)
-#: label, words after "cc" or "creative commons"
-COMMONS = (
-    ("cc-by", "by|attribution"),
-    ("cc-by-sa", "by sa|attribution share ?alike"),
-    ("cc-by-nc", "by nc|attribution non ?commercial"),
-    ("cc-by-nd", "by nd|attribution no ?deriv(?:s|atives)"),
-    ("cc-by-nc-sa", "by nc sa|attribution non ?commercial share ?alike"),
-    ("cc-by-nc-nd", "by nc nd|attribution non ?commercial no ?deriv(?:s|atives)"),
-)
-COMMONS_VERSIONS = ("1.0", "2.0", "2.5", "3.0", "4.0")
-#: phrase around a license name, keyword, confidence; {n} is the name, {v} its version if it has one
-PHRASES = (
-    ("(?:licen[sc]ed|released|distributed|published|available) under (?:the )?(?:terms of )?(?:the )?{n}(?: licen[sc]e)?{v}", " under ", 1.0),
-    ("spdx licen[sc]e identifier {n}{v}(?: only| or later)?", "spdx", 1.0),
-    ("{n} licen[sc]e{v}", "licen", 0.9),
-    ("licen[sc]e {n}{v}", "licen", 0.8),
-)
-#: label, expression, keyword, confidence
-SINGLES = (
-    ("copyright", "copyright(?: c)? [0-9]{4}(?: [0-9]{4})?", "copyright", 0.7),
-    ("copyright", "(?:c )?copyright (?:by|holders?|owners?|notice)", "copyright", 0.5),
-    ("reserved", "(?:all|some|no) rights reserved", "reserved", 0.7),
-    ("public-domain", "(?:in|into|to) the public domain", "public domain", 0.8),
-    ("public-domain", "dedicated to the public domain", "public domain", 0.9),
-    ("cc0", "cc ?0(?: 1 0)?(?: universal)?", "cc", 0.9),
-    ("cc0", "creative commons zero", "creative commons", 0.9),
-    ("mit", "permission is hereby granted free of charge to any person obtaining a copy", "permission", 1.0),
-    ("isc", "permission to use copy modify and or distribute this software for any purpose", "permission", 1.0),
-    ("bsd", "redistribution and use in source and binary forms with or without modification", "redistribution", 1.0),
-    ("gpl", "under the terms of the gnu general public license", "gnu", 1.0),
-    ("warranty", "(?:without|no) warrant(?:y|ies)(?: of any kind)?", "warrant", 0.4),
-    ("warranty", "provided as is", "as is", 0.4),
-    ("proprietary", "proprietary and confidential", "proprietary", 0.8),
-    ("proprietary", "unauthori[sz]ed (?:copying|use|distribution)", "unauthori", 0.7),
-    ("commercial", "commercial licen[sc]e", "commercial", 0.6),
-    ("apache", "www apache org licenses license 2 0", "apache org", 1.0),
-    ("gpl", "www gnu org licenses gpl", "gnu org", 1.0),
-    ("mit", "opensource org licenses mit", "opensource", 1.0),
-    ("mpl", "mozilla org mpl", "mozilla org", 1.0),
-)
-
 
 @dataclass(frozen=True)
 class Rule:
@@ -99,31 +39,11 @@ class Rule:
     confidence: float
 
 
-def _whole(expression: str) -> re.Pattern:
-    return re.compile(rf"(?<= )(?:{expression})(?= )".encode())
-
-
 @cache
 def rules() -> tuple[Rule, ...]:
-    """All rules, highest priority first: more confident before less, families before single phrases."""
-    out = []
-    for label, names, versions in FAMILIES:
-        for name in names:
-            for version in (*versions, ""):
-                words = version.replace(".", " ")
-                tail = f"(?: v(?:ersion)?)? {'v?' if version else ''}{words}" if version else ""
-                named = f"{label}-{version}" if version else label
-                for phrase, keyword, confidence in PHRASES:
-                    text = phrase.format(n=re.escape(name).replace("\\ ", " "), v=tail)
-                    out.append(Rule(named, name if len(name) > 4 else keyword, _whole(text), confidence + bool(version) * 0.05))
-    for label, words in COMMONS:
-        for version in (*COMMONS_VERSIONS, ""):
-            tail = f" (?:v)?{version.replace('.', ' ')}" if version else ""
-            named = f"{label}-{version}" if version else label
-            for start, keyword in (("cc", "cc "), ("creative commons", "creative commons"), ("creativecommons org licenses", "creativecommons")):
-                out.append(Rule(named, keyword, _whole(f"{start} (?:{words}){tail}"), 0.95 + bool(version) * 0.05))
-    out += [Rule(label, keyword, _whole(text), confidence) for label, text, keyword, confidence in SINGLES]
-    return tuple(sorted(out, key=lambda r: -r.confidence))
+    """All rules, highest priority first. An expression begins behind a space and ends before one."""
+    made = [Rule(label, keyword, re.compile(f" (?:{text})(?= )".encode()), confidence) for label, keyword, confidence, text in license_pack.lines()]
+    return tuple(sorted(made, key=lambda r: -r.confidence))
 
 
 @cache
@@ -145,29 +65,69 @@ def normalised(text: str | None) -> bytes:
     return b" " + b" ".join(plain_words(text)) + b" "
 
 
+def _spaces(words: bytes) -> np.ndarray:
+    """Places of the spaces: the k-th stands before word k."""
+    return np.flatnonzero(np.frombuffer(words, np.uint8) == 32)
+
+
 def _places(words: bytes, phrase: bytes) -> list[int]:
+    """Byte places of a phrase, overlapping ones too."""
     out, at = [], words.find(phrase)
     while at >= 0:
-        out.append(words.count(b" ", 0, at))
+        out.append(at)
         at = words.find(phrase, at + 1)
     return out
 
 
-def detect(words: bytes) -> list[tuple[int, int, str, float]]:
-    """(first word, last word, label, confidence) after priority and containment, by place."""
-    hits = []
-    for keyword, which in _by_keyword():
+class _Reach:
+    """How far to the right the intervals that begin at or before a place reach: a tree of prefix maxima."""
+
+    def __init__(self, firsts: list[int]):
+        self.firsts = np.unique(firsts)
+        self.top = [-1] * (len(self.firsts) + 1)
+
+    def _index(self, first: int) -> int:
+        return int(np.searchsorted(self.firsts, first)) + 1
+
+    def add(self, first: int, last: int) -> None:
+        i = self._index(first)
+        while i < len(self.top):
+            self.top[i] = max(self.top[i], last)
+            i += i & -i
+
+    def upto(self, first: int) -> int:
+        i, out = self._index(first), -1
+        while i:
+            out = max(out, self.top[i])
+            i &= i - 1
+        return out
+
+
+def hits_of(words: bytes, spaces: np.ndarray) -> list[tuple[int, int, int]]:
+    """(rule, first word, last word) of every match, before suppression."""
+    which, begins, ends = [], [], []
+    for keyword, mine in _by_keyword():
         if keyword in words:
-            for i in which:
-                rule = rules()[i]
-                for m in rule.pattern.finditer(words):
-                    first = words.count(b" ", 0, m.start()) - 1
-                    hits.append((i, first, first + m.group().count(b" "), rule.label, rule.confidence))
+            for i in mine:
+                for m in rules()[i].pattern.finditer(words):
+                    which.append(i)
+                    begins.append(m.start())
+                    ends.append(m.end())
+    first = np.searchsorted(spaces, begins)
+    last = np.searchsorted(spaces, ends) - 1
+    return list(zip(which, first.tolist(), last.tolist(), strict=True))
+
+
+def detect(words: bytes, spaces: np.ndarray) -> list[tuple[int, int, str, float]]:
+    """(first word, last word, label, confidence) after priority and containment, by place."""
+    hits = hits_of(words, spaces)
+    reach = _Reach([h[1] for h in hits])
     kept: list[tuple[int, int, str, float]] = []
     # the higher confidence first, then the longer interval, then the order of the rules
-    for i, first, last, label, confidence in sorted(hits, key=lambda h: (-h[4], h[1] - h[2], h[0], h[1])):
-        if not any(a <= first and last <= b for a, b, _, _ in kept):
-            kept.append((first, last, label, confidence))
+    for i, first, last in sorted(hits, key=lambda h: (-rules()[h[0]].confidence, h[1] - h[2], h[0], h[1])):
+        if reach.upto(first) < last:
+            kept.append((first, last, rules()[i].label, rules()[i].confidence))
+            reach.add(first, last)
     return sorted(kept)
 
 
@@ -180,12 +140,14 @@ SCHEMA = (
 def scan_text(text: str | None) -> tuple:
     words = normalised(text)
     n = words.count(b" ") - 1 if words != b"  " else 0
-    places, base = [], set()
-    for phrase, label in BASE:
-        if here := _places(words, f" {phrase} ".encode()):
-            places += here
-            base.add(label)
-    kept = detect(words) if n and _gate().search(words) else []
+    kept, places, base = [], [], set()
+    if n and _gate().search(words):  # the base phrases hold keywords
+        spaces = _spaces(words)
+        for phrase, label in BASE:
+            if here := _places(words, f" {phrase} ".encode()):
+                places += np.searchsorted(spaces, here).tolist()
+                base.add(label)
+        kept = detect(words, spaces)
     labels = base | {x[2] for x in kept}
     score = max((min(1.0, x[3]) for x in kept), default=0.6 if base else 0.0)
     return (
