@@ -326,11 +326,12 @@ def test_join_query(spark, sf, texts):
     assert {r["doc_id"]: r["component_id"] for r in rows} == want
 
 
-@pytest.mark.parametrize("small,block", [(32, 512), (1, 3)])
-def test_join_of_edited_copies(spark, monkeypatch, small, block):
-    """Copies with more and more edits around the threshold, compared in pairs and in blocks."""
-    monkeypatch.setattr(tg, "SMALL", small)
-    monkeypatch.setattr(tg, "BLOCK", block)
+@pytest.mark.parametrize("group,pairs,seen", [(512, 1_000_000, 8), (3, 5, 2)])
+def test_join_of_edited_copies(spark, monkeypatch, group, pairs, seen):
+    """Copies with more and more edits around the threshold, in one group and in many, with any order of tokens."""
+    monkeypatch.setattr(tg, "GROUP", group)
+    monkeypatch.setattr(tg, "PAIRS", pairs)
+    monkeypatch.setattr(tg, "SEEN", seen)
     rnd = random.Random(4)
     base = [f"w{rnd.randrange(10_000)}" for _ in range(200)]
     docs = {}

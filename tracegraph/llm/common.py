@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import atexit
-import math
 import re
 import tempfile
 import uuid
@@ -107,7 +106,3 @@ def gapless_rank(
     ranked = marked.withColumn(r, F.row_number().over(Window.partitionBy(*by, b).orderBy(*order)))
     return ranked.join(offsets, [*by, b]).withColumn(name, F.col(off) + F.col(r) - 1).drop(b, off, r)
 
-
-def bands_for(threshold: float, rows: int, miss: float = 1e-10) -> int:
-    """Bands of ``rows`` minima each, so that a pair at the threshold shares no band with probability ``miss`` at most."""
-    return math.ceil(math.log(miss) / math.log(1 - threshold**rows))

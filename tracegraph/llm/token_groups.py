@@ -1,22 +1,28 @@
 """N-gram Jaccard join through a token-group matrix.
 
-Documents with equal shingle sets become one class. Similar classes are partitioned into groups: the members of a
-MinHash band bucket. Every group stores the union of its members' tokens; a query opens
-a group, and is compared with its members, only if its overlap with that union can reach the threshold.
-
-1. One pass over the texts: size, digest and band keys of each shingle set (``bands_for`` chooses the number of
-   bands, so that a pair at the threshold shares no bucket with probability ``miss``, 1e-10, at most).
-2. Each class is compared with one pivot per bucket; links found give components.
-3. Buckets that still hold several components are compared across components: small buckets in pairs, large ones in
-   blocks of bounded size, with the union bound deciding which blocks a query opens. Pairs inside a component are
-   never formed: they can't change the result.
-4. Components by repeated minimum labels over the links, one written table a round.
-
-Every reported link is exact. Sets of documents are only shipped for documents that have a partner in
-some bucket. A hot bucket is dealt out in block pairs, so no task holds it whole.
+Documents with equal shingle sets become one class. Similar classes are partitioned into groups, and each group stores the
+union of its members' tokens. A query class that shares a prefix token with a group is measured against that
+union, and the group is opened, its members compared with the query, only if the overlap can reach the threshold.
+
+Exact, by the prefix filter: with tokens in one order for all, linked sets x and y share a token among the first
+|x| - ceil(p |x|) + 1 of x and the same of y. The order is by frequency, rare first, then by hash; any order is exact, so
+frequencies only need to be good where they are high (``frequent_shingles``).
+
+1. One pass counts shingles by windows of documents; the ``MOST_FREQUENT`` most frequent are ordered last.
+2. One pass over the texts: size, digest and prefix tokens of each shingle set. A token and the classes with it in their prefix are a bucket.
+3. Each class is compared with one pivot per bucket: links found give components. This only thins what follows.
+4. Classes of buckets that still hold several components are partitioned into groups: a component, or for classes still
+   alone those that share their first such bucket, in parts of ``GROUP`` members or so. The matrix has a row for each
+   token and group. In each bucket the classes outside its largest component ask the groups of the matrix row by row; a group with
+   members of the asker's component alone is not asked: what lies inside one component can't change the result.
+   Askers of a group are dealt into blocks, so a task holds a group and a block whatever their numbers.
+5. Components by repeated minimum labels over the links, one written table a round.
+
+Every link is found and every one reported is exact. Sets are only shipped for classes that share a bucket with others.
 
 Defined results: documents without words or text have no shingles, are linked with nothing and are their own component;
 repeated rows and equal texts share a class; a repeated doc_id is one node for all its rows' classes only if they link.
+A null doc_id counts as larger than any other: a component of such rows alone has a null name.
 An empty table gives an empty result; other columns are ignored.
 """
 
@@ -29,37 +35,65 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bands_for, materialise, store, table
+from .common import materialise, store, table
 from .shingles import mix, shingle_set
 
-ROWS = 4
-#: Classes in a block of a bucket; two blocks at most are in a task's memory.
-BLOCK = 512
-#: Buckets of so many classes are compared in pairs, larger ones in blocks.
-SMALL = 32
-
-
-def band_keys(tokens: np.ndarray, bands: int) -> np.ndarray:
-    """One key for each band: the minima of ROWS hash functions over the tokens."""
-    rng = np.random.Generator(np.random.PCG64(20240229))
-    odd = rng.integers(1, 1 << 63, bands * ROWS, np.uint64) * np.uint64(2) + np.uint64(1)
-    add = rng.integers(0, 1 << 63, bands * ROWS, np.uint64)
-    low = np.empty(bands * ROWS, np.uint64)
-    for at in range(0, bands * ROWS, 8):
-        h = tokens[None, :] * odd[at : at + 8, None] + add[at : at + 8, None]
-        h ^= h >> np.uint64(32)
-        h *= np.uint64(0xD6E8FEB86659FD93)
-        low[at : at + 8] = h.min(axis=1)
-    key = np.arange(bands, dtype=np.uint64)
-    for i in range(ROWS):
-        key = mix(key * np.uint64(0x9E3779B97F4A7C15) + low[i::ROWS])
-    return key
-
-
-def signatures(docs: DataFrame, n: int, bands: int) -> DataFrame:
-    """doc_id, key, n_shingles, a 128-bit digest of the set (d1, d2) and the band keys (null without shingles)."""
+#: Members of a group, and askers in a block: two such sets at most are in a task's memory.
+GROUP = 512
+#: Rows of a bucket's matrix that one task pairs with askers.
+PAIRS = 1_000_000
+#: Shingles that are ordered by their frequency, at most: 16 bytes each go with the tasks. The others are ordered by hash.
+MOST_FREQUENT = 500_000
+#: Shingles of a window of documents, and how often one must occur in a window to be counted.
+WINDOW_TOKENS, SEEN = 4_000_000, 8
+#: Stands for a null doc_id: larger than any other.
+NO_ID = (1 << 63) - 1
+
+
+def frequent_shingles(docs: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The most frequent shingles, sorted, and their counts; over all documents, as far as they are frequent in some window."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
+
+        def flush() -> pa.RecordBatch:
+            token, count = np.unique(np.concatenate(held), return_counts=True) if held else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+            often = count >= SEEN
+            return pa.RecordBatch.from_arrays([pa.array(token[often].view(np.int64)), pa.array(count[often].astype(np.int64))], ["token", "c"])
+
+        for batch in batches:
+            for text in batch.column("text").to_pylist():
+                held.append(shingle_set(text, n))
+                size += len(held[-1])
+                if size >= WINDOW_TOKENS:
+                    yield flush()
+                    held, size = [], 0
+        yield flush()
+
+    counted = docs.select("text").mapInArrow(run, "token long, c long").groupBy("token").agg(F.sum("c").alias("c"))
+    top = counted.orderBy(F.desc("c"), "token").limit(MOST_FREQUENT).toArrow()
+    token, count = top.column("token").to_numpy().view(np.uint64), top.column("c").to_numpy()
+    order = np.argsort(token)
+    return token[order], count[order]
+
+
+def prefix(tokens: np.ndarray, percent: int, frequent: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """The tokens of a sorted set of which any linked set has one in its own prefix: the rarest."""
+    size = len(tokens) - -(-percent * len(tokens) // 100) + 1
+    if not len(frequent):
+        return tokens[:size]
+    at = np.searchsorted(frequent, tokens)
+    at[at == len(frequent)] = 0
+    often = np.where(frequent[at] == tokens, counts[at], 0)
+    return tokens[np.argsort(often, kind="stable")[:size]]
+
+
+def signatures(docs: DataFrame, n: int, percent: int) -> DataFrame:
+    """doc_id, key, n_shingles, a 128-bit digest of the set (d1, d2) and its prefix tokens (null without shingles)."""
+    often = docs.sparkSession.sparkContext.broadcast(frequent_shingles(docs, n))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        frequent, counts = often.value
         for batch in batches:
             sizes, d1, d2, keys = [], [], [], []
             for text in batch.column("text").to_pylist():
@@ -67,7 +101,7 @@ def signatures(docs: DataFrame, n: int, bands: int) -> DataFrame:
                 sizes.append(len(tokens))
                 d1.append(tokens.sum(dtype=np.uint64))
                 d2.append(np.bitwise_xor.reduce(mix(tokens + np.uint64(1))) if len(tokens) else np.uint64(0))
-                keys.append(band_keys(tokens, bands).view(np.int64) if len(tokens) else None)
+                keys.append(prefix(tokens, percent, frequent, counts).view(np.int64) if len(tokens) else None)
             longs = lambda x: pa.array(np.array(x, np.uint64).view(np.int64), pa.int64())
             yield pa.RecordBatch.from_arrays(
                 [batch.column("doc_id"), batch.column("key"), pa.array(sizes, pa.int64()), longs(d1), longs(d2), pa.array(keys, pa.list_(pa.int64()))],
@@ -144,8 +178,8 @@ class _Unions:
         return x != y
 
 
-def _across(blocks: DataFrame, percent: int) -> DataFrame:
-    """Links that join different components, for rows (bucket, one, two, side, node, comp, tokens)."""
+def _opened(asked: DataFrame, percent: int) -> DataFrame:
+    """Links that join different components, for rows (grp, block, side, node, comp, tokens): askers have side 0, members 1."""
 
     def run(key, group):
         side = group.column("side").to_numpy()
@@ -166,7 +200,7 @@ def _across(blocks: DataFrame, percent: int) -> DataFrame:
                         b.append(nodes[m][ok[j]])
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return blocks.groupBy("bucket", "one", "two").applyInArrow(run, "a long, b long")
+    return asked.groupBy("grp", "block").applyInArrow(run, "a long, b long")
 
 
 def components(edges: DataFrame, tag: str = "cc") -> DataFrame:
@@ -198,35 +232,37 @@ def components(edges: DataFrame, tag: str = "cc") -> DataFrame:
             return now.df.select("node", "comp")
 
 
-def jaccard_groups(docs: DataFrame, n: int, percent: int, miss: float = 1e-10) -> DataFrame:
+def jaccard_groups(docs: DataFrame, n: int, percent: int) -> DataFrame:
     """Per row of docs (doc_id, text): doc_id, key (hash of the text), n_shingles, id (its class), node (the class's least doc_id), component_id."""
-    made = signatures(docs, n, bands_for(percent / 100, ROWS, miss))
+    docs = docs.select(F.coalesce("doc_id", F.lit(NO_ID)).alias("doc_id"), "text")
+    made = signatures(docs, n, percent)
     seen = materialise(made.withColumn("id", F.xxhash64("d1", "d2", "n_shingles")), "tg-sets")
     classes = store(
-        seen.where("n_shingles > 0").groupBy("id").agg(F.min("doc_id").alias("node"), F.min_by("keys", "doc_id").alias("keys")),
+        seen.where("n_shingles > 0").groupBy("id").agg(F.min("doc_id").alias("node"), F.min_by("keys", "doc_id").alias("keys"), F.first("n_shingles").cast("int").alias("n")),
         "tg-class",
     )
-    rows = store(classes.df.select("id", "node", F.explode(F.array_distinct("keys")).alias("bucket")), "tg-keys")
-    pivots = (
-        rows.df.groupBy("bucket")
-        .agg(F.min(F.struct(F.xxhash64("id", "bucket").alias("o"), "id")).alias("p"), F.count(F.lit(1)).alias("k"))
+    rows = classes.df.select("id", "n", F.explode("keys").alias("bucket"))
+    pivots = store(
+        rows.groupBy("bucket")
+        .agg(F.min(F.struct(F.xxhash64("id").alias("o"), "id", "n")).alias("p"), F.count(F.lit(1)).alias("k"))
         .where("k > 1")
-        .select("bucket", F.col("p.id").alias("pivot"))
+        .select("bucket", F.col("p.id").alias("pivot"), F.col("p.n").alias("pivot_n")),
+        "tg-pivots",
     )
-    shared = store(rows.df.join(pivots, "bucket"), "tg-shared")
-    names = shared.df.select("id", "node").distinct()
-    text = docs.select("doc_id", "text")
-    wanted = text.join(names.select(F.col("node").alias("doc_id")).distinct(), "doc_id", "left_semi")
+    shared = store(rows.join(pivots.df, "bucket"), "tg-shared")
+    near = f"100 * least(n, pivot_n) >= {percent} * greatest(n, pivot_n)"
+    stars = shared.df.where(f"id <> pivot and {near}").select(F.col("id").alias("a"), F.col("pivot").alias("b")).distinct()
+    names = shared.df.select("id").distinct().join(classes.df.select("id", "node"), "id")
+    wanted = docs.join(names.select(F.col("node").alias("doc_id")).distinct(), "doc_id", "left_semi")
     sets = store(_sets_of_classes(wanted, n, names), "tg-tokens")
-    stars = shared.df.select(F.col("id").alias("a"), F.col("pivot").alias("b")).where("a <> b").distinct()
     links = store(verified(stars, sets.df, percent), "tg-links")
     comps = components(links.df)
-    open_rows = shared.df.select("bucket", F.col("id").alias("node")).join(comps, "node", "left").select(
-        "bucket", "node", F.coalesce("comp", "node").alias("comp")
+    open_rows = shared.df.select("bucket", F.col("id").alias("node"), "n").join(comps, "node", "left").select(
+        "bucket", "node", "n", F.coalesce("comp", "node").alias("comp")
     )
-    mixed = open_rows.groupBy("bucket").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.count(F.lit(1)).alias("k")).where("x <> y")
-    left = store(open_rows.join(mixed.select("bucket", "k"), "bucket"), "tg-open")
-    more = store(_rest(left.df, stars, sets.df, percent), "tg-more")
+    mixed = open_rows.groupBy("bucket").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y")
+    left = store(open_rows.join(mixed.select("bucket"), "bucket"), "tg-open")
+    more = store(matrix_links(left.df, sets.df, percent), "tg-more")
     # links between components are joined as links of their names
     named = more.df.join(comps.select(F.col("node").alias("a"), F.col("comp").alias("ca")), "a", "left").join(
         comps.select(F.col("node").alias("b"), F.col("comp").alias("cb")), "b", "left"
@@ -245,10 +281,11 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int, miss: float = 1e-10) -
     found = materialise(
         led.join(least.df, "comp", "left").select("id", "node", F.coalesce("least", "node").alias("component_id")), "tg-out"
     )
-    for x in (classes, rows, shared, sets, left, least):
+    for x in (classes, pivots, shared, sets, left, least):
         x.drop()
+    real = lambda c: F.nullif(c, F.lit(NO_ID))
     return seen.join(found, "id", "left").select(
-        "doc_id", "key", "n_shingles", "id", "node", F.coalesce("component_id", "doc_id").alias("component_id")
+        real(F.col("doc_id")).alias("doc_id"), "key", "n_shingles", "id", "node", real(F.coalesce("component_id", "doc_id")).alias("component_id")
     )
 
 
@@ -266,55 +303,49 @@ def _sets_of_classes(docs: DataFrame, n: int, names: DataFrame) -> DataFrame:
             )
 
     made = docs.select("text").mapInArrow(run, "d1 long, d2 long, n long, tokens binary")
-    named = made.select(F.xxhash64("d1", "d2", "n").alias("id"), "tokens")
+    named = made.where("n > 0").select(F.xxhash64("d1", "d2", "n").alias("id"), "tokens")
     return named.join(names.select("id"), "id", "left_semi").select(F.col("id").alias("node"), "tokens").dropDuplicates(["node"])
 
 
-def _rest(rows: DataFrame, stars: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links between components inside the buckets that still hold several."""
-    few = rows.where(f"k <= {SMALL}")
-    other = few.select("bucket", F.col("node").alias("b"), F.col("comp").alias("cb"))
-    small = (
-        few.select("bucket", F.col("node").alias("a"), F.col("comp").alias("ca"))
-        .join(other, "bucket")
-        .where("a < b and ca <> cb")
-        .select("a", "b")
-        .distinct()
-    )
-    known = stars.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    pairs = verified(small.join(known, ["a", "b"], "left_anti"), sets, percent)
-    many = rows.where(f"k > {SMALL}")
-    # members of a bucket's largest component are linked already: only the others ask, and all are asked
-    sizes = many.groupBy("bucket", "comp", "k").agg(F.count(F.lit(1)).alias("m"))
-    largest = sizes.groupBy("bucket").agg(F.max(F.struct("m", "comp")).alias("top")).select(
-        "bucket", F.col("top.comp").alias("top"), F.col("top.m").alias("m")
+def partition_groups(rows: DataFrame) -> DataFrame:
+    """node, comp, n and grp: each class in one group, similar ones together; rows are (bucket, node, n, comp)."""
+    # first and n are the same for all rows of a class but the bucket
+    each = rows.groupBy("node", "comp", "n").agg(F.min("bucket").alias("first"))
+    sizes = each.groupBy("comp").agg(F.count(F.lit(1)).alias("of_comp"))
+    keyed = each.join(sizes, "comp").withColumn("key", F.when(F.col("of_comp") > 1, F.xxhash64("comp")).otherwise(F.xxhash64("first", F.lit(1))))
+    parts = keyed.groupBy("key").agg(F.ceil(F.count(F.lit(1)) / GROUP).alias("parts"))
+    dealt = keyed.join(parts, "key").withColumn("part", F.pmod(F.xxhash64("node"), "parts"))
+    return dealt.select("node", "comp", "n", F.xxhash64("key", "part").alias("grp"))
+
+
+def matrix_links(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) between components, for the classes (bucket, node, n, comp) of buckets that hold several."""
+    groups = store(partition_groups(rows), "tg-groups")
+    inside = rows.join(groups.df.select("node", "grp"), "node")
+    matrix = store(
+        inside.groupBy("bucket", "grp").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1"), F.min("n").alias("n0"), F.max("n").alias("n1")),
+        "tg-matrix",
     )
-    dealt = many.join(store(largest, "tg-largest").df, "bucket").select(
-        "bucket",
-        "node",
-        "comp",
-        (F.col("comp") != F.col("top")).alias("asks"),
-        F.ceil(F.col("k") / BLOCK).cast("int").alias("blocks"),
-        F.ceil((F.col("k") - F.col("m")) / BLOCK).cast("int").alias("stray_blocks"),
-        F.xxhash64("node", "bucket").alias("h"),
+    sizes = rows.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("m"))
+    top = sizes.groupBy("bucket").agg(F.max(F.struct("m", "comp")).alias("top"), F.sum("m").alias("k")).select("bucket", F.col("top.comp").alias("top"), "k")
+    wide = matrix.df.groupBy("bucket").agg(F.count(F.lit(1)).alias("g"))
+    # a bucket with many askers and groups is dealt out: each of its askers meets all its groups in one of the parts
+    plan = store(top.join(wide, "bucket").select("bucket", "top", F.ceil(F.col("k") * F.col("g") / PAIRS).alias("salts")), "tg-plan")
+    asks = rows.join(plan.df, "bucket").where("comp <> top").withColumn("salt", F.pmod(F.xxhash64("node", F.lit(2)), "salts"))
+    offered = matrix.df.join(plan.df, "bucket").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
+    fits = f"not (c0 = comp and c1 = comp) and 100 * n >= {percent} * n0 and 100 * n1 >= {percent} * n"
+    asked = store(
+        asks.join(offered.select("bucket", "salt", "grp", "c0", "c1", "n0", "n1"), ["bucket", "salt"]).where(fits).select("node", "comp", "grp").distinct(),
+        "tg-asked",
     )
-    ask = dealt.where("asks").select(
-        "bucket",
-        F.pmod("h", "stray_blocks").cast("int").alias("one"),
-        F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("two"),
-        F.lit(0).alias("side"),
-        "node",
-        "comp",
+    blocks = store(asked.df.groupBy("grp").agg(F.ceil(F.count(F.lit(1)) / GROUP).alias("blocks")), "tg-blocks")
+    askers = asked.df.join(blocks.df, "grp").select(
+        "grp", F.pmod(F.xxhash64("node", F.lit(3)), "blocks").alias("block"), F.lit(0).alias("side"), "node", "comp"
     )
-    asked = dealt.select(
-        "bucket",
-        F.explode(F.sequence(F.lit(0), F.col("stray_blocks") - 1)).alias("one"),
-        F.pmod("h", "blocks").cast("int").alias("two"),
-        F.lit(1).alias("side"),
-        "node",
-        "comp",
+    members = groups.df.join(blocks.df, "grp").select(
+        "grp", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), F.lit(1).alias("side"), "node", "comp"
     )
-    return pairs.union(_across(ask.union(asked).join(sets, "node"), percent))
+    return _opened(askers.union(members).join(sets, "node"), percent)
 
 
 def keep_one(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
@@ -322,17 +353,17 @@ def keep_one(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
 
     Documents without words stay. Repeated rows of a first document are one document.
     """
-    ids = {"doc_id": F.coalesce("doc_id", F.lit(-1))}
-    found = store(jaccard_groups(docs.select("doc_id", "text").withColumns(ids), words, percent), "tg-groups").df
+    ids = F.coalesce("doc_id", F.lit(NO_ID - 1))
+    found = store(jaccard_groups(docs.select(ids.alias("doc_id"), "text"), words, percent), "tg-found").df
     lone = found.where("n_shingles = 0").select("doc_id", "key", F.lit(1).alias("rows")).distinct()
     # a component's first class, then its first text: a doc_id may be repeated with other texts
     first = found.where("n_shingles > 0 and doc_id = component_id").groupBy("component_id").agg(F.min("key").alias("key"))
     led = found.where("n_shingles > 0").join(store(first, "tg-first").df, ["component_id", "key"]).where("doc_id = component_id")
     kept = store(lone.union(led.groupBy("doc_id", "key").agg(F.count(F.lit(1)).cast("int").alias("rows"))), "tg-kept").df
-    keyed = docs.withColumns({"__id": ids["doc_id"], "__key": F.xxhash64("text")})
-    joined = keyed.join(kept.select(F.col("doc_id").alias("__id"), F.col("key").alias("__key"), "rows"), ["__id", "__key"])
-    once, more = joined.where("rows = 1"), joined.where("rows > 1").dropDuplicates(["__id", "__key"])
-    return once.unionByName(more).select(*docs.columns)
+    keyed = docs.select(F.struct("*").alias("kept"), ids.alias("doc_id"), F.xxhash64("text").alias("key"))
+    joined = keyed.join(kept, ["doc_id", "key"])
+    once, more = joined.where("rows = 1"), joined.where("rows > 1").dropDuplicates(["doc_id", "key"])
+    return once.unionByName(more).select("kept.*")
 
 
 def op8_token_group_join(spark: SparkSession, sf_dir: str) -> DataFrame:
