@@ -285,7 +285,7 @@ def pack(docs: DataFrame, tokenizer: str, window: int = 2048, end_id: int = 1, c
     counts = cut.df.groupBy("length").agg(F.count(F.lit(1)).alias("n")).collect()  # at most one row for each length
     chosen = plan({r["length"]: r["n"] for r in counts}, window)
     # a length's pieces are ranked in buckets of RANK_ROWS rows or so, however many there are
-    buckets = max(1, math.ceil(max((r["n"] for r in counts), default=0) / RANK_ROWS))
+    buckets = max(64, math.ceil(max((r["n"] for r in counts), default=0) / RANK_ROWS))
     bucket = F.pmod(F.xxhash64("doc_id", "start"), F.lit(buckets))
     ranked = gapless_rank(cut.df, ["length"], bucket, ["doc_id", "start", "ids_crc32"], "rank")
     out = placed(ranked.select(*cut.df.columns, "rank"), chosen)
