@@ -4,21 +4,26 @@ Documents with equal shingle sets become one class. Similar classes are partitio
 union of its members' tokens. A query class that shares a prefix token with a group is measured against that
 union, and the group is opened, its members compared with the query, only if the overlap can reach the threshold.
 
-Exact, by the prefix filter: with tokens in one order for all, linked sets x and y share a token among the first
-|x| - ceil(p |x|) + 1 of x and the same of y. The order is by frequency, rare first, then by hash; any order is exact, so
+Exact, by prefix filtering: with tokens in one order for all, sets x and y that share o tokens or more share l of them among the first
+|x| - o + l of x and |y| - o + l of y. Here o is ceil(p |x|), the least overlap of x with any partner, and l a twentieth of |x| (``spare``).
+The order is by frequency, rare first, then by hash; any order is exact, so
 frequencies only need to be good where they are high (``frequent_shingles``).
 
 1. One pass counts shingles by windows of documents; the ``MOST_FREQUENT`` most frequent are ordered last.
-2. One pass over the texts: size, digest and prefix tokens of each shingle set. A token and the classes with it in their prefix are a bucket.
-3. Each class is compared with one pivot per bucket: links found give components. This only thins what follows.
+2. One pass over the texts: size, digest and prefix tokens of each shingle set. Tokens are exchanged packed, by ranges; those in the
+   prefix of one class alone go no further. A token and the classes with it in their prefix are a bucket.
+3. Classes are compared with the pivots of their buckets where they share enough of them: links found give components. This only thins what follows.
 4. Classes of buckets that still hold several components are partitioned into groups: a component, or for classes still
-   alone those that share their first such bucket, in parts of ``GROUP`` members or so. The matrix has a row for each
-   token and group. In each bucket the classes outside its largest component ask the groups of the matrix row by row; a group with
-   members of the asker's component alone is not asked: what lies inside one component can't change the result.
-   Askers of a group are dealt into blocks, so a task holds a group and a block whatever their numbers.
-5. Components by repeated minimum labels over the links, one written table a round.
+   alone those that share their first such bucket, in parts of ``GROUP`` members or so. The token-group matrix has a row for each
+   token and group. Of two components the smaller asks: a class meets the matrix rows of its tokens, and asks a group
+   if the tokens that they share, over the union of the members' prefixes, are as many as a linked member's would be at least. What
+   lies inside one component is not asked: it can't change the result.
+5. A group that is asked is measured whole: the asker's overlap with the union of all members' tokens bounds its overlap with each, and
+   only where that reaches the threshold are the members compared. Askers of a group are dealt into blocks, so a task holds
+   a group and a block whatever their numbers.
+6. Components by repeated minimum labels over the links, one written table a round.
 
-Every link is found and every one reported is exact. Sets are only shipped for classes that share a bucket with others.
+Every link is found and every one reported is exact. Sets are only shipped for classes that ask or are asked.
 
 Defined results: documents without words or text have no shingles, are linked with nothing and are their own component;
 repeated rows and equal texts share a class; a repeated doc_id is one node for all its rows' classes only if they link.
@@ -48,6 +53,9 @@ MOST_FREQUENT = 500_000
 WINDOW_TOKENS, SEEN = 4_000_000, 8
 #: Stands for a null doc_id: larger than any other.
 NO_ID = (1 << 63) - 1
+#: Prefix tokens in a range of the exchange, about.
+RANGE_TOKENS = 2_000_000
+_ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
 def frequent_shingles(docs: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -77,15 +85,37 @@ def frequent_shingles(docs: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
     return token[order], count[order]
 
 
+def spare(n: int) -> int:
+    """How many prefix tokens a set of ``n`` shares at least with a linked one of the same size; never less for larger sets."""
+    return max(1, n // 20)
+
+
+def _spare(n: str) -> str:
+    return f"greatest(1, {n} div 20)"
+
+
 def prefix(tokens: np.ndarray, percent: int, frequent: np.ndarray, counts: np.ndarray) -> np.ndarray:
-    """The tokens of a sorted set of which any linked set has one in its own prefix: the rarest."""
-    size = len(tokens) - -(-percent * len(tokens) // 100) + 1
-    if not len(frequent):
-        return tokens[:size]
-    at = np.searchsorted(frequent, tokens)
-    at[at == len(frequent)] = 0
-    often = np.where(frequent[at] == tokens, counts[at], 0)
-    return tokens[np.argsort(often, kind="stable")[:size]]
+    """The first tokens of a sorted set in the common order, as many as the bound needs; of each the upper 48 bits."""
+    n = len(tokens)
+    size = n - -(-percent * n // 100) + spare(n)
+    if len(frequent):
+        at = np.searchsorted(frequent, tokens)
+        at[at == len(frequent)] = 0
+        often = np.where(frequent[at] == tokens, counts[at], 0)
+        tokens = tokens[np.argsort(often, kind="stable")]
+    return tokens[:size] >> np.uint64(16)
+
+
+def _six(tokens: np.ndarray) -> bytes:
+    """48-bit numbers as six bytes each."""
+    return np.ascontiguousarray(tokens.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6]).tobytes()
+
+
+def _wide(data) -> np.ndarray:
+    raw = np.frombuffer(data, np.uint8).reshape(-1, 6)
+    out = np.zeros((len(raw), 8), np.uint8)
+    out[:, :6] = raw
+    return out.view("<u8").reshape(-1)
 
 
 def signatures(docs: DataFrame, n: int, percent: int) -> DataFrame:
@@ -101,15 +131,66 @@ def signatures(docs: DataFrame, n: int, percent: int) -> DataFrame:
                 sizes.append(len(tokens))
                 d1.append(tokens.sum(dtype=np.uint64))
                 d2.append(np.bitwise_xor.reduce(mix(tokens + np.uint64(1))) if len(tokens) else np.uint64(0))
-                keys.append(prefix(tokens, percent, frequent, counts).view(np.int64) if len(tokens) else None)
+                keys.append(_six(prefix(tokens, percent, frequent, counts)) if len(tokens) else None)
             longs = lambda x: pa.array(np.array(x, np.uint64).view(np.int64), pa.int64())
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), batch.column("key"), pa.array(sizes, pa.int64()), longs(d1), longs(d2), pa.array(keys, pa.list_(pa.int64()))],
+                [batch.column("doc_id"), batch.column("key"), pa.array(sizes, pa.int64()), longs(d1), longs(d2), pa.array(keys, pa.binary())],
                 ["doc_id", "key", "n_shingles", "d1", "d2", "keys"],
             )
 
     keyed = docs.select("doc_id", F.xxhash64("text").alias("key"), "text")
-    return keyed.mapInArrow(run, "doc_id long, key long, n_shingles long, d1 long, d2 long, keys array<long>")
+    return keyed.mapInArrow(run, "doc_id long, key long, n_shingles long, d1 long, d2 long, keys binary")
+
+
+def shared_tokens(classes: DataFrame) -> DataFrame:
+    """bucket, id and n for the prefix tokens that several classes (id, n, keys) hold.
+
+    Tokens travel packed: a message holds a batch's tokens of one range, and whose they are. A token so frequent that a range could not hold its
+    classes is ordered behind all others and kept apart by ``frequent_shingles``; its share of a window bounds what is left.
+    """
+    total = classes.agg(F.sum(F.length("keys") / 6)).first()[0] or 0
+    bits = max(3, int(total / RANGE_TOKENS).bit_length())
+
+    def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            tokens = [_wide(k.as_buffer()) for k in batch.column("keys")]
+            owner = np.repeat(np.arange(len(tokens), dtype=np.uint32), [len(t) for t in tokens])
+            every = np.concatenate(tokens) if tokens else np.zeros(0, np.uint64)
+            where = (every * _ODD) >> np.uint64(64 - bits)
+            order = np.lexsort((every, where))
+            every, owner, where = every[order], owner[order], where[order]
+            ids, sizes = batch.column("id").to_numpy(), batch.column("n").to_numpy()
+            out: list[list] = [[], [], [], []]
+            cuts = np.searchsorted(where, np.arange((1 << bits) + 1, dtype=np.uint64))
+            for r, (a, z) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
+                if a < z:
+                    mine, at = np.unique(owner[a:z], return_inverse=True)
+                    who = np.stack([ids[mine], sizes[mine].astype(np.int64)])
+                    for column, value in zip(out, (r, _six(every[a:z]), at.astype(np.uint32).tobytes(), who.tobytes()), strict=True):
+                        column.append(value)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(out[0], pa.int32()), *[pa.array(c, pa.binary()) for c in out[1:]]], ["range", "tokens", "owner", "who"]
+            )
+
+    def meet(key, group):
+        tokens, ids, sizes = [], [], []
+        for t, o, w in zip(*[group.column(c).to_pylist() for c in ("tokens", "owner", "who")], strict=True):
+            who, owner = np.frombuffer(w, np.int64).reshape(2, -1), np.frombuffer(o, np.uint32)
+            tokens.append(_wide(t))
+            ids.append(who[0][owner])
+            sizes.append(who[1][owner])
+        every, ids, sizes = np.concatenate(tokens), np.concatenate(ids), np.concatenate(sizes)
+        order = np.lexsort((ids, every))
+        every, ids, sizes = every[order], ids[order], sizes[order]
+        same = (every[1:] == every[:-1]) & (ids[1:] == ids[:-1])  # two tokens of a class that 48 bits don't tell apart
+        once = np.append(True, ~same)
+        every, ids, sizes = every[once], ids[once], sizes[once]
+        _, back, count = np.unique(every, return_inverse=True, return_counts=True)
+        many = count[back] > 1
+        return pa.table({"bucket": every[many].view(np.int64), "id": ids[many], "n": pa.array(sizes[many], pa.int32())})
+
+    sent = classes.select("id", "n", "keys").mapInArrow(send, "range int, tokens binary, owner binary, who binary")
+    return sent.groupBy("range").applyInArrow(meet, "bucket long, id long, n int")
 
 
 def _linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
@@ -241,28 +322,19 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int) -> DataFrame:
         seen.where("n_shingles > 0").groupBy("id").agg(F.min("doc_id").alias("node"), F.min_by("keys", "doc_id").alias("keys"), F.first("n_shingles").cast("int").alias("n")),
         "tg-class",
     )
-    rows = classes.df.select("id", "n", F.explode("keys").alias("bucket"))
-    pivots = store(
-        rows.groupBy("bucket")
-        .agg(F.min(F.struct(F.xxhash64("id").alias("o"), "id", "n")).alias("p"), F.count(F.lit(1)).alias("k"))
-        .where("k > 1")
-        .select("bucket", F.col("p.id").alias("pivot"), F.col("p.n").alias("pivot_n")),
-        "tg-pivots",
+    shared = store(shared_tokens(classes.df), "tg-shared")
+    pivots = shared.df.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("id").alias("o"), "id", "n")).alias("p")).select(
+        "bucket", F.col("p.id").alias("b"), F.col("p.n").alias("m")
     )
-    shared = store(rows.join(pivots.df, "bucket"), "tg-shared")
-    near = f"100 * least(n, pivot_n) >= {percent} * greatest(n, pivot_n)"
-    stars = shared.df.where(f"id <> pivot and {near}").select(F.col("id").alias("a"), F.col("pivot").alias("b")).distinct()
-    names = shared.df.select("id").distinct().join(classes.df.select("id", "node"), "id")
-    wanted = docs.join(names.select(F.col("node").alias("doc_id")).distinct(), "doc_id", "left_semi")
-    sets = store(_sets_of_classes(wanted, n, names), "tg-tokens")
-    links = store(verified(stars, sets.df, percent), "tg-links")
-    comps = components(links.df)
-    open_rows = shared.df.select("bucket", F.col("id").alias("node"), "n").join(comps, "node", "left").select(
-        "bucket", "node", "n", F.coalesce("comp", "node").alias("comp")
+    near = f"100 * least(n, m) >= {percent} * greatest(n, m) and 3 * c >= {_spare('least(n, m)')}"
+    stars = store(
+        shared.df.join(pivots, "bucket").where("id <> b").groupBy(F.col("id").alias("a"), "b", "n", "m").agg(F.count(F.lit(1)).alias("c")).where(near).select("a", "b"),
+        "tg-stars",
     )
-    mixed = open_rows.groupBy("bucket").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y")
-    left = store(open_rows.join(mixed.select("bucket"), "bucket"), "tg-open")
-    more = store(matrix_links(left.df, sets.df, percent), "tg-more")
+    sets = _sets_of(docs, n, classes.df, stars.df.select(F.col("a").alias("id")).union(stars.df.select("b")))
+    links = store(verified(stars.df, sets.df, percent), "tg-links")
+    comps = components(links.df)
+    more = store(matrix_links(shared.df, comps, docs, n, classes.df, percent), "tg-more")
     # links between components are joined as links of their names
     named = more.df.join(comps.select(F.col("node").alias("a"), F.col("comp").alias("ca")), "a", "left").join(
         comps.select(F.col("node").alias("b"), F.col("comp").alias("cb")), "b", "left"
@@ -281,7 +353,7 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int) -> DataFrame:
     found = materialise(
         led.join(least.df, "comp", "left").select("id", "node", F.coalesce("least", "node").alias("component_id")), "tg-out"
     )
-    for x in (classes, pivots, shared, sets, left, least):
+    for x in (classes, stars, shared, sets, least):
         x.drop()
     real = lambda c: F.nullif(c, F.lit(NO_ID))
     return seen.join(found, "id", "left").select(
@@ -289,6 +361,13 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int) -> DataFrame:
     )
 
 
+def _sets_of(docs: DataFrame, n: int, classes: DataFrame, ids: DataFrame):
+    """Stored: node and tokens of the classes in ``ids``, made again from the text of one document each."""
+    names = store(classes.select("id", "node").join(ids.distinct(), "id", "left_semi"), "tg-names")
+    wanted = docs.join(names.df.select(F.col("node").alias("doc_id")).distinct(), "doc_id", "left_semi")
+    return store(_sets_of_classes(wanted, n, names.df), "tg-tokens")
+
+
 def _sets_of_classes(docs: DataFrame, n: int, names: DataFrame) -> DataFrame:
     """node (the class's id) and tokens, once for each class."""
 
@@ -318,34 +397,46 @@ def partition_groups(rows: DataFrame) -> DataFrame:
     return dealt.select("node", "comp", "n", F.xxhash64("key", "part").alias("grp"))
 
 
-def matrix_links(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links (a, b) between components, for the classes (bucket, node, n, comp) of buckets that hold several."""
+def matrix_links(shared: DataFrame, comps: DataFrame, docs: DataFrame, n: int, classes: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) between components (comps: node, comp) of the classes in buckets (shared: bucket, id, n)."""
+    known = shared.select("bucket", F.col("id").alias("node"), "n").join(comps, "node", "left")
+    known = known.select("bucket", "node", "n", F.coalesce("comp", "node").alias("comp"))
+    several = known.groupBy("bucket").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("bucket")
+    weight = comps.groupBy("comp").agg(F.count(F.lit(1)).alias("weight"))
+    # of two components the one with the lower rank asks
+    rows = store(
+        known.join(several, "bucket").join(weight, "comp", "left").select("bucket", "node", "n", "comp", F.struct(F.coalesce("weight", F.lit(1)).alias("weight"), "comp").alias("rank")),
+        "tg-open",
+    ).df
     groups = store(partition_groups(rows), "tg-groups")
-    inside = rows.join(groups.df.select("node", "grp"), "node")
     matrix = store(
-        inside.groupBy("bucket", "grp").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1"), F.min("n").alias("n0"), F.max("n").alias("n1")),
+        rows.join(groups.df.select("node", "grp"), "node")
+        .groupBy("bucket", "grp")
+        .agg(F.max("rank").alias("top"), F.min("n").alias("n0"), F.max("n").alias("n1")),
         "tg-matrix",
     )
-    sizes = rows.groupBy("bucket", "comp").agg(F.count(F.lit(1)).alias("m"))
-    top = sizes.groupBy("bucket").agg(F.max(F.struct("m", "comp")).alias("top"), F.sum("m").alias("k")).select("bucket", F.col("top.comp").alias("top"), "k")
-    wide = matrix.df.groupBy("bucket").agg(F.count(F.lit(1)).alias("g"))
+    wide = matrix.df.groupBy("bucket").agg(F.count(F.lit(1)).alias("g"), F.max("top").alias("highest"))
+    ranked = rows.join(wide, "bucket").where("rank < highest")
     # a bucket with many askers and groups is dealt out: each of its askers meets all its groups in one of the parts
-    plan = store(top.join(wide, "bucket").select("bucket", "top", F.ceil(F.col("k") * F.col("g") / PAIRS).alias("salts")), "tg-plan")
-    asks = rows.join(plan.df, "bucket").where("comp <> top").withColumn("salt", F.pmod(F.xxhash64("node", F.lit(2)), "salts"))
+    plan = store(ranked.groupBy("bucket", "g").agg(F.ceil(F.count(F.lit(1)) * F.col("g") / PAIRS).alias("salts")), "tg-plan")
+    asks = ranked.drop("g").join(plan.df, "bucket").withColumn("salt", F.pmod(F.xxhash64("node", F.lit(2)), "salts"))
     offered = matrix.df.join(plan.df, "bucket").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
-    fits = f"not (c0 = comp and c1 = comp) and 100 * n >= {percent} * n0 and 100 * n1 >= {percent} * n"
-    asked = store(
-        asks.join(offered.select("bucket", "salt", "grp", "c0", "c1", "n0", "n1"), ["bucket", "salt"]).where(fits).select("node", "comp", "grp").distinct(),
-        "tg-asked",
-    )
+    fits = f"rank < top and 100 * n >= {percent} * n0 and 100 * n1 >= {percent} * n"
+    met = asks.join(offered.select("bucket", "salt", "grp", "top", "n0", "n1"), ["bucket", "salt"]).where(fits)
+    # a linked member has at least this many tokens, and shares that many with the asker as its own size or the asker's allows
+    least = f"greatest(min(n0), ceil({percent} * n / 100))"
+    bound = F.expr(f"count(1) >= least({_spare('n')}, {_spare(f'cast({least} as int)')})")
+    asked = store(met.groupBy("node", "comp", "n", "grp").agg(bound.alias("enough")).where("enough").select("node", "comp", "grp"), "tg-asked")
     blocks = store(asked.df.groupBy("grp").agg(F.ceil(F.count(F.lit(1)) / GROUP).alias("blocks")), "tg-blocks")
     askers = asked.df.join(blocks.df, "grp").select(
         "grp", F.pmod(F.xxhash64("node", F.lit(3)), "blocks").alias("block"), F.lit(0).alias("side"), "node", "comp"
     )
-    members = groups.df.join(blocks.df, "grp").select(
+    inside = store(groups.df.join(blocks.df, "grp"), "tg-inside")
+    members = inside.df.select(
         "grp", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), F.lit(1).alias("side"), "node", "comp"
     )
-    return _opened(askers.union(members).join(sets, "node"), percent)
+    sets = _sets_of(docs, n, classes, asked.df.select(F.col("node").alias("id")).union(inside.df.select("node")))
+    return _opened(askers.union(members).join(sets.df, "node"), percent)
 
 
 def keep_one(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
