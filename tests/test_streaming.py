@@ -75,6 +75,93 @@ def test_replayed_batch_changes_nothing_and_late_edges_merge(spark, replay, stor
     assert rows(store.edges()) == rows(e.unionByName(late))
 
 
+def _again(store):
+    """The same store as a restarted process sees it."""
+    return IngestStore(store.spark, store.path, store.spec, store.locations, store.mapping, m=store.m, groups=store.groups, rows_per_file=store.rows_per_file)
+
+
+def test_replay_after_a_closed_round_changes_nothing(replay, store):
+    _, e = replay
+    store.stage(e, 0)
+    assert store.close_due()
+    closed = store.closed()
+    store.stage(e, 0)  # the same micro-batch again: the stream had not committed it
+    assert store.late() is None and store.merge_late() == 0 and not (store.closed() - closed)
+    again = _again(store)
+    again.stage(e, 0)
+    again.close_all()
+    assert rows(again.edges()) == rows(again.layout("kt")) == rows(again.layout("st")) == rows(e)
+
+
+def test_crash_between_commit_and_sweep_counts_nothing_twice(replay, store, monkeypatch):
+    _, e = replay
+    store.stage(e, 0)
+
+    def crash(self, round_id):
+        raise RuntimeError("lost driver")
+
+    with monkeypatch.context() as m:
+        m.setattr(IngestStore, "sweep", crash)
+        with pytest.raises(RuntimeError):
+            store.close_due()
+    again = _again(store)
+    assert len(again.closed()) == 1 and again.max_ts == e.agg(F.max("ts_us")).first()[0]
+    assert rows(again.edges()) == rows(e)
+    again.close_all()
+    assert rows(again.edges()) == rows(again.layout("st")) == rows(e)
+
+
+@pytest.mark.parametrize("step", ["_write_layouts", "_commit", "sweep"])
+def test_interrupted_merge_of_late_edges(replay, store, monkeypatch, step):
+    _, e = replay
+    store.stage(e, 0)
+    store.close_all()
+    late = e.where(F.col("edge_id") % 50 == 0).withColumn("edge_id", F.col("edge_id") + 10**9)
+    store.stage(late, 1)
+    assert store.late().count() == late.count()
+    real, calls = getattr(IngestStore, step), []
+
+    def crash(self, *args):
+        calls.append(args)
+        if len(calls) == 2:
+            if step == "_write_layouts":  # half of the new version is there
+                real(self, args[0].limit(3), *args[1:])
+            raise RuntimeError("lost driver")
+        return real(self, *args)
+
+    with monkeypatch.context() as m:
+        m.setattr(IngestStore, step, crash)
+        with pytest.raises(RuntimeError):
+            store.merge_late()
+    again = _again(store)
+    again.merge_late()
+    assert again.late() is None and again.merge_late() == 0
+    assert rows(again.layout("kt")) == rows(again.layout("st")) == rows(e.unionByName(late))
+    again.stage(late, 1)
+    assert again.merge_late() == 0
+
+
+def test_edges_with_nulls_are_rejected_and_unknown_places_kept(spark, store):
+    day = t.EVENTS_START_US
+    df = spark.createDataFrame([(1, 1, day, 5), (2, None, day, 5), (3, 1, None, 5), (4, 1, day, None), (5, 1, day, 10**6)], "edge_id long, object_id long, ts_us long, location_id long")
+    store.stage(df, 0)
+    store.stage(df.limit(0), 1)
+    store.close_all()
+    assert sorted(r["edge_id"] for r in store.rejected().collect()) == [2, 3, 4]
+    assert [r[0] for r in rows(store.layout("kt"))] == [r[0] for r in rows(store.layout("st"))] == [1, 5]
+
+
+def test_a_hot_object_is_split_over_files(spark, store):
+    store.rows_per_file = 1000
+    day = t.EVENTS_START_US
+    hot = spark.range(8000).selectExpr("id as edge_id", "cast(if(id % 2 = 0, 7, id) as bigint) as object_id", f"{day} + id * 1000000 as ts_us", "cast(if(id % 2 = 0, 3, id % 500) as bigint) as location_id")
+    store.stage(hot, 0)
+    store.close_all()
+    for name in ("kt", "st"):
+        sizes = [r["count"] for r in store.layout(name).groupBy("_metadata.file_path").count().collect()]
+        assert sum(sizes) == 8000 and max(sizes) <= 2 * 1000  # a half of all rows is one object at one place
+
+
 def _run(df, mode, name):
     q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()

@@ -4,24 +4,44 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from tracegraph.functions.geometry import cell, grid_bounds, sq_dist, z_code_int, z_decode_int
+from tracegraph.functions.geometry import cell, grid_bounds, sq_dist, z_code, z_code_int, z_decode_int
 from tracegraph.model import GraphSpec, Thresholds
 
-#: Rows of a side that is broadcast at most; about 100 MB with the columns used here.
-BROADCAST_ROWS = 2_000_000
+#: Rows of a side that is broadcast at most, and their bytes by the schema (``row_bytes``).
+BROADCAST_ROWS, BROADCAST_BYTES = 2_000_000, 256 << 20
+#: Numbers that an array column is taken to hold.
+VECTOR = 128
 #: Estimated bytes below which a side is broadcast without counting it; an expansion to neighbour keys adds a factor of 27.
 SURELY_SMALL = 4 << 20
 LEVELS = ("none", "time", "both", "cell")
 
 
+def row_bytes(schema: T.StructType) -> int:
+    """Bytes of a row in memory, about: fixed types by their size, arrays as vectors of ``VECTOR`` numbers, strings as short ones."""
+
+    def of(t: T.DataType) -> int:
+        if isinstance(t, T.ArrayType):
+            return 16 + VECTOR * of(t.elementType)
+        if isinstance(t, T.StructType):
+            return 8 + sum(of(f.dataType) for f in t)
+        if isinstance(t, T.MapType):
+            return 16 + VECTOR * (of(t.keyType) + of(t.valueType))
+        return 32 if isinstance(t, T.StringType | T.BinaryType) else 8
+
+    return 16 + sum(of(f.dataType) for f in schema)
+
+
 def small(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """``df`` with a broadcast hint if it has at most ``limit`` rows, else as it is: the join then shuffles.
+    """``df`` with a broadcast hint if it has at most ``limit`` rows and BROADCAST_BYTES bytes, else as it is: the join then shuffles.
 
-    Catalyst's own bound on the size settles the clear cases without a job.
+    Catalyst's own bound on the size settles the clear cases without a job. Otherwise the rows are counted, up to the limit
+    only; a side that is costly to make should be stored first.
     """
     if int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) <= SURELY_SMALL:
         return F.broadcast(df)
+    limit = min(limit, BROADCAST_BYTES // row_bytes(df.schema))
     return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df
 
 
@@ -84,6 +104,32 @@ def regions_touching(points: list[tuple[int, int]], dist: int, spec: GraphSpec)
     return sorted(found)
 
 
+def near_regions(points: list[tuple[int, int, int]], th: Thresholds, spec: GraphSpec) -> set[tuple[int, int]]:
+    """(time bucket, region) pairs that can hold an edge similar to one at (ts, x, y)."""
+    found, regions = set(), {}
+    for ts, x, y in points:
+        if (x, y) not in regions:
+            regions[x, y] = regions_touching([(x, y)], th.dist_m, spec)
+        for bucket in range((ts - th.time_us) // spec.tru_us, (ts + th.time_us) // spec.tru_us + 1):
+            found.update((bucket, r) for r in regions[x, y])
+    return found
+
+
+def touched_regions(trace: DataFrame, th: Thresholds, spec: GraphSpec) -> DataFrame:
+    """``near_regions`` without the driver: distinct tru and region for a trace (ts_us, x, y) of any length."""
+
+    def cells(c: str, origin: int, most: int) -> Column:
+        low, high = cell(F.col(c) - th.dist_m, spec.a, origin), cell(F.col(c) + th.dist_m, spec.a, origin)
+        low, high = F.greatest(low, F.lit(0)), F.least(high, F.lit(most - 1))
+        return F.explode(F.when(low <= high, F.sequence(low, high)).otherwise(F.array().cast("array<bigint>")))
+
+    places = trace.select("x", "y").distinct().withColumn("cx", cells("x", spec.origin_x, spec.grid_w)).withColumn("cy", cells("y", spec.origin_y, spec.grid_h))
+    regions = places.select("x", "y", z_code("cx", "cy").alias("region"))
+    buckets = F.expr(f"sequence((ts_us - {th.time_us}) div {spec.tru_us}, (ts_us + {th.time_us}) div {spec.tru_us})")
+    at = trace.select("x", "y", F.explode(buckets).alias("tru")).distinct()
+    return at.join(regions, ["x", "y"]).select("tru", "region").distinct()
+
+
 def intervals(codes: list[int], most: int = 64) -> list[tuple[int, int]]:
     """Sorted codes as at most ``most`` closed intervals; the smallest gaps are closed first.
 

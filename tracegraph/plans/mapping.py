@@ -172,11 +172,8 @@ def empirical_spatial_factor(locations: DataFrame, b: int, dist: int, spec: Grap
     return both.agg(F.count(F.lit(1)).alias("pairs"), F.count(F.when(F.col("ua") == F.col("ub"), 1)).alias("same_unit"))
 
 
-def accessed_regions(mapping: Mapping, regions: list[int]) -> list[int]:
-    """How many of a query's regions each worker serves."""
-    worker = {r: w for r, _, w, _ in mapping.rows}
-    out = [0] * mapping.n_workers
-    for r in regions:
-        if r in worker:
-            out[worker[r]] += 1
-    return out
+def accessed_regions(mapping: DataFrame, regions: DataFrame, n_workers: int) -> DataFrame:
+    """worker and regions: how many of a query's regions (region) each worker serves; workers without one count zero."""
+    met = mapping.select("region", "worker").join(regions.select("region").distinct(), "region").groupBy("worker").agg(F.count(F.lit(1)).alias("n"))
+    every = mapping.sparkSession.range(n_workers).select(F.col("id").cast("int").alias("worker"))
+    return every.join(met, "worker", "left").select("worker", F.coalesce("n", F.lit(0)).alias("regions"))

@@ -98,6 +98,36 @@ def touch(spark: SparkSession, path: str) -> None:
     fs.create(where, True).close()
 
 
+def write_text(spark: SparkSession, path: str, text: str) -> None:
+    """A small file that is there whole or not at all: written aside, then renamed."""
+    fs, where = _fs(spark, path)
+    jvm = spark.sparkContext._jvm
+    aside = jvm.org.apache.hadoop.fs.Path(f"{path}.{uuid.uuid4().hex}.tmp")
+    out = fs.create(aside, True)
+    try:
+        out.write(bytearray(text.encode()))
+    finally:
+        out.close()
+    if not fs.rename(aside, where):
+        fs.delete(where, False)
+        if not fs.rename(aside, where):
+            raise OSError(f"could not write {path}")
+
+
+def read_text(spark: SparkSession, path: str) -> str:
+    fs, where = _fs(spark, path)
+    stream = fs.open(where)
+    try:
+        return bytes(spark.sparkContext._jvm.org.apache.commons.io.IOUtils.toByteArray(stream)).decode()
+    finally:
+        stream.close()
+
+
+def make_folder(spark: SparkSession, path: str) -> None:
+    fs, where = _fs(spark, path)
+    fs.mkdirs(where)
+
+
 def size_of(spark: SparkSession, path: str) -> int:
     """Bytes of all files under a path."""
     fs, where = _fs(spark, path)

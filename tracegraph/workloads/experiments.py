@@ -9,18 +9,24 @@ from tracegraph.functions.slots import object_placement, slot_of
 from tracegraph.model import GraphSpec, QuerySpec, Thresholds, TimeRange, TraceGraph
 from tracegraph.operators import baselines as base
 from tracegraph.operators import groups as grp
+from tracegraph.operators import index as idx
+from tracegraph.operators import locations as loc
 from tracegraph.operators import queries as ops
 from tracegraph.operators import store
+from tracegraph.operators.catalog import layout_catalog
 from tracegraph.operators.layouts import kt_columns, row_key, st_columns
+from tracegraph.operators.prune import small
 from tracegraph.operators.replicas import placement, recover_worker, with_workers
 from tracegraph.plans import capacity as cap
 from tracegraph.plans import cost as cm
 from tracegraph.plans import mapping as mp
-from tracegraph.plans.choose import choose_plan
+from tracegraph.plans.choose import LayoutStatistics, choose_plan
 from tracegraph.sources import tables as t
 from tracegraph.sources.datagen import generate_edges
 from tracegraph.sources.files import scratch, write_edges
+from tracegraph.streaming.ingest import IngestStore, ingest_batch
 
+from . import stored
 from .entries import DAY, EV, HOUR, PC, PL, S0, SE, SO, E, days, entry, fast, near, slot, zcode
 
 NARROW = Thresholds(7 * HOUR, 100, 120.0)
@@ -28,8 +34,9 @@ WIDE = Thresholds(10 * HOUR, 1000, 120.0)
 ME = 7
 
 
-def _ev(s, d, n):
-    return t.event_graph(s, d, t.events_days(n))
+def _ev(s, d):
+    """The stored layouts of the event graph: every query reads what its plan needs of them."""
+    return stored.events(s, d)
 
 
 # --- Q1 --------------------------------------------------------------------
@@ -39,44 +46,44 @@ _Q1 = f"WITH {EV} SELECT object_id, ts_us, location_id FROM ev WHERE object_id =
 
 @entry("q1_trace_kt", _Q1 + days(7))
 def q1_trace_kt(s, d):
-    return ops.object_trace(_ev(s, d, 7), ME, t.events_days(7), "kt")
+    return ops.object_trace(_ev(s, d), ME, t.events_days(7), "kt")
 
 
 @entry("q1_trace_st", _Q1 + days(7))
 def q1_trace_st(s, d):
-    return ops.object_trace(_ev(s, d, 7), ME, t.events_days(7), "st")
+    return ops.object_trace(_ev(s, d), ME, t.events_days(7), "st")
 
 
 @entry("q1_trace_day", _Q1 + days(1))
 def q1_trace_day(s, d):
-    return ops.object_trace(_ev(s, d, 1), ME, t.events_days(1), "kt")
+    return ops.object_trace(_ev(s, d), ME, t.events_days(1), "kt")
 
 
 @entry("q1_trace_month", _Q1 + days(30))
 def q1_trace_month(s, d):
-    return ops.object_trace(_ev(s, d, 30), ME, t.events_days(30), "kt")
+    return ops.object_trace(_ev(s, d), ME, t.events_days(30), "kt")
 
 
 @entry("q1_trace_shop", f"WITH {SO} SELECT object_id, ts_us, location_id FROM so WHERE object_id = {ME}")
 def q1_trace_shop(s, d):
-    return ops.object_trace(t.shop_graph(s, d), ME, None, "kt")
+    return ops.object_trace(stored.shop(s, d), ME, None, "kt")
 
 
 @entry("q1_traces_of_segment", f"""WITH {SO} SELECT object_id, ts_us, location_id FROM so
   WHERE object_id IN (SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING')""")
 def q1_traces_of_segment(s, d):
     ids = t.read(s, d, "customer").where("c_mktsegment = 'BUILDING'").select(F.col("c_custkey").alias("object_id"))
-    return ops.object_traces(t.shop_graph(s, d), ids, None)
+    return ops.object_traces(stored.shop(s, d), ids, None)
 
 
 @entry("q1_trace_adjacency", _Q1 + days(7))
 def q1_trace_adjacency(s, d):
-    return base.Adjacency(_ev(s, d, 7)).q1(ME, t.events_days(7))
+    return stored.baseline(s, d, "graph").q1(ME, t.events_days(7))
 
 
 @entry("q1_trace_scan", _Q1 + days(7))
 def q1_trace_scan(s, d):
-    return base.Scan(_ev(s, d, 7)).q1(ME, t.events_days(7))
+    return stored.baseline(s, d, "scan").q1(ME, t.events_days(7))
 
 
 # --- Q2 --------------------------------------------------------------------
@@ -90,28 +97,28 @@ def _q2_sql(o1, o2, h, m, n=30):
 
 @entry("q2_similarity_7h100m", _q2_sql(7, 21, 7, 100))
 def q2_similarity_7h100m(s, d):
-    return ops.trace_similarity(_ev(s, d, 30), 7, 21, t.events_days(30), NARROW)
+    return ops.trace_similarity(_ev(s, d), 7, 21, t.events_days(30), NARROW)
 
 
 @entry("q2_similarity_10h1000m", _q2_sql(7, 1, 10, 1000))
 def q2_similarity_10h1000m(s, d):
-    return ops.trace_similarity(_ev(s, d, 30), 7, 1, t.events_days(30), WIDE)
+    return ops.trace_similarity(_ev(s, d), 7, 1, t.events_days(30), WIDE)
 
 
 @entry("q2_similarity_st", _q2_sql(7, 1, 10, 1000))
 def q2_similarity_st(s, d):
-    return ops.trace_similarity(_ev(s, d, 30), 7, 1, t.events_days(30), WIDE, plan="st", prune="both")
+    return ops.trace_similarity(_ev(s, d), 7, 1, t.events_days(30), WIDE, plan="st", prune="both")
 
 
 @entry("q2_similarity_self", _q2_sql(7, 7, 10, 1000))
 def q2_similarity_self(s, d):
-    return ops.trace_similarity(_ev(s, d, 30), 7, 7, t.events_days(30), WIDE)
+    return ops.trace_similarity(_ev(s, d), 7, 7, t.events_days(30), WIDE)
 
 
 @entry("q2_similarity_shop", f"""WITH {SE} SELECT CAST(7 AS BIGINT) AS object_a, CAST(1 AS BIGINT) AS object_b, count(*) AS similarity
   FROM se a, se b WHERE a.object_id = 7 AND b.object_id = 1 AND {near(10, 1000)}""")
 def q2_similarity_shop(s, d):
-    return ops.trace_similarity(t.shop_graph(s, d), 7, 1, None, WIDE)
+    return ops.trace_similarity(stored.shop(s, d), 7, 1, None, WIDE)
 
 
 # --- Q3 --------------------------------------------------------------------
@@ -126,7 +133,7 @@ def _q3_sql(h, m, n, extra=""):
 def _q3(name, plan, prune, th, n, h, m):
     @entry(name, _q3_sql(h, m, n))
     def run(s, d):
-        return ops.similar_objects(_ev(s, d, n), ME, t.events_days(n), th, plan=plan, prune=prune)
+        return ops.similar_objects(_ev(s, d), ME, t.events_days(n), th, plan=plan, prune=prune)
 
 
 for _name, _plan, _prune in (
@@ -146,7 +153,7 @@ _q3("q3_prune_both_10h1000m", "kt", "both", WIDE, 30, 10, 1000)
 def q3_range_sweep(s, d):
     out = None
     for n in (1, 2, 4, 8, 16, 30):
-        rows = ops.similar_objects(_ev(s, d, n), ME, t.events_days(n), WIDE).agg(
+        rows = ops.similar_objects(_ev(s, d), ME, t.events_days(n), WIDE).agg(
             F.count(F.lit(1)).alias("results"), F.coalesce(F.sum("similarity"), F.lit(0)).alias("pairs")
         ).select(F.lit(n).cast("int").alias("days"), "results", "pairs")
         out = rows if out is None else out.unionByName(rows)
@@ -155,23 +162,73 @@ def q3_range_sweep(s, d):
 
 @entry("q3_top5", f"SELECT * FROM ({_q3_sql(10, 1000, 30)}) ORDER BY similarity DESC, object_id LIMIT 5")
 def q3_top5(s, d):
-    return ops.similar_objects(_ev(s, d, 30), ME, t.events_days(30), WIDE, limit=5)
+    return ops.similar_objects(_ev(s, d), ME, t.events_days(30), WIDE, limit=5)
 
 
 @entry("q3_min_similarity", _q3_sql(10, 1000, 30, "HAVING count(*) >= 3"))
 def q3_min_similarity(s, d):
-    return ops.similar_objects(_ev(s, d, 30), ME, t.events_days(30), WIDE, min_sim=3)
+    return ops.similar_objects(_ev(s, d), ME, t.events_days(30), WIDE, min_sim=3)
 
 
 @entry("q3_all_pairs", f"""WITH {E} SELECT a.object_id AS object_a, b.object_id AS object_b, count(*) AS similarity
-  FROM (SELECT * FROM e WHERE {days(3)}) a JOIN (SELECT * FROM e WHERE {days(3)}) b ON a.object_id < b.object_id AND {near(7, 100)} GROUP BY 1, 2""")
+  FROM (SELECT * FROM e WHERE {days(30)}) a JOIN (SELECT * FROM e WHERE {days(30)}) b ON a.object_id < b.object_id AND {near(7, 100)} GROUP BY 1, 2""")
 def q3_all_pairs(s, d):
-    return ops.all_similar_pairs(_ev(s, d, 3), t.events_days(3), NARROW)
+    return ops.all_similar_pairs(_ev(s, d), t.events_days(30), NARROW)
 
 
-@entry("q3_all_pairs_month")
-def q3_all_pairs_month(s, d):
-    return ops.all_similar_pairs(_ev(s, d, 30), t.events_days(30), NARROW)
+# --- Q3: pairs met at each prune level, by range ---------------------------------
+
+_EVENT_RANGES = (1, 2, 4, 8, 16, 30)
+_SHOP_RANGES = (1, 2, 4, 8, 16, 32, 64, 128, 256, 512, 1024, 2048)
+#: First day of the shop edges.
+SHOP_START = 694_224_000_000_000  # 1992-01-01
+
+
+def _pairs_sql(src, edges, start, ranges, hours, metres):
+    """Counts by definition: days of the range, all pairs, those in near buckets, those the cells leave, those whose distance is computed, similar ones."""
+    reach = -(-hours // 24)
+    gx = lambda c: f"({c} // 50)"
+    dx, dy = f"abs({gx('a.x')} - {gx('b.x')})", f"abs({gx('a.y')} - {gx('b.y')})"
+    lower, upper = f"greatest(greatest({dx}, {dy}) - 1, 0) * 50", f"({dx} + {dy} + 2) * 50"
+    close = f"abs(a.ts_us - b.ts_us) <= {hours * HOUR}"
+    return f"""{src}, f AS (SELECT *, (ts_us - {start}) // {DAY} AS day FROM {edges} WHERE ts_us >= {start}),
+      p AS (SELECT greatest(a.day, b.day) AS day, count(*) AS n, count(*) FILTER (WHERE abs(a.ts_us // {DAY} - b.ts_us // {DAY}) <= {reach}) AS near_time,
+        count(*) FILTER (WHERE {close} AND {lower} <= {metres}) AS near_cells, count(*) FILTER (WHERE {close} AND {lower} <= {metres} AND {upper} > {metres}) AS measured,
+        count(*) FILTER (WHERE {near(hours, metres)}) AS similar_pairs FROM f a JOIN f b ON a.object_id = {ME} AND b.object_id <> {ME} GROUP BY 1),
+      r AS (SELECT unnest([{', '.join(map(str, ranges))}]) AS days)
+      SELECT CAST(days AS INTEGER) AS days, CAST(coalesce(sum(n), 0) AS BIGINT) AS pairs, CAST(coalesce(sum(near_time), 0) AS BIGINT) AS near_time,
+        CAST(coalesce(sum(near_cells), 0) AS BIGINT) AS near_cells, CAST(coalesce(sum(measured), 0) AS BIGINT) AS measured,
+        CAST(coalesce(sum(similar_pairs), 0) AS BIGINT) AS similar_pairs FROM r LEFT JOIN p ON p.day < r.days GROUP BY 1"""
+
+
+@entry("q3_pairs_by_range", _pairs_sql(f"WITH {E}", "e", S0, _EVENT_RANGES, 10, 1000))
+def q3_pairs_by_range(s, d):
+    return ops.pairs_by_range(_ev(s, d), ME, S0, _EVENT_RANGES, WIDE)
+
+
+@entry("q3_pairs_by_range_shop", _pairs_sql(f"WITH {SE}", "se", SHOP_START, _SHOP_RANGES, 10, 1000))
+def q3_pairs_by_range_shop(s, d):
+    return ops.pairs_by_range(t.shop_graph(s, d), ME, SHOP_START, _SHOP_RANGES, WIDE)
+
+
+_SWEEP = (1, 8, 64, 512, 2048)
+
+
+@entry("q3_sweep_shop", " UNION ALL ".join(
+    f"""SELECT CAST({n} AS INTEGER) AS days, '{level}' AS prune, count(*) AS results, CAST(coalesce(sum(similarity), 0) AS BIGINT) AS pairs FROM (
+      WITH {SE} SELECT b.object_id, count(*) AS similarity FROM se a JOIN se b ON a.object_id = {ME} AND b.object_id <> {ME} AND {near(10, 1000)}
+      WHERE a.ts_us >= {SHOP_START} AND b.ts_us >= {SHOP_START} AND a.ts_us < {SHOP_START + n * DAY} AND b.ts_us < {SHOP_START + n * DAY} GROUP BY 1)"""
+    for n in _SWEEP for level in ("none", "time", "both")))
+def q3_sweep_shop(s, d):
+    """Similar objects over ranges up to 2048 days, at three prune levels."""
+    out, lay = None, stored.shop(s, d)
+    for n in _SWEEP:
+        for level in ("none", "time", "both"):
+            rows = ops.similar_objects(lay, ME, TimeRange.days(SHOP_START, n), WIDE, prune=level).agg(
+                F.count(F.lit(1)).alias("results"), F.coalesce(F.sum("similarity"), F.lit(0)).alias("pairs")
+            ).select(F.lit(n).cast("int").alias("days"), F.lit(level).alias("prune"), "results", "pairs")
+            out = rows if out is None else out.unionByName(rows)
+    return out
 
 
 # --- Q4 --------------------------------------------------------------------
@@ -188,7 +245,7 @@ for _name, _method, _kmh, _n in (
 ):
 
     def _make(method=_method, kmh=_kmh, n=_n):
-        return lambda s, d: ops.clone_objects(_ev(s, d, n), t.events_days(n), kmh, method)
+        return lambda s, d: ops.clone_objects(_ev(s, d), t.events_days(n), kmh, method)
 
     entry(_name, _q4_sql(_kmh, _n))(_make())
 
@@ -201,20 +258,14 @@ _DIST = "sqrt(CAST((px - x) * (px - x) + (py - y) * (py - y) AS DOUBLE))"
   SELECT object_id, pt AS ts1_us, pl_ AS loc1, ts_us AS ts2_us, location_id AS loc2, round({_DIST}, 3) AS dist_m,
     round((ts_us - pt) / 1e6, 3) AS seconds FROM st WHERE pt IS NOT NULL AND {_DIST} * 3.6e6 > 120.0 * (ts_us - pt)""")
 def q4_evidence(s, d):
-    rows = ops.clone_evidence(_ev(s, d, 1), t.events_days(1), 120.0)
+    rows = ops.clone_evidence(_ev(s, d), t.events_days(1), 120.0)
     return rows.select("object_id", "ts1_us", "loc1", "ts2_us", "loc2", F.round("dist_m", 3).alias("dist_m"), F.round("seconds", 3).alias("seconds"))
 
 
 @entry("q4_clones_shop", f"""WITH {SE} SELECT DISTINCT a.object_id FROM se a JOIN se b
   ON a.object_id = b.object_id AND a.ts_us <= b.ts_us WHERE {fast(120)}""")
 def q4_clones_shop(s, d):
-    return ops.clone_objects(t.shop_graph(s, d), None, 120.0, "stitched")
-
-
-@entry("q4_properties_3", f"WITH {SE} SELECT object_id, count(*) AS n, min(ts_us) AS first_us FROM se GROUP BY object_id")
-def q4_properties_3(s, d):
-    g = t.shop_graph(s, d)
-    return g.edges.groupBy("object_id").agg(F.count(F.lit(1)).alias("n"), F.min("ts_us").alias("first_us"))
+    return ops.clone_objects(stored.shop(s, d), None, 120.0, "stitched")
 
 
 # --- stores: each property apart, or all of a sub-partition in one value -----------
@@ -225,11 +276,14 @@ _SHOP_Q4 = f"""WITH {SE} SELECT DISTINCT a.object_id FROM se a JOIN se b
 
 
 def _kept(s, d, write):
-    """Shop edges stored by (slot, 400 days); returns the graph without edges and the path."""
+    """Shop edges stored by (slot, 400 days), once a session; returns the graph and the path."""
     g = t.shop_graph(s, d)
-    path = scratch(s, "store")
-    write(kt_columns(g.edges, g.spec), path, row_key(F.lit("B"), "slot", F.expr("tru div 400"), "worker"), _PROPS)
-    return g, path
+
+    def make(path):
+        write(kt_columns(g.edges, g.spec), path, row_key(F.lit("B"), "slot", F.expr("tru div 400"), "worker"), _PROPS)
+        return path
+
+    return g, stored.once(s, d, write.__name__, make)
 
 
 def _clones_of(g, edges):
@@ -248,6 +302,41 @@ def q4_store_packed(s, d):
     return _clones_of(g, store.read_packed(s, path, "row_key string, object_id long, ts_us long, location_id long").drop("row_key"))
 
 
+_COLUMNS = ["object_id", "ts_us", "location_id", *_PROPS]
+_NUMBER = {"l_returnflag": "ascii(l_returnflag)", "l_linestatus": "ascii(l_linestatus)"}
+
+
+def _sums(read):
+    """properties, edges, clones and the sums of what was read, for 3 to 9 columns: Q4 with more and more properties beside it."""
+    out = None
+    for k in range(3, 10):
+        rows = read(_COLUMNS[:k])
+        total = F.lit(0.0)
+        for c in _COLUMNS[3:k]:
+            total = total + F.expr(_NUMBER.get(c, c)).cast("double")
+        sums = rows.agg(F.count(F.lit(1)).alias("edges"), F.round(F.sum(total), 2).alias("total")).select(F.lit(k).cast("int").alias("properties"), "edges", "total")
+        out = sums if out is None else out.unionByName(sums)
+    return out
+
+
+_SUMS = f"WITH {SE} " + " UNION ALL ".join(
+    f"SELECT CAST({k} AS INTEGER) AS properties, count(*) AS edges, round(sum({' + '.join(['0.0', *[_NUMBER.get(c, c) for c in _COLUMNS[3:k]]])}), 2) AS total FROM se"
+    for k in range(3, 10))
+
+
+@entry("store_split_by_properties", _SUMS)
+def store_split_by_properties(s, d):
+    _, path = _kept(s, d, store.write_split)
+    return _sums(lambda columns: store.read_split(s, path, columns))
+
+
+@entry("store_packed_by_properties", _SUMS)
+def store_packed_by_properties(s, d):
+    g, path = _kept(s, d, store.write_packed)
+    types = dict(t.shop_edges(s, d).dtypes)
+    return _sums(lambda columns: store.read_packed(s, path, ", ".join(["row_key string", *[f"{c} {types[c]}" for c in columns]])))
+
+
 @entry("op_codec_roundtrip", " UNION ALL ".join(
     f"SELECT '{c}' AS codec, count(*) AS edges, CAST(sum(l_orderkey * 8 + l_linenumber) AS BIGINT) AS ids FROM lineitem JOIN orders ON l_orderkey = o_orderkey"
     for c in store.CODECS))
@@ -315,29 +404,23 @@ def map_prefix(s, d):
     return mp.map_regions_prefix(mp.region_weights(t.event_places(s), t.EVENTS_SPEC), 10)
 
 
+def _greedy(b, m):
+    """Recursive form of the bounded mapping: units by weight and code, each to the least loaded worker."""
+    zeros = "[" + ", ".join(["0"] * m) + "]"
+    return f"""un AS (SELECT {zcode('x', 'y', 1000 * b)} AS unit, count(*) AS w FROM pl GROUP BY 1),
+      oo AS (SELECT unit, w, row_number() OVER (ORDER BY w DESC, unit) AS rn FROM un),
+      gr AS (SELECT CAST(0 AS BIGINT) AS rn, CAST(-1 AS BIGINT) AS unit, 0 AS worker, CAST({zeros} AS BIGINT[]) AS loads UNION ALL
+        SELECT oo.rn, oo.unit, CAST(list_position(loads, list_min(loads)) - 1 AS INTEGER),
+          list_transform(loads, lambda x, i: CASE WHEN i = list_position(loads, list_min(loads)) THEN x + oo.w ELSE x END) FROM gr JOIN oo ON oo.rn = gr.rn + 1),
+      mb AS (SELECT region, unit, worker, weight FROM (SELECT {zcode('x', 'y')} AS region, {zcode('x', 'y', 1000 * b)} AS unit, count(*) AS weight FROM pl GROUP BY 1, 2) JOIN gr USING (unit))"""
+
+
 for _b in (1, 2, 4, 8, 16):
-    _unit = f"({zcode('x', 'y', 1000 * _b)})"
 
     def _bounded(b=_b):
-        def run(s, d):
-            m = _mapping(s, t.EVENTS_SPEC, b)
-            df = m.df(s)
-            units = df.groupBy("unit").agg(F.sum("weight").alias("weight"))
-            loads = df.groupBy("worker").agg(F.sum("weight").alias("load"))
-            u = units.agg(F.count(F.lit(1)).alias("units"), F.sum("weight").alias("total"), F.max("weight").alias("heaviest"))
-            # the greedy mapping never exceeds the mean by more than one unit
-            within = F.max("load") <= F.sum("load") / m.n_workers + F.first("heaviest")
-            return loads.join(F.broadcast(u), F.lit(True)).agg(
-                F.first("units").alias("units"), F.first("total").alias("total"), F.first("heaviest").alias("heaviest"), within.alias("within_bound")
-            )
+        return lambda s, d: _mapping(s, t.EVENTS_SPEC, b).df(s)
 
-        return run
-
-    entry(
-        f"map_bounded_b{_b}",
-        f"""WITH {PL}, u AS (SELECT {_unit} AS unit, count(*) AS weight FROM pl GROUP BY 1)
-        SELECT count(*) AS units, CAST(sum(weight) AS BIGINT) AS total, max(weight) AS heaviest, true AS within_bound FROM u""",
-    )(_bounded())
+    entry(f"map_bounded_b{_b}", f"WITH RECURSIVE {PL}, {_greedy(_b, 10)} SELECT region, unit, worker, weight FROM mb")(_bounded())
 
 
 @entry("map_spatial_factor", " UNION ALL ".join(
@@ -353,15 +436,26 @@ def map_spatial_factor_measured(s, d):
     return mp.empirical_spatial_factor(t.event_places(s), 8, 2000, t.EVENTS_SPEC)
 
 
-@entry("map_accessed_regions")
+_TOUCHED = f"""v AS (SELECT DISTINCT x, y FROM e WHERE object_id = {ME} AND {days(7)}),
+  tr AS (SELECT DISTINCT {zcode('x + dx * 1000', 'y + dy * 1000')} AS region FROM v, (SELECT unnest([-1, 0, 1]) AS dx), (SELECT unnest([-1, 0, 1]) AS dy))"""
+
+
+def _accessed_sql(b):
+    made = f"{_W}, {_rec(_MAP10)}, mp AS (SELECT region, worker FROM r)" if b is None else f"{_greedy(b, 10)}, mp AS (SELECT region, worker FROM mb)"
+    name = "infinity" if b is None else b
+    return f"""SELECT * FROM (WITH RECURSIVE {E}, {_TOUCHED}, {made}
+      SELECT '{name}' AS b, CAST(w AS INTEGER) AS worker, count(mp.region) AS regions FROM range(10) k(w) LEFT JOIN (mp JOIN tr USING (region)) ON mp.worker = w GROUP BY 1, 2)"""
+
+
+@entry("map_accessed_regions", " UNION ALL ".join(_accessed_sql(b) for b in (8, 4, 2, None)))
 def map_accessed_regions(s, d):
-    g = _ev(s, d, 7)
-    regions = ops.visited_regions(g, ME, t.events_days(7), 1000)
-    rows = []
+    """How many of a query's regions each worker serves, for four mappings."""
+    regions = ops.visited_regions(_ev(s, d), ME, t.events_days(7), 1000)
+    out = None
     for b in (8, 4, 2, None):
-        counts = mp.accessed_regions(_mapping(s, g.spec, b), regions)
-        rows += [("infinity" if b is None else str(b), w, n) for w, n in enumerate(counts)]
-    return s.createDataFrame(rows, "b string, worker int, regions int")
+        rows = mp.accessed_regions(_mapping(s, t.EVENTS_SPEC, b).df(s), regions, _MAP10).select(F.lit("infinity" if b is None else str(b)).alias("b"), "worker", "regions")
+        out = rows if out is None else out.unionByName(rows)
+    return out
 
 
 @entry("dist_kt_workers", f"WITH {EV} SELECT {_WORKER_K} AS worker, count(*) AS rows FROM ev GROUP BY 1")
@@ -426,39 +520,109 @@ def ingest_round_counts(s, d):
     )
 
 
-# --- baselines ----------------------------------------------------------------
+def _ingested(s, d):
+    """Events brought in by rounds of ten days, each micro-batch twice; every 97th edge comes after all others and is merged late."""
+
+    def make(path):
+        spec = t.EVENTS_SPEC
+        store_ = IngestStore(s, path, spec, t.event_places(s), _mapping(s, spec).df(s), m=10, groups=stored.KT_GROUPS)
+        e = t.event_edges(s, d).select("edge_id", "object_id", "ts_us", "location_id")
+        for i in range(3):
+            lo = S0 + 10 * i * DAY
+            batch = e.where(f"edge_id % 97 <> 0 and ts_us >= {lo} and ts_us < {lo + 10 * DAY}")
+            for _ in range(2):  # the second time is a replay: it changes nothing, whether the round has closed or not
+                ingest_batch(store_, batch, i)
+        store_.close_all()
+        store_.stage(e.where("edge_id % 97 = 0"), 6)
+        store_.merge_late()
+        return store_
+
+    return stored.once(s, d, "ingested", make)
+
+
+@entry("ingest_rounds_kt", f"""WITH {EV} SELECT ts_us // {DAY} AS tru, {slot('object_id', 6)} AS slot, count(*) AS edges, CAST(sum(edge_id) AS BIGINT) AS ids FROM ev GROUP BY 1, 2""")
+def ingest_rounds_kt(s, d):
+    kt = _ingested(s, d).layout("kt")
+    return kt.groupBy(F.col("tru").cast("bigint").alias("tru"), "slot").agg(F.count(F.lit(1)).alias("edges"), F.sum("edge_id").alias("ids"))
+
+
+@entry("ingest_rounds_st", f"""WITH RECURSIVE {E}, {_W}, {_rec(_MAP10)} SELECT ts_us // {DAY} AS tru, {zcode('x', 'y')} AS region, r.worker, count(*) AS edges, CAST(sum(edge_id) AS BIGINT) AS ids
+  FROM e JOIN r ON r.region = {zcode('x', 'y')} GROUP BY 1, 2, 3""")
+def ingest_rounds_st(s, d):
+    st = _ingested(s, d).layout("st")
+    return st.groupBy(F.col("tru").cast("bigint").alias("tru"), "region", "worker").agg(F.count(F.lit(1)).alias("edges"), F.sum("edge_id").alias("ids"))
+
+
+@entry("ingest_rounds_extra", f"""WITH RECURSIVE {E}, {_W}, {_rec(_MAP10)}, {_PLACED} SELECT CAST((w_s + 1) % 10 AS INTEGER) AS worker, count(*) AS edges, CAST(sum(edge_id) AS BIGINT) AS ids
+  FROM p WHERE w_s = w_k GROUP BY 1""")
+def ingest_rounds_extra(s, d):
+    return _ingested(s, d).layout("extra").groupBy("worker").agg(F.count(F.lit(1)).alias("edges"), F.sum("edge_id").alias("ids"))
+
+
+@entry("ingest_rounds_log", f"""WITH {EV} SELECT ts_us // {10 * DAY} AS round, count(*) AS edges FROM ev GROUP BY 1""")
+def ingest_rounds_log(s, d):
+    """What the commit files say of each round."""
+    rows = [(c.round_id, c.edges) for c in _ingested(s, d).commits().values()]
+    return s.createDataFrame(rows, "round long, edges long")
+
+
+@entry("layout_catalog_rows", f"""WITH {E} SELECT 'kt' AS method, ts_us // {DAY} AS tru, CAST({slot('object_id', 6)} * {stored.KT_GROUPS} // 64 AS INTEGER) AS grp, count(*) AS rows FROM e GROUP BY 1, 2, 3
+  UNION ALL SELECT 'st', ts_us // {DAY}, {slot(zcode('x', 'y', 8000), 5)}, count(*) FROM e GROUP BY 1, 2, 3""")
+def layout_catalog_rows(s, d):
+    _ev(s, d)
+    paths = stored.PATHS[d, "events"]
+    both = layout_catalog(s, paths["kt"], "kt", "slot_group").unionByName(layout_catalog(s, paths["st"], "st", "unit_group"))
+    return both.select("method", F.col("tru").cast("bigint").alias("tru"), "grp", "rows")
+
 
-for _cls, _key in ((base.Relational, "relational"), (base.Scan, "scan"), (base.ZIndex, "zindex")):
+# --- baselines, each over its own stored table -----------------------------------------
 
-    def _b1(cls=_cls):
-        return lambda s, d: cls(_ev(s, d, 7)).q1(ME, t.events_days(7))
+for _key in ("relational", "scan", "zindex"):
 
-    def _b2(cls=_cls):
-        return lambda s, d: cls(_ev(s, d, 30)).q2(7, 1, t.events_days(30), WIDE)
+    def _b1(n, key=_key):
+        return lambda s, d: stored.baseline(s, d, key).q1(ME, t.events_days(n))
 
-    def _b3(cls=_cls):
-        return lambda s, d: cls(_ev(s, d, 7)).q3(ME, t.events_days(7), NARROW)
+    def _b2(th, key=_key):
+        return lambda s, d: stored.baseline(s, d, key).q2(7, 1, t.events_days(30), th)
 
-    def _b4(cls=_cls):
-        return lambda s, d: cls(_ev(s, d, 1)).q4(t.events_days(1), 120.0)
+    def _b3(n, th, key=_key):
+        return lambda s, d: stored.baseline(s, d, key).q3(ME, t.events_days(n), th)
 
-    entry(f"base_{_key}_q1", _Q1 + days(7))(_b1())
-    entry(f"base_{_key}_q2", _q2_sql(7, 1, 10, 1000))(_b2())
-    entry(f"base_{_key}_q3", _q3_sql(7, 100, 7))(_b3())
-    entry(f"base_{_key}_q4", _q4_sql(120, 1))(_b4())
+    def _b4(n, kmh, key=_key):
+        return lambda s, d: stored.baseline(s, d, key).q4(t.events_days(n), float(kmh))
+
+    entry(f"base_{_key}_q1", _Q1 + days(7))(_b1(7))
+    entry(f"base_{_key}_q2", _q2_sql(7, 1, 10, 1000))(_b2(WIDE))
+    entry(f"base_{_key}_q2_7h100m", _q2_sql(7, 1, 7, 100))(_b2(NARROW))
+    entry(f"base_{_key}_q3", _q3_sql(7, 100, 7))(_b3(7, NARROW))
+    entry(f"base_{_key}_q4", _q4_sql(120, 1))(_b4(1, 120))
+    for _n in (1, 30):
+        entry(f"base_{_key}_q1_{_n}d", _Q1 + days(_n))(_b1(_n))
+        entry(f"base_{_key}_q3_{_n}d", _q3_sql(7, 100, _n))(_b3(_n, NARROW))
+    for _n in (1, 7, 30):
+        entry(f"base_{_key}_q3_10h1000m_{_n}d", _q3_sql(10, 1000, _n))(_b3(_n, WIDE))
+    for _n in (7, 30):
+        entry(f"base_{_key}_q4_{_n}d", _q4_sql(9000, _n))(_b4(_n, 9000))
+for _n in (1, 30):
+    _q3(f"q3_similar_10h1000m_{_n}d", "kt+st", "cell", WIDE, _n, 10, 1000)
+
+
+@entry("q4_clones_week", _q4_sql(9000, 7))
+def q4_clones_week(s, d):
+    return ops.clone_objects(_ev(s, d), t.events_days(7), 9000.0)
 
 
 @entry("base_graph_q1", _Q1 + days(30))
 def base_graph_q1(s, d):
-    return base.Adjacency(_ev(s, d, 30)).q1(ME, t.events_days(30))
+    return stored.baseline(s, d, "graph").q1(ME, t.events_days(30))
 
 
 @entry("base_graph_q2", _q2_sql(7, 1, 10, 1000))
 def base_graph_q2(s, d):
-    return base.Adjacency(_ev(s, d, 30)).q2(7, 1, t.events_days(30), WIDE)
+    return stored.baseline(s, d, "graph").q2(7, 1, t.events_days(30), WIDE)
 
 
-@entry("base_random_workers")
+@entry("base_random_workers", f"WITH {EV} SELECT CAST({slot('(edge_id * 2)', 20)} % 10 AS INTEGER) AS worker, count(*) AS rows FROM ev GROUP BY 1")
 def base_random_workers(s, d):
     return base.random_layout(t.event_edges(s, d), 10).groupBy("worker").agg(F.count(F.lit(1)).alias("rows"))
 
@@ -473,6 +637,14 @@ def cut_edges_vertex(s, d):
     return base.cut_edges(e, *base.vertex_partition(e, 10))
 
 
+@entry("cut_edges_greedy")
+def cut_edges_greedy(s, d):
+    """Edges cut by the partitioning that moves vertices towards their neighbours, beside the hashed one."""
+    e = t.event_edges(s, d)
+    hashed = base.cut_edges(e, *base.vertex_partition(e, 10)).select(F.lit("hash").alias("method"), "edges", "cut")
+    return hashed.unionByName(base.cut_edges(e, *base.vertex_partition_greedy(e, 10)).select(F.lit("greedy").alias("method"), "edges", "cut"))
+
+
 @entry("ghosts_edge", f"""WITH {EV}, p AS (SELECT *, {_AT.format(c='edge_id')} AS worker FROM ev)
   SELECT 'object_id' AS side, count(*) AS vertices, CAST(sum(k) AS BIGINT) AS copies, CAST(sum(k - 1) AS BIGINT) AS ghosts
     FROM (SELECT object_id, count(DISTINCT worker) AS k FROM p GROUP BY 1)
@@ -539,6 +711,16 @@ def cost_choice(s, d):
     return s.createDataFrame(picks, "query string, plan string")
 
 
+@entry("cost_choice_stored", "SELECT * FROM (VALUES ('Q1', 'kt'), ('Q2', 'kt'), ('Q3', 'kt+st'), ('Q4', 'kt')) v(query, plan)")
+def cost_choice_stored(s, d):
+    """The choice from the stored layouts' own statistics: bytes of the range by bucket, sub-partitions, regions that the trace touches."""
+    lay = _ev(s, d)
+    paths = stored.PATHS[d, "events"]
+    stats = LayoutStatistics.of(layout_catalog(s, paths["kt"], "kt", "slot_group").unionByName(layout_catalog(s, paths["st"], "st", "unit_group")))
+    picks = [(q, choose_plan(QuerySpec(q, (ME, 1), t.events_days(7)), lay, statistics=stats).plan) for q in cm.QUERIES]
+    return s.createDataFrame(picks, "query string, plan string")
+
+
 @entry("cost_break_even", """SELECT round((950.0 * 0.11 / 8 + 0.0001 * 16384 / 8 - 0.01 * 950 / 16384 / 0.8 - 0.0001 / 0.8) * 8
   / (0.03 * 950.0 / 1048576 + 0.0001), 0) AS regions""")
 def cost_break_even(s, d):
@@ -578,7 +760,7 @@ _SHOP_CLONES = f"""c AS (SELECT DISTINCT a.object_id FROM se a JOIN se b ON a.ob
 
 
 def _shop_clones(s, d):
-    return ops.clone_objects(t.shop_graph(s, d), None, 120.0, "stitched")
+    return ops.clone_objects(stored.shop(s, d), None, 120.0, "stitched")
 
 
 @entry("clones_by_segment", f"WITH {SE}, {_SHOP_CLONES} SELECT c_mktsegment, count(*) AS clones FROM c JOIN customer ON c_custkey = object_id GROUP BY 1")
@@ -625,23 +807,14 @@ def group_moves(s, d):
 
 
 @entry("vector_similar_objects", """WITH n AS (SELECT count(*) AS c FROM embeddings),
-  v AS (SELECT user_id AS object_id, epoch_us(ts) AS ts_us, event_id % c AS location_id FROM events, n WHERE epoch_us(ts) < 1704153600000000),
+  v AS (SELECT user_id AS object_id, epoch_us(ts) AS ts_us, event_id % c AS location_id FROM events, n),
   m AS (SELECT v.*, embedding FROM v JOIN embeddings ON vec_id = location_id)
   SELECT b.object_id, count(*) AS similarity FROM m a JOIN m b ON a.object_id = 7 AND b.object_id <> 7 AND abs(a.ts_us - b.ts_us) <= 36000000000
   AND round(list_distance(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 9) <= 10 GROUP BY 1""")
 def vector_similar_objects(s, d):
-    return _vector_similar(s, d, 1)
-
-
-@entry("vector_similar_objects_month")
-def vector_similar_objects_month(s, d):
-    return _vector_similar(s, d, 30)
-
-
-def _vector_similar(s, d, days_):
     places = t.vector_locations(s, d)
     n = places.count()
-    e = t.event_edges(s, d, t.events_days(days_)).select("object_id", "ts_us", (F.col("edge_id") % n).alias("location_id"))
+    e = t.event_edges(s, d).select("object_id", "ts_us", (F.col("edge_id") % n).alias("location_id"))
     m = e.join(places.select("location_id", "embedding"), "location_id")
     # no grid in a vector space: the trace meets edges in neighbouring time buckets, then by exact distance
     a = m.where(F.col("object_id") == ME).select(F.col("ts_us").alias("ta"), F.col("embedding").alias("va"), F.explode(F.expr(f"sequence(ts_us div {10 * HOUR} - 1, ts_us div {10 * HOUR} + 1)")).alias("tb"))
@@ -650,7 +823,10 @@ def _vector_similar(s, d, days_):
     return pairs.groupBy("object_id").agg(F.count(F.lit(1)).alias("similarity"))
 
 
-@entry("vector_clones_cosine")
+@entry("vector_clones_cosine", """WITH n AS (SELECT count(*) AS c FROM embeddings),
+  m AS (SELECT user_id AS object_id, epoch_us(ts) AS ts_us, event_id % c AS location_id, CAST(embedding AS DOUBLE[]) AS v FROM events, n JOIN embeddings ON vec_id = event_id % c)
+  SELECT DISTINCT a.object_id FROM m a JOIN m b ON a.object_id = b.object_id AND a.ts_us <= b.ts_us AND a.location_id <> b.location_id
+  WHERE (1 - list_cosine_similarity(a.v, b.v)) * 3.6e6 > 1e-4 * (b.ts_us - a.ts_us)""")
 def vector_clones_cosine(s, d):
     """Clones under cosine distance, no metric: the all-pairs definition is forced."""
     places = t.vector_locations(s, d)
@@ -661,19 +837,40 @@ def vector_clones_cosine(s, d):
 
 
 @entry("vector_near_places", """SELECT a.vec_id AS a, b.vec_id AS b, round(list_distance(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS dist FROM embeddings a JOIN embeddings b
-  ON a.vec_id < 3 AND b.vec_id <> a.vec_id WHERE round(list_distance(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) <= 9""")
+  ON a.vec_id % 100 = 0 AND b.vec_id <> a.vec_id WHERE round(list_distance(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) <= 9""")
 def vector_near_places(s, d):
-    return _vector_near(t.vector_locations(s, d), "location_id < 3")  # three query vectors
+    """Query vectors: those whose id is divisible by 100, against all."""
+    v = t.vector_locations(s, d)
+    q = v.where("location_id % 100 = 0").select(F.col("location_id").alias("a"), F.col("embedding").alias("ea"))
+    dist = F.round(METRICS["vector_l2"].distance("ea", "embedding"), 6)
+    return v.join(small(q), F.col("a") != F.col("location_id")).select("a", F.col("location_id").alias("b"), dist.alias("dist")).where("dist <= 9")
 
 
-@entry("vector_near_places_all")
-def vector_near_places_all(s, d):
-    return _vector_near(t.vector_locations(s, d), "location_id % 100 = 0")
+# --- ids for relational queries, updated locations -------------------------------------------
 
 
-def _vector_near(v, wanted):
-    q = v.where(wanted).select(F.col("location_id").alias("a"), F.col("embedding").alias("ea"))
-    dist = F.round(METRICS["vector_l2"].distance("ea", "embedding"), 6)
-    return v.join(F.broadcast(q), F.col("a") != F.col("location_id")).select("a", F.col("location_id").alias("b"), dist.alias("dist")).where("dist <= 9")
+@entry("index_vertex_ids", f"""WITH {SE}, {_SHOP_CLONES} SELECT nation.n_name, count(*) AS customers FROM customer JOIN nation ON n_nationkey = c_nationkey
+  WHERE c_custkey IN (SELECT object_id FROM c) GROUP BY 1""")
+def index_vertex_ids(s, d):
+    """The graph as an index: ids of the objects that a query flags, joined with relational tables."""
+    ids = idx.vertex_ids(ops.clone_objects(stored.shop(s, d), None, 120.0, "stitched"), "object_id", "c_custkey")
+    c, n = t.read(s, d, "customer"), t.read(s, d, "nation")
+    return c.join(ids, "c_custkey", "left_semi").join(n, F.col("c_nationkey") == F.col("n_nationkey")).groupBy("n_name").agg(F.count(F.lit(1)).alias("customers"))
+
 
+@entry("index_edge_ids", f"""WITH {EV} SELECT event_type, count(*) AS events, round(sum(value), 4) AS total FROM ev WHERE object_id = {ME} AND {days(7)} GROUP BY 1""")
+def index_edge_ids(s, d):
+    """Ids of the edges of a trace, joined with the event table."""
+    ids = idx.edge_ids(_ev(s, d), [ME], t.events_days(7), "event_id")
+    ev = t.read(s, d, "events")
+    return ev.join(ids, "event_id", "left_semi").groupBy("event_type").agg(F.count(F.lit(1)).alias("events"), F.round(F.sum("value"), 4).alias("total"))
 
+
+@entry("locations_refreshed", f"""WITH {PL}, moved AS (SELECT location_id, k, t, area, x + CASE WHEN location_id % 50 = 0 THEN 5000 ELSE 0 END AS x, y FROM pl UNION ALL SELECT 9999, 0, 0, 0, 1000, 1000)
+  SELECT {zcode('x', 'y')} AS region, count(*) AS weight FROM moved GROUP BY 1""")
+def locations_refreshed(s, d):
+    """Moved and new locations reach every holder of the table: a new version of it, and the weights made from it."""
+    g = t.event_graph(s, d)
+    moved = g.locations.where("location_id % 50 = 0").withColumn("x", F.col("x") + 5000)
+    new = s.createDataFrame([(9999, 1000, 1000, 0)], "location_id long, x long, y long, area int")
+    return mp.region_weights(loc.refresh_locations(g, moved.unionByName(new), scratch(s, "locations")).locations, g.spec)

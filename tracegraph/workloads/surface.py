@@ -216,9 +216,12 @@ def op_agg_pivot_weekday(s, d):
     return rows.select("area", *[F.coalesce(F.col(str(i)), F.lit(0)).alias(w) for i, w in enumerate(_WEEK)])
 
 
-@entry("op_agg_approx_visitors")
+@entry("op_agg_approx_visitors", f"WITH {E} SELECT area, count(DISTINCT object_id) AS visitors, true AS approx_within_5_sd FROM e GROUP BY 1")
 def op_agg_approx_visitors(s, d):
-    return _with_area(s, d).groupBy("area").agg(F.approx_count_distinct("object_id").alias("visitors"))
+    """Exact visitors by area, and whether the sketch (relative deviation 5 %) is within five deviations of them."""
+    sketch = F.approx_count_distinct("object_id", 0.05)
+    both = _with_area(s, d).groupBy("area").agg(F.countDistinct("object_id").alias("visitors"), sketch.alias("approx"))
+    return both.select("area", "visitors", (F.abs(F.col("approx") - F.col("visitors")) <= 0.25 * F.col("visitors") + 1).alias("approx_within_5_sd"))
 
 
 _GAP = f"""g AS (SELECT object_id, ts_us - lag(ts_us) OVER (PARTITION BY object_id ORDER BY ts_us, edge_id) AS gap FROM ev)"""
@@ -301,14 +304,9 @@ def op_topk_places(s, d):
     return t.event_edges(s, d).groupBy("location_id").agg(count_rows().alias("visits")).orderBy(F.desc("visits"), "location_id").limit(10)
 
 
-@entry("op_sort_trace", f"WITH {SO} SELECT object_id, ts_us, location_id FROM so WHERE object_id < 20")
+@entry("op_sort_trace", f"WITH {SO} SELECT object_id, ts_us, location_id FROM so")
 def op_sort_trace(s, d):
-    return t.shop_edges(s, d).where("object_id < 20").select("object_id", "ts_us", "location_id").orderBy("object_id", "ts_us", "location_id")
-
-
-@entry("op_sort_trace_all", f"WITH {SO} SELECT object_id, ts_us, location_id FROM so")
-def op_sort_trace_all(s, d):
-    """The full order; ``op_sort_trace`` holds the objects below 20 only."""
+    """All shop edges in full order."""
     return t.shop_edges(s, d).select("object_id", "ts_us", "location_id").orderBy("object_id", "ts_us", "location_id")
 
 
