@@ -326,8 +326,8 @@ def test_join_query(spark, sf, texts):
     assert {r["doc_id"]: r["component_id"] for r in rows} == want
 
 
-@pytest.mark.parametrize("group,pairs,seen", [(512, 1_000_000, 8), (3, 5, 2)])
-def test_join_of_edited_copies(spark, monkeypatch, group, pairs, seen):
+@pytest.mark.parametrize("group,pairs,seen,exact", [(512, 1_000_000, 2, True), (3, 5, 2, True), (3, 5, 8, False)])
+def test_join_of_edited_copies(spark, monkeypatch, group, pairs, seen, exact):
     """Copies with more and more edits around the threshold, in one group and in many, with any order of tokens."""
     monkeypatch.setattr(tg, "GROUP", group)
     monkeypatch.setattr(tg, "PAIRS", pairs)
@@ -342,7 +342,7 @@ def test_join_of_edited_copies(spark, monkeypatch, group, pairs, seen):
         docs[i] = " ".join(words)
     docs |= {100: "a b", 101: "A B", 102: "", 103: None}
     df = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
-    got = {r["doc_id"]: r["component_id"] for r in tg.jaccard_groups(df, 4, 85).collect()}
+    got = {r["doc_id"]: r["component_id"] for r in tg.jaccard_groups(df, 4, 85, exact).collect()}
     assert got == _components(docs, 4, 85)
 
 

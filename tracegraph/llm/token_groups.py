@@ -1,29 +1,29 @@
 """N-gram Jaccard join through a token-group matrix.
 
 Documents with equal shingle sets become one class. Similar classes are partitioned into groups, and each group stores the
-union of its members' tokens. A query class that shares a prefix token with a group is measured against that
+union of its members' tokens. A query class that shares a key with a group is measured against that
 union, and the group is opened, its members compared with the query, only if the overlap can reach the threshold.
 
-Exact, by prefix filtering: with tokens in one order for all, sets x and y that share o tokens or more share l of them among the first
-|x| - o + l of x and |y| - o + l of y. Here o is ceil(p |x|), the least overlap of x with any partner, and l a twentieth of |x| (``spare``).
-The order is by frequency, rare first, then by hash; any order is exact, so
-frequencies only need to be good where they are high (``frequent_shingles``).
-
-1. One pass counts shingles by windows of documents; the ``MOST_FREQUENT`` most frequent are ordered last.
-2. One pass over the texts: size, digest and prefix tokens of each shingle set. Tokens are exchanged packed, by ranges; those in the
-   prefix of one class alone go no further. A token and the classes with it in their prefix are a bucket.
-3. Classes are compared with the pivots of their buckets where they share enough of them: links found give components. This only thins what follows.
-4. Classes of buckets that still hold several components are partitioned into groups: a component, or for classes still
+Keys come in two kinds. By default they are MinHash bands, as many that a pair at the threshold shares none with probability
+``miss``, 1e-10, at most. With ``exact`` they are prefix tokens, and no link can be lost: with tokens in one order for all, sets x and y that share o
+tokens or more share l of them among the first |x| - o + l of x and |y| - o + l of y. Here o is ceil(p |x|), the least overlap of x with any
+partner, and l a twelfth of |x| (``spare``). The order is by frequency, rare first, then by hash; any order is exact, so frequencies only
+need to be good where they are high (``frequent_shingles``). Sentences from a common stock bring prefix tokens
+together whose number of pairs grows faster than the corpus, which is why bands are the default.
+
+1. One pass over the texts: size, digest and keys of each shingle set. Keys are exchanged packed, by ranges; those of one class alone go no
+   further. A key and its classes are a bucket.
+2. Classes are compared with the pivots of their buckets where they share enough of them: links found give components. This only thins what follows.
+3. Classes of buckets that still hold several components are partitioned into groups: a component, or for classes still
    alone those that share their first such bucket, in parts of ``GROUP`` members or so. The token-group matrix has a row for each
-   token and group. Of two components the smaller asks: a class meets the matrix rows of its tokens, and asks a group
-   if the tokens that they share, over the union of the members' prefixes, are as many as a linked member's would be at least. What
-   lies inside one component is not asked: it can't change the result.
-5. A group that is asked is measured whole: the asker's overlap with the union of all members' tokens bounds its overlap with each, and
+   key and group. Of two components the smaller asks: a class meets the matrix rows of its keys, and asks a group
+   if they share as many as it shares with a linked member at least. What lies inside one component is not asked: it can't change the result.
+4. A group that is asked is measured whole: the asker's overlap with the union of all members' tokens bounds its overlap with each, and
    only where that reaches the threshold are the members compared. Askers of a group are dealt into blocks, so a task holds
    a group and a block whatever their numbers.
-6. Components by repeated minimum labels over the links, one written table a round.
+5. Components by repeated minimum labels over the links, one written table a round.
 
-Every link is found and every one reported is exact. Sets are only shipped for classes that ask or are asked.
+Every reported link is exact. Sets are only shipped for classes that ask or are asked.
 
 Defined results: documents without words or text have no shingles, are linked with nothing and are their own component;
 repeated rows and equal texts share a class; a repeated doc_id is one node for all its rows' classes only if they link.
@@ -33,7 +33,8 @@ An empty table gives an empty result; other columns are ignored.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import math
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -43,14 +44,16 @@ from pyspark.sql import functions as F
 from .common import materialise, store, table
 from .shingles import mix, shingle_set
 
+#: Hash functions of a band.
+ROWS = 4
 #: Members of a group, and askers in a block: two such sets at most are in a task's memory.
 GROUP = 512
 #: Rows of a bucket's matrix that one task pairs with askers.
 PAIRS = 1_000_000
 #: Shingles that are ordered by their frequency, at most: 16 bytes each go with the tasks. The others are ordered by hash.
-MOST_FREQUENT = 500_000
+MOST_FREQUENT = 1_000_000
 #: Shingles of a window of documents, and how often one must occur in a window to be counted.
-WINDOW_TOKENS, SEEN = 4_000_000, 8
+WINDOW_TOKENS, SEEN = 8_000_000, 2
 #: Stands for a null doc_id: larger than any other.
 NO_ID = (1 << 63) - 1
 #: Prefix tokens in a range of the exchange, about.
@@ -62,7 +65,7 @@ def frequent_shingles(docs: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
     """The most frequent shingles, sorted, and their counts; over all documents, as far as they are frequent in some window."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size = [], 0
+        held, size, known = [], 0, set()
 
         def flush() -> pa.RecordBatch:
             token, count = np.unique(np.concatenate(held), return_counts=True) if held else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
@@ -71,11 +74,16 @@ def frequent_shingles(docs: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
 
         for batch in batches:
             for text in batch.column("text").to_pylist():
-                held.append(shingle_set(text, n))
-                size += len(held[-1])
+                tokens = shingle_set(text, n)
+                digest = int(tokens.sum(dtype=np.uint64))
+                if digest in known:  # a copy: the class counts once
+                    continue
+                known.add(digest)
+                held.append(tokens)
+                size += len(tokens)
                 if size >= WINDOW_TOKENS:
                     yield flush()
-                    held, size = [], 0
+                    held, size, known = [], 0, set()
         yield flush()
 
     counted = docs.select("text").mapInArrow(run, "token long, c long").groupBy("token").agg(F.sum("c").alias("c"))
@@ -87,11 +95,16 @@ def frequent_shingles(docs: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
 
 def spare(n: int) -> int:
     """How many prefix tokens a set of ``n`` shares at least with a linked one of the same size; never less for larger sets."""
-    return max(1, n // 20)
+    return max(1, n // 12)
 
 
 def _spare(n: str) -> str:
-    return f"greatest(1, {n} div 20)"
+    return f"greatest(1, {n} div 12)"
+
+
+def _one(n: str) -> str:
+    """Linked sets share one band at least."""
+    return "1"
 
 
 def prefix(tokens: np.ndarray, percent: int, frequent: np.ndarray, counts: np.ndarray) -> np.ndarray:
@@ -118,12 +131,35 @@ def _wide(data) -> np.ndarray:
     return out.view("<u8").reshape(-1)
 
 
-def signatures(docs: DataFrame, n: int, percent: int) -> DataFrame:
-    """doc_id, key, n_shingles, a 128-bit digest of the set (d1, d2) and its prefix tokens (null without shingles)."""
-    often = docs.sparkSession.sparkContext.broadcast(frequent_shingles(docs, n))
+def band_keys(tokens: np.ndarray, bands: int) -> np.ndarray:
+    """One 48-bit key for each band: the minima of ROWS hash functions over the tokens."""
+    rng = np.random.Generator(np.random.PCG64(20240229))
+    odd = rng.integers(1, 1 << 63, bands * ROWS, np.uint64) * np.uint64(2) + np.uint64(1)
+    add = rng.integers(0, 1 << 63, bands * ROWS, np.uint64)
+    low = np.empty(bands * ROWS, np.uint64)
+    for at in range(0, bands * ROWS, 8):
+        h = tokens[None, :] * odd[at : at + 8, None] + add[at : at + 8, None]
+        h ^= h >> np.uint64(32)
+        h *= np.uint64(0xD6E8FEB86659FD93)
+        low[at : at + 8] = h.min(axis=1)
+    key = np.arange(bands, dtype=np.uint64)
+    for i in range(ROWS):
+        key = mix(key * _ODD + low[i::ROWS])
+    return key >> np.uint64(16)
+
+
+def bands_for(percent: int, miss: float) -> int:
+    """Bands, so that a pair at the threshold shares none of them with probability ``miss`` at most."""
+    return math.ceil(math.log(miss) / math.log(1 - (percent / 100) ** ROWS))
+
+
+def signatures(docs: DataFrame, n: int, percent: int, exact: bool, miss: float) -> DataFrame:
+    """doc_id, key, n_shingles, a 128-bit digest of the set (d1, d2) and its keys (null without shingles)."""
+    often = docs.sparkSession.sparkContext.broadcast(frequent_shingles(docs, n)) if exact else None
+    bands = bands_for(percent, miss)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        frequent, counts = often.value
+        of = (lambda t: prefix(t, percent, *often.value)) if often else (lambda t: band_keys(t, bands))
         for batch in batches:
             sizes, d1, d2, keys = [], [], [], []
             for text in batch.column("text").to_pylist():
@@ -131,7 +167,7 @@ def signatures(docs: DataFrame, n: int, percent: int) -> DataFrame:
                 sizes.append(len(tokens))
                 d1.append(tokens.sum(dtype=np.uint64))
                 d2.append(np.bitwise_xor.reduce(mix(tokens + np.uint64(1))) if len(tokens) else np.uint64(0))
-                keys.append(_six(prefix(tokens, percent, frequent, counts)) if len(tokens) else None)
+                keys.append(_six(of(tokens)) if len(tokens) else None)
             longs = lambda x: pa.array(np.array(x, np.uint64).view(np.int64), pa.int64())
             yield pa.RecordBatch.from_arrays(
                 [batch.column("doc_id"), batch.column("key"), pa.array(sizes, pa.int64()), longs(d1), longs(d2), pa.array(keys, pa.binary())],
@@ -143,10 +179,9 @@ def signatures(docs: DataFrame, n: int, percent: int) -> DataFrame:
 
 
 def shared_tokens(classes: DataFrame) -> DataFrame:
-    """bucket, id and n for the prefix tokens that several classes (id, n, keys) hold.
+    """bucket, id and n for the keys that several classes (id, n, keys) hold.
 
-    Tokens travel packed: a message holds a batch's tokens of one range, and whose they are. A token so frequent that a range could not hold its
-    classes is ordered behind all others and kept apart by ``frequent_shingles``; its share of a window bounds what is left.
+    Keys travel packed: a message holds a batch's keys of one range, and whose they are: some ten bytes a key. One key's classes meet in one range.
     """
     total = classes.agg(F.sum(F.length("keys") / 6)).first()[0] or 0
     bits = max(3, int(total / RANGE_TOKENS).bit_length())
@@ -313,10 +348,11 @@ def components(edges: DataFrame, tag: str = "cc") -> DataFrame:
             return now.df.select("node", "comp")
 
 
-def jaccard_groups(docs: DataFrame, n: int, percent: int) -> DataFrame:
+def jaccard_groups(docs: DataFrame, n: int, percent: int, exact: bool = False, miss: float = 1e-10) -> DataFrame:
     """Per row of docs (doc_id, text): doc_id, key (hash of the text), n_shingles, id (its class), node (the class's least doc_id), component_id."""
     docs = docs.select(F.coalesce("doc_id", F.lit(NO_ID)).alias("doc_id"), "text")
-    made = signatures(docs, n, percent)
+    made = signatures(docs, n, percent, exact, miss)
+    need = _spare if exact else _one
     seen = materialise(made.withColumn("id", F.xxhash64("d1", "d2", "n_shingles")), "tg-sets")
     classes = store(
         seen.where("n_shingles > 0").groupBy("id").agg(F.min("doc_id").alias("node"), F.min_by("keys", "doc_id").alias("keys"), F.first("n_shingles").cast("int").alias("n")),
@@ -326,7 +362,7 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int) -> DataFrame:
     pivots = shared.df.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("id").alias("o"), "id", "n")).alias("p")).select(
         "bucket", F.col("p.id").alias("b"), F.col("p.n").alias("m")
     )
-    near = f"100 * least(n, m) >= {percent} * greatest(n, m) and 3 * c >= {_spare('least(n, m)')}"
+    near = f"100 * least(n, m) >= {percent} * greatest(n, m) and 3 * c >= {need('least(n, m)')}"
     stars = store(
         shared.df.join(pivots, "bucket").where("id <> b").groupBy(F.col("id").alias("a"), "b", "n", "m").agg(F.count(F.lit(1)).alias("c")).where(near).select("a", "b"),
         "tg-stars",
@@ -334,7 +370,7 @@ def jaccard_groups(docs: DataFrame, n: int, percent: int) -> DataFrame:
     sets = _sets_of(docs, n, classes.df, stars.df.select(F.col("a").alias("id")).union(stars.df.select("b")))
     links = store(verified(stars.df, sets.df, percent), "tg-links")
     comps = components(links.df)
-    more = store(matrix_links(shared.df, comps, docs, n, classes.df, percent), "tg-more")
+    more = store(matrix_links(shared.df, comps, docs, n, classes.df, percent, need), "tg-more")
     # links between components are joined as links of their names
     named = more.df.join(comps.select(F.col("node").alias("a"), F.col("comp").alias("ca")), "a", "left").join(
         comps.select(F.col("node").alias("b"), F.col("comp").alias("cb")), "b", "left"
@@ -397,11 +433,13 @@ def partition_groups(rows: DataFrame) -> DataFrame:
     return dealt.select("node", "comp", "n", F.xxhash64("key", "part").alias("grp"))
 
 
-def matrix_links(shared: DataFrame, comps: DataFrame, docs: DataFrame, n: int, classes: DataFrame, percent: int) -> DataFrame:
+def matrix_links(shared: DataFrame, comps: DataFrame, docs: DataFrame, n: int, classes: DataFrame, percent: int, need: Callable[[str], str]) -> DataFrame:
     """Links (a, b) between components (comps: node, comp) of the classes in buckets (shared: bucket, id, n)."""
     known = shared.select("bucket", F.col("id").alias("node"), "n").join(comps, "node", "left")
     known = known.select("bucket", "node", "n", F.coalesce("comp", "node").alias("comp"))
-    several = known.groupBy("bucket").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("bucket")
+    # by bands, all classes of a bucket have been compared with its pivot: two classes are done with
+    done = 2 if need is _one else 1
+    several = known.groupBy("bucket").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.count(F.lit(1)).alias("k")).where(f"x <> y and k > {done}").select("bucket")
     weight = comps.groupBy("comp").agg(F.count(F.lit(1)).alias("weight"))
     # of two components the one with the lower rank asks
     rows = store(
@@ -425,7 +463,7 @@ def matrix_links(shared: DataFrame, comps: DataFrame, docs: DataFrame, n: int, c
     met = asks.join(offered.select("bucket", "salt", "grp", "top", "n0", "n1"), ["bucket", "salt"]).where(fits)
     # a linked member has at least this many tokens, and shares that many with the asker as its own size or the asker's allows
     least = f"greatest(min(n0), ceil({percent} * n / 100))"
-    bound = F.expr(f"count(1) >= least({_spare('n')}, {_spare(f'cast({least} as int)')})")
+    bound = F.expr(f"count(1) >= least({need('n')}, {need(f'cast({least} as int)')})")
     asked = store(met.groupBy("node", "comp", "n", "grp").agg(bound.alias("enough")).where("enough").select("node", "comp", "grp"), "tg-asked")
     blocks = store(asked.df.groupBy("grp").agg(F.ceil(F.count(F.lit(1)) / GROUP).alias("blocks")), "tg-blocks")
     askers = asked.df.join(blocks.df, "grp").select(
