@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 import random
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -250,7 +251,11 @@ def test_named_inline_elements_split_no_paragraph():
 def test_tree_matching_counts_a_known_pair():
     a = wi.reduced([(("b", "p"), "x"), (("b", "div"), "y"), (("b", "p"), "z")])
     b = wi.reduced([(("b", "p"), "x"), (("b", "p"), "z")])
-    assert wi.match(a, a)[0] == 5 and wi.match(a, b)[0] == 3
+    # the two paragraphs are one repeated node: root, b, p, div
+    assert wi.match(a, a)[0] == 4 and wi.match(a, b)[0] == 3
+    c = wi.reduced([(("b", "div"), "y"), (("b", "p"), "x"), (("b", "p", "i"), "z")])
+    d = wi.reduced([(("b", "p"), "x"), (("b", "p", "i"), "z"), (("b", "div"), "y")])
+    assert wi.match(c, d)[0] == 4  # order is kept: p with its i outweighs div
 
 
 def test_pages_query(spark, sf):
@@ -263,6 +268,41 @@ def test_pages_query(spark, sf):
         assert r["text"] == "\n".join(p for p in parts if p) and r["n_chars"] == len(r["text"])
 
 
+def test_wrapper_without_any_hint_in_names():
+    """Plain divs in two layouts: only what stays the same tells the boilerplate."""
+
+    def page(i):
+        body = f"<div class=q>words of page {i} in full</div><div class=q>more {i * 7} of them</div>"
+        if i % 2:
+            return f"<body><div class=a><div class=b>The daily paper</div><div class=c>Sections one two</div><div class=d>{body}</div><div class=z>printed here</div></div>"
+        return f"<body><div class=m><div class=n>{body}</div><div class=o>The weekly paper</div><div class=u>all about it</div></div>"
+
+    wrapper = wi.induce([page(i) for i in range(16)])
+    for i in (2, 3, 40, 41):
+        assert wi.extract(page(i), wrapper) == f"words of page {i} in full\nmore {i * 7} of them"
+        assert wi.removed(page(i), wrapper)["template"] >= 2
+
+
+def test_repeated_pages_make_no_template():
+    pages = ["<body><div class=a>Site</div><div class=b>the same article</div>"] * 10
+    pages += [f"<body><div class=a>Site</div><div class=b>article {i}</div>" for i in range(5)]
+    assert wi.extract(pages[0], wi.induce(pages)) == "the same article"
+
+
+@pytest.mark.parametrize("page", ["<div>" * 3_000 + "deep {}", "".join(f"<h2>head {k}</h2><p>part {k} of {{}}</p>" for k in range(2_000))])
+def test_induction_on_deep_and_long_pages(page):
+    pages = [page.replace("{}", str(i)) for i in range(12)]
+    t = time.perf_counter()
+    assert wi.extract(pages[5], wi.induce(pages))
+    assert time.perf_counter() - t < 30
+
+
+@pytest.mark.parametrize("html", [None, "", "<", "<p>", "<nav>only</nav>", "text only", "<form><div>a form</div></form>"])
+def test_odd_pages_through_induction(spark, html):
+    df = spark.createDataFrame([(i, "http://h.example/", html) for i in range(3)] + [(None, "http://h.example/x", html)], "page_id long, url string, html string")
+    assert {r["text"] for r in wi.extract_pages(df).collect()} <= {"", "text only", "<", "p"}
+
+
 @pytest.mark.parametrize("page", ["<div>" * 50_000 + "deep", "<svg>" * 20_000 + "deep", "<a =" * 20_000 + "z>deep", "<" * 50_000 + "deep"])
 def test_hostile_pages_end(page):
     assert wi.extract(page).endswith("deep")
