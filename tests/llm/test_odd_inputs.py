@@ -55,6 +55,31 @@ def test_stages_keep_the_columns(spark, odd_docs):
     assert decontamination.clean(odd_docs, _bench(spark).limit(0)).count() == odd_docs.count()
 
 
+NAMES = ["rows", "row", "__id", "__key", "__row", "__base", "__more", "__text", "whole", "kept", "key", "id", "grp", "h0", "node", "tokens"]
+
+
+def test_stages_take_columns_of_any_name(spark, odd_docs):
+    clashing = odd_docs.drop("key", "id").select("*", *[F.lit(i).alias(n) for i, n in enumerate(NAMES)])
+    for stage in (quality_mcd.keep_quality, token_groups.keep_one, lambda d: decontamination.clean(d, _bench(spark)), pii_disclosure.sanitise):
+        out = stage(clashing)
+        assert out.columns == clashing.columns
+        assert {tuple(r) for r in out.select(*NAMES).collect()} == {tuple(range(len(NAMES)))}
+
+
+def test_null_ids_of_the_join(spark):
+    text = " ".join(f"w{i}" for i in range(30))
+    df = spark.createDataFrame([(None, text), (None, text + " x"), (7, "other words here"), (None, "a b c d e f"), (None, None), (3, text)], "doc_id long, text string")
+    rows = sorted((r["doc_id"] is None, r["doc_id"] or 0, r["n_shingles"], r["component_id"]) for r in token_groups.jaccard_groups(df, 4, 85).collect())
+    assert (False, 3, 27, 3) in rows and (True, 0, 27, 3) in rows and (True, 0, 28, 3) in rows
+    assert (True, 0, 3, None) in rows and (True, 0, 0, None) in rows
+
+
+def test_short_benchmark_items_match_whole(spark):
+    docs = spark.createDataFrame([(1, "say hello world again"), (2, "hello there world"), (3, "nothing")], "doc_id long, text string")
+    bench = spark.createDataFrame([(5, "Hello, world!"), (6, "")], "item_id long, text string")
+    assert [(r["row"], r["item_id"]) for r in decontamination.leaks(docs, bench).collect()] == [(1, 5)]
+
+
 def test_keep_one_keeps_the_first_of_each_group(odd_docs):
     kept = [r["doc_id"] for r in token_groups.keep_one(odd_docs).collect()]
     assert kept.count(1) == 1 and 2 not in kept and 3 not in kept

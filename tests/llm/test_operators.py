@@ -129,9 +129,45 @@ def test_tool_calls(spark):
 
 
 def test_long_chain_of_calls(spark):
-    calls = ",".join(f'{{"id":"k{i}","name":"f"' + (f',"after":["k{i - 1}"]' if i else "") + "}" for i in range(5))
+    calls = ",".join(f'{{"id":"k{i}","name":"f"' + (f',"after":["k{i - 1}"]' if i else "") + "}" for i in range(300))
     df = spark.createDataFrame([(1, 0, "assistant", f'{{"tool_calls":[{calls}]}}')], "conv_id long, turn long, role string, text string")
-    assert {r["call_id"]: r["level"] for r in tc.link_tool_calls(df).collect()} == {f"k{i}": i for i in range(5)}
+    assert {r["call_id"]: r["level"] for r in tc.link_tool_calls(df).collect()} == {f"k{i}": i for i in range(300)}
+
+
+def _brute_levels(waits: dict[str, list[str]]) -> dict[str, int | None]:
+    level: dict[str, int | None] = {}
+    for _ in waits:
+        for c, after in waits.items():
+            if c not in level and all(level.get(a) is not None for a in after):
+                level[c] = 1 + max((level[a] for a in after), default=-1)
+    return {c: level.get(c) for c in waits}
+
+
+def test_random_tool_traffic_against_brute_force(spark):
+    rnd = random.Random(11)
+    rows, want = [], {}
+    for conv in [*range(6), None]:
+        ids = [f"c{i}" for i in range(14)]
+        waits = {c: sorted({rnd.choice(ids) for _ in range(rnd.choice([0, 1, 1, 1, 2]))} - {c}) for c in ids}
+        at = {c: rnd.randrange(3) for c in ids}
+        for turn in range(3):
+            calls = ",".join(f'{{"id":"{c}","name":"f","after":[' + ",".join(f'"{a}"' for a in waits[c]) + "]}" for c in ids if at[c] == turn)
+            rows.append((conv, turn, "assistant", f'{{"tool_calls":[{calls}]}}'))
+        for c in ids:
+            turns = sorted(rnd.sample(range(6), rnd.randrange(3)))
+            rows += [(conv, 10 * t, "tool", f'{{"tool_call_id":"{c}","content":"{t}"}}') for t in turns]
+            # turn 0 answers no call of a later turn
+            late = [10 * t for t in turns if 10 * t >= at[c]]
+            want[conv, c] = (_brute_levels(waits)[c], min(late, default=None), {10 * t: "early_result" if 10 * t < at[c] else "" if 10 * t == min(late) else "repeated_result" for t in turns})
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    found = tc.link_tool_calls(df).collect()
+    calls = {(r["conv_id"], r["call_id"]): r for r in found if r["kind"] == "call"}
+    for key, (level, answer, results) in want.items():
+        r = calls[key]
+        assert (r["level"], r["linked_turn"]) == (level, answer), key
+        assert ("cycle" in r["errors"]) == (level is None) and ("no_result" in r["errors"]) == (answer is None)
+        got = {x["turn"]: x["errors"] for x in found if x["kind"] == "result" and (x["conv_id"], x["call_id"]) == key}
+        assert got == results
 
 
 def test_tool_query_against_sql(spark, sf):

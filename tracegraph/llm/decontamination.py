@@ -11,7 +11,7 @@ Words are compared lower-cased and without punctuation.
 The benchmark is a stated query set. It is read in blocks of bounded size (``BLOCK_WORDS`` words), each block goes with the tasks,
 and the documents are passed once per block; nothing is joined all with all. Hits are few: no step shuffles texts.
 
-Defined results: null or empty texts and items match nothing, nor do items of fewer than ``n`` words;
+Defined results: null or empty texts and items match nothing; an item of fewer than ``n`` words is sought as one whole sequence;
 repeated rows and items are each reported; empty tables give an empty result; other columns are ignored.
 """
 
@@ -39,10 +39,12 @@ class Items:
         self.n, self.ids, self.words = n, [], []
         for item, text in rows:
             words = word_hashes(plain_words(text))
-            if len(words) >= n:
+            if len(words):
                 self.ids.append(item)
                 self.words.append(words)
-        made = [grams(w, n) for w in self.words]
+        # an item of fewer words is sought as one sequence of that length
+        made = [grams(w, min(n, len(w))) for w in self.words]
+        self.lengths = sorted({min(n, len(w)) for w in self.words})
         every = np.concatenate(made) if made else np.zeros(0, np.uint64)
         owner = np.repeat(np.arange(len(made)), [len(g) for g in made])
         place = np.concatenate([np.arange(len(g)) for g in made]) if made else np.zeros(0, np.int64)
@@ -103,7 +105,10 @@ def shared_grams(docs: DataFrame, items: Items, row: str) -> DataFrame:
             out: list[list] = [[], [], [], [], []]
             for key, text in zip(batch.column(row).to_pylist(), batch.column("text").to_pylist(), strict=True):
                 words = word_hashes(plain_words(text))
-                at, which = items.find(grams(words, items.n))
+                met = [items.find(grams(words, k)) for k in items.lengths]
+                at, which = (np.concatenate(x) for x in zip(*met, strict=True)) if met else (np.zeros(0, np.int64),) * 2
+                order = np.argsort(at, kind="stable")
+                at, which = at[order], which[order]
                 if not len(at):
                     continue
                 for a, b in _windows(at, len(words), 2 * items.longest):
@@ -125,13 +130,16 @@ def shared_grams(docs: DataFrame, items: Items, row: str) -> DataFrame:
 
 
 def seeds(items: Items, frequency: np.ndarray, documents: int, share: float) -> np.ndarray:
-    """bool per place of an n-gram in an item (as in items.owner): whether it is a seed there."""
+    """bool per place of an n-gram in an item (as in items.owner): whether it is a seed there. One sort by item and count."""
     of = np.repeat(np.arange(len(items.grams)), np.diff(items.starts))
     count = frequency[of]
     rare = count <= max(2.0, share * documents)
-    for i in range(len(items.ids)):
-        mine = np.flatnonzero(items.owner == i)
-        rare[mine[count[mine] <= np.median(count[mine])]] = True
+    if len(count):
+        order = np.lexsort((count, items.owner))
+        begins = np.searchsorted(items.owner[order], np.arange(len(items.ids) + 1))
+        size = np.diff(begins)
+        low, high = order[begins[:-1] + (size - 1) // 2], order[begins[:-1] + size // 2]
+        rare |= count <= ((count[low] + count[high]) / 2)[items.owner]
     return rare
 
 
@@ -209,9 +217,8 @@ def leaks(docs: DataFrame, benchmark: DataFrame, row: str = "doc_id", n: int = 4
 def clean(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     """The rows of docs that leak no item."""
     key = F.xxhash64("doc_id", F.coalesce("text", F.lit("")))
-    keyed = docs.withColumn("__row", key)
-    bad = store(leaks(keyed.select("__row", "text"), benchmark, "__row", **options).select(F.col("row").alias("__row")).distinct(), "leak-rows").df
-    return keyed.join(bad, "__row", "left_anti").select(*docs.columns)
+    bad = store(leaks(docs.select(key.alias("row"), "text"), benchmark, "row", **options).select("row").distinct(), "leak-rows").df
+    return docs.select(F.struct("*").alias("whole"), key.alias("row")).join(bad, "row", "left_anti").select("whole.*")
 
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -241,13 +241,13 @@ def _replaced(text: Column, spans: Column) -> Column:
 
 def sanitise(docs: DataFrame, **options) -> DataFrame:
     """The same rows and columns with entities and disclosing terms replaced."""
-    names = docs.columns
-    rows = protected(docs, names, **options)
-    new = let(F.concat("__base", "__more"), lambda s: F.when(F.size(s) > 0, _replaced(F.col("text"), s)).otherwise(F.col("text")))
-    rows = rows.withColumn("text", new)
-    if "n_chars" in names:
-        rows = rows.withColumn("n_chars", F.coalesce(F.length("text").cast(docs.schema["n_chars"].dataType), F.col("n_chars")))
-    return rows.select(*names)
+    # the row travels as one value: no column of it can clash with ours
+    rows = protected(docs.select(F.struct("*").alias("whole"), "text"), ["whole"], **options)
+    old = F.col("whole.text")
+    new = let(F.concat("__base", "__more"), lambda s: F.when(F.size(s) > 0, _replaced(old, s)).otherwise(old))
+    size = F.coalesce(F.length(new).cast(docs.schema["n_chars"].dataType), F.col("whole.n_chars")) if "n_chars" in docs.columns else None
+    fresh = {"text": new, "n_chars": size}
+    return rows.select(*[fresh.get(c, F.col(f"whole.`{c}`")).alias(c) for c in docs.columns])
 
 
 def _written(spans: Column) -> Column:

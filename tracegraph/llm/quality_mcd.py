@@ -241,10 +241,12 @@ def score_quality(
 
 def keep_quality(docs: DataFrame, **options) -> DataFrame:
     """The rows of docs that the rules keep. Rows equal in id, text, language and source are judged alike."""
-    key = {"__id": F.coalesce("doc_id", F.lit(-1)), "__key": F.xxhash64("text", "lang", "source")}
-    keyed = docs.withColumns(key)
-    bad = score_quality(keyed, carry=("__id", "__key"), **options).where("not kept").select("__id", "__key").distinct()
-    return keyed.join(store(bad, "mcd-bad").df, ["__id", "__key"], "left_anti").select(*docs.columns)
+    # the row travels as one value: no column of it can clash with ours
+    keyed = docs.select(
+        F.struct("*").alias("whole"), F.coalesce("doc_id", F.lit(-1)).alias("id"), F.xxhash64("text", "lang", "source").alias("key"), "text", "lang", "source"
+    )
+    bad = score_quality(keyed.drop("whole"), carry=("id", "key"), **options).where("not kept").select("id", "key").distinct()
+    return keyed.select("whole", "id", "key").join(store(bad, "mcd-bad").df, ["id", "key"], "left_anti").select("whole.*")
 
 
 def op1_quality_mcd(spark: SparkSession, sf_dir: str) -> DataFrame:

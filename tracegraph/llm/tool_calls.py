@@ -12,14 +12,16 @@ nothing, any other is one more than the highest it waits for. Arguments are vali
 Every message, call and result is serialised as canonical JSON: keys sorted, no white space.
 
 Native: parsing, validation and serialisation are built-in expressions (JSON and variant functions); linking is an
-equi-join; the order is found by peeling, one join a level. The result has a row per item, sorted by
+equi-join; the order is found by pointer jumping along chains, then by peeling what waits for several calls. The result has a row per item, sorted by
 (turn, level, item) within a conversation: a conversation is never gathered into one row or task, so one with
 a third of all turns is dealt out like any other.
 
-Defined results: null or empty text is a message without content or with an empty one. Of calls that repeat an identifier in
-a conversation, the first by (turn, item) is linked, later ones get the error ``duplicate_id``. Other errors:
+Defined results: null or empty text is a message without content or with an empty one. Rows with a null conv_id are one conversation.
+Of calls that repeat an identifier in
+a conversation, the first by (turn, item) is linked, later ones get the error ``duplicate_id``. Of a call's results the first by turn that does not
+come before the call answers it; others get ``repeated_result``, and one in an earlier turn than its call gets ``early_result`` and answers nothing. Other errors:
 ``no_id``, ``no_result``, ``unknown_tool``, ``bad_arguments``, ``missing:name``, ``type:name``, ``unknown_dependency``,
-``cycle`` (also for what waits on a cycle; level null), ``orphan`` (a result without call). Text that begins like an object but
+``cycle`` (also for what waits on a cycle; level null), ``orphan`` (a result without call). A null turn comes before all others. Text that begins like an object but
 isn't one that is described here is a message. Repeated rows are separate items. An empty table gives an empty result; other columns are ignored.
 """
 
@@ -89,21 +91,48 @@ def items(turns: DataFrame) -> DataFrame:
 def levels(calls: DataFrame, waits: DataFrame) -> DataFrame:
     """uid and level of the calls (uid) that no cycle holds up; ``waits``: uid waits for other, both known calls.
 
-    One round a level: calls none of whose dependencies is open are done.
+    A call that waits for one other is a link of a chain: pointer jumping finds, in as many rounds as the chain's length has bits, the call
+    at the chain's start and how far it is. Calls that wait for several are then peeled, one round for each of them in a row.
     """
-    done: DataFrame | None = None
-    open_, edges, level = store(calls.select("uid"), "tc-open"), store(waits.select("uid", "other").distinct(), "tc-waits"), 0
+    edges = store(waits.select("uid", "other").distinct(), "tc-waits")
+    many = store(edges.df.groupBy("uid").agg(F.count(F.lit(1)).alias("k")), "tc-many")
+    free = calls.select("uid").join(many.df, "uid", "left_anti")
+    chain = store(edges.df.join(many.df.where("k = 1").select("uid"), "uid").select("uid", F.col("other").alias("at"), F.lit(1).cast("long").alias("far")), "tc-chain")
+    rounds, links = 0, chain.df.count()
+    while links and (1 << rounds) <= 2 * links:
+        step = chain.df.select(F.col("uid").alias("at"), F.col("at").alias("next"), F.col("far").alias("more"))
+        after = store(
+            chain.df.join(step, "at", "left").select("uid", F.coalesce("next", "at").alias("at"), (F.col("far") + F.coalesce("more", F.lit(0))).alias("far"), F.col("next").isNotNull().alias("moved")),
+            "tc-chain",
+        )
+        chain.drop()
+        chain, rounds = after, rounds + 1
+        if not after.df.where("moved").limit(1).count():
+            break
+    # what still points into a chain goes round in a cycle
+    ends = chain.df.select("uid", "at", "far").join(chain.df.select(F.col("uid").alias("at")), "at", "left_anti")
+    wide = edges.df.join(many.df.where("k > 1").select("uid"), "uid")
+    # a dependency on a link of a chain is one on the chain's start, that much further
+    inside = chain.df.select(F.col("uid").alias("other"))
+    hops = wide.join(inside, "other", "left_anti").select("uid", F.col("other").alias("at"), F.lit(0).cast("long").alias("far")).union(
+        wide.join(ends.select(F.col("uid").alias("other"), "at", "far"), "other").select("uid", "at", "far")
+    )
+    lost = wide.join(inside, "other", "left_semi").join(ends.select(F.col("uid").alias("other")), "other", "left_anti").select("uid").distinct()
+    hops = store(hops.join(lost, "uid", "left_anti"), "tc-hops")
+    known = store(free.select("uid", F.lit(0).cast("long").alias("level")), "tc-level")
     while True:
-        ready = store(open_.df.join(edges.df, "uid", "left_anti"), "tc-ready")
+        met = hops.df.join(known.df.select(F.col("uid").alias("at"), "level"), "at", "left").join(known.df.select("uid"), "uid", "left_anti")
+        ready = store(
+            met.groupBy("uid").agg(F.count_if(F.col("level").isNull()).alias("open"), (F.max(F.col("level") + F.col("far")) + 1).alias("level")).where("open = 0").select("uid", "level"),
+            "tc-ready",
+        )
         if not ready.df.limit(1).count():
-            return done if done is not None else open_.df.select("uid", F.lit(0).alias("level")).limit(0)
-        part = ready.df.select("uid", F.lit(level).alias("level"))
-        done = part if done is None else done.union(part)
-        rest = store(open_.df.join(ready.df, "uid", "left_anti"), "tc-open")
-        fewer = store(edges.df.join(ready.df.select(F.col("uid").alias("other")), "other", "left_anti").select("uid", "other"), "tc-waits")
-        open_.drop()
-        edges.drop()
-        open_, edges, level = rest, fewer, level + 1
+            break
+        more = store(known.df.union(ready.df), "tc-level")
+        known.drop()
+        known = more
+    tails = ends.join(known.df.select(F.col("uid").alias("at"), "level"), "at").select("uid", (F.col("level") + F.col("far")).alias("level"))
+    return store(known.df.union(tails).select("uid", F.col("level").cast("int").alias("level")), "tc-order").df
 
 
 def _argument_errors(arguments: Column, tool: Column) -> Column:
@@ -148,7 +177,8 @@ def _json(kind: Column) -> Column:
 
 def link_tool_calls(turns: DataFrame) -> DataFrame:
     """One row per item of the conversations, linked, ordered, validated and serialised."""
-    numbered = items(turns).withColumn("uid", F.monotonically_increasing_id())
+    # joins go by a name that a null conversation has too
+    numbered = items(turns).withColumns({"uid": F.monotonically_increasing_id(), "conv": F.to_json(F.struct("conv_id"))})
     every = materialise(numbered, "tc-items")
     traffic = every.where("kind in ('call', 'result', 'tool')")
     if not traffic.limit(1).count():
@@ -156,26 +186,33 @@ def link_tool_calls(turns: DataFrame) -> DataFrame:
         return _shown(plain)
     calls = every.where("kind = 'call'")
     first = store(
-        calls.where("call_id is not null").groupBy("conv_id", "call_id").agg(
+        calls.where("call_id is not null").groupBy("conv", "call_id").agg(
             F.min(F.struct("turn", "item", "uid")).alias("f")
-        ).select("conv_id", "call_id", F.col("f.uid").alias("call_uid"), F.col("f.turn").alias("call_turn")),
+        ).select("conv", "call_id", F.col("f.uid").alias("call_uid"), F.col("f.turn").alias("call_turn")),
         "tc-first",
     ).df
+    early = F.coalesce(F.col("turn"), F.lit(-(1 << 62))) < F.coalesce(F.col("call_turn"), F.lit(-(1 << 62)))
     answers = store(
-        every.where("kind = 'result'").groupBy("conv_id", "call_id").agg(F.min("turn").alias("answer_turn")), "tc-answers"
+        every.where("kind = 'result'")
+        .join(first, ["conv", "call_id"])
+        .where(~early)
+        .groupBy("conv", "call_id")
+        .agg(F.min(F.struct("turn", "uid")).alias("a"))
+        .select("conv", "call_id", F.col("a.turn").alias("answer_turn"), F.col("a.uid").alias("answer_uid")),
+        "tc-answers",
     ).df
     tools = store(
-        every.where("kind = 'tool'").groupBy("conv_id", "name").agg(F.min_by("tool", F.struct("turn", "item", "uid")).alias("declared")),
+        every.where("kind = 'tool'").groupBy("conv", "name").agg(F.min_by("tool", F.struct("turn", "item", "uid")).alias("declared")),
         "tc-tools",
     ).df
-    named = calls.join(first, ["conv_id", "call_id"], "left")
-    asked = named.where("uid = call_uid").select("conv_id", "uid", F.explode(F.array_distinct("after")).alias("call_id"))
-    waits = store(asked.join(first, ["conv_id", "call_id"], "left").select("uid", F.col("call_uid").alias("other")), "tc-asked").df
+    named = calls.join(first, ["conv", "call_id"], "left")
+    asked = named.where("uid = call_uid").select("conv", "uid", F.explode(F.array_distinct("after")).alias("call_id"))
+    waits = store(asked.join(first, ["conv", "call_id"], "left").select("uid", F.col("call_uid").alias("other")), "tc-asked").df
     lost = waits.where("other is null").select("uid").distinct().withColumn("lost", F.lit(True))
     order = levels(named.where("uid = call_uid"), waits.where("other is not null"))
     judged = (
-        named.join(answers, ["conv_id", "call_id"], "left")
-        .join(tools, ["conv_id", "name"], "left")
+        named.join(answers, ["conv", "call_id"], "left")
+        .join(tools, ["conv", "name"], "left")
         .join(order, "uid", "left")
         .join(lost, "uid", "left")
     )
@@ -187,13 +224,23 @@ def link_tool_calls(turns: DataFrame) -> DataFrame:
         _argument_errors(F.col("arguments"), F.col("declared")),
         flag(F.col("lost").isNotNull(), "unknown_dependency"),
         flag(F.col("level").isNull() & ~twice & F.col("call_id").isNotNull(), "cycle"),
-        flag(F.col("answer_turn").isNull(), "no_result"),
+        flag(F.col("answer_uid").isNull(), "no_result"),
     )
     names = every.columns
     made_calls = judged.select(*names, "level", F.when(~twice, F.col("answer_turn")).alias("linked_turn"), F.array_join(errors, ",").alias("errors"))
-    results = every.where("kind = 'result'").join(first, ["conv_id", "call_id"], "left").join(
-        order.withColumnRenamed("uid", "call_uid"), "call_uid", "left"
-    ).select(*names, "level", F.col("call_turn").alias("linked_turn"), F.when(F.col("call_uid").isNull(), "orphan").otherwise("").alias("errors"))
+    wrong = (
+        F.when(F.col("call_uid").isNull(), "orphan")
+        .when(early, "early_result")
+        .when(F.col("answer_uid").isNotNull() & (F.col("answer_uid") != F.col("uid")), "repeated_result")
+        .otherwise("")
+    )
+    results = (
+        every.where("kind = 'result'")
+        .join(first, ["conv", "call_id"], "left")
+        .join(answers, ["conv", "call_id"], "left")
+        .join(order.withColumnRenamed("uid", "call_uid"), "call_uid", "left")
+        .select(*names, "level", F.when(~early, F.col("call_turn")).alias("linked_turn"), wrong.alias("errors"))
+    )
     others = every.where("kind in ('message', 'tool')").select(
         *names, F.lit(None).cast("int").alias("level"), F.lit(None).cast("bigint").alias("linked_turn"), F.lit("").alias("errors")
     )
