@@ -101,10 +101,9 @@ def test_methods_agree_on_events(spark, sf):
 
 def test_stored_layouts_give_the_same(spark, sf, tmp_path):
     g = t.event_graph(spark, sf)
-    weights = mp.collect_weights(mp.region_weights(g.locations, g.spec))
     build_kt(g, f"{tmp_path}/kt", 4)
-    build_st(g, f"{tmp_path}/st", mp.map_regions_bounded(weights, 4, 8, g.spec).df(spark), 4)
-    stored = ops.Layouts(g, spark.read.parquet(f"{tmp_path}/kt"), spark.read.parquet(f"{tmp_path}/st"), slot_groups=4)
+    build_st(g, f"{tmp_path}/st", 4)
+    stored = ops.Layouts.stored(g, f"{tmp_path}/kt", f"{tmp_path}/st")
     r = t.events_days(30)
     expected = similar_rows(ops.similar_objects(g, 7, r, TH))
     for plan in ops.PLANS:

@@ -19,24 +19,23 @@ def _visits(spark, sf):
 
 
 def test_sort_covers_all_edges(spark, sf):
-    rows = [tuple(r) for r in QUERIES["op_sort_trace_all"](spark, sf).collect()]
+    rows = [tuple(r) for r in QUERIES["op_sort_trace"](spark, sf).collect()]
     assert rows == sorted(rows) and len(rows) == t.shop_edges(spark, sf).count()
     assert any(r[0] >= 20 for r in rows)
 
 
 def test_all_pairs_of_a_month(spark, sf):
     sql = registry.oracle_sql()["q3_all_pairs"]
-    third, month = 1704067200000000 + 3 * 86400000000, 1704067200000000 + 30 * 86400000000
-    assert sql.count(str(third)) == 2
-    want = connect(sf).execute(sql.replace(str(third), str(month))).fetchall()
-    got = QUERIES["q3_all_pairs_month"](spark, sf).select("object_a", "object_b", "similarity").collect()
+    assert sql.count(str(1704067200000000 + 30 * 86400000000)) == 2
+    want = connect(sf).execute(sql).fetchall()
+    got = QUERIES["q3_all_pairs"](spark, sf).select("object_a", "object_b", "similarity").collect()
     assert sorted(map(tuple, got)) == sorted(want)
 
 
 def test_near_places_of_all_queries(spark, sf):
     _, places = _visits(spark, sf)
     want = {(a, b) for a in places if a % 100 == 0 for b in places if a != b and round(math.dist(places[a], places[b]), 6) <= 9}
-    assert {(r["a"], r["b"]) for r in QUERIES["vector_near_places_all"](spark, sf).collect()} == want
+    assert {(r["a"], r["b"]) for r in QUERIES["vector_near_places"](spark, sf).collect()} == want
 
 
 def test_similar_objects_of_a_month(spark, sf):
@@ -46,7 +45,7 @@ def test_similar_objects_of_a_month(spark, sf):
         for _, ta, pa in mine:
             if o != 7 and abs(ta - ts) <= 36_000_000_000 and round(math.dist(places[pa], places[place]), 9) <= 10:
                 want[o] += 1
-    assert {r["object_id"]: r["similarity"] for r in QUERIES["vector_similar_objects_month"](spark, sf).collect()} == want
+    assert {r["object_id"]: r["similarity"] for r in QUERIES["vector_similar_objects"](spark, sf).collect()} == want
 
 
 def test_cosine_clones_of_a_month(spark, sf):

@@ -132,7 +132,10 @@ def build_kt(g: TraceGraph, path: str, groups: int | None = None, codec: str = "
     rows, buckets = _extent(g)
     info = LayoutInfo("kt", groups or groups_for(rows, buckets, g.spec.n_slots, rows_per_file), rows)
     e = kt_columns(g.edges, g.spec).withColumn("slot_group", slot_group(g.spec, info.groups))
-    options = {"compression": codec, "parquet.bloom.filter.enabled#object_id": "true", "parquet.block.size": 64 << 20}
+    # the filter is sized for the objects that a group of a bucket can hold: the default takes a megabyte a file
+    distinct = max(16, min(rows_per_file, rows // (buckets * info.groups)))
+    bloom = {"parquet.bloom.filter.enabled#object_id": "true", "parquet.bloom.filter.expected.ndv#object_id": str(distinct)}
+    options = {"compression": codec, "parquet.block.size": 64 << 20, **bloom}
     write_clustered(e, path, KT_ORDER, ["tru", "slot_group"], rows, rows_per_file, **options)
     _note(g.edges.sparkSession, path, info)
     return info
