@@ -14,8 +14,8 @@ together whose number of pairs grows faster than the corpus, which is why bands
 1. One pass over the texts: size, digest and keys of each shingle set. Keys are exchanged packed, by ranges; those of one class alone go no
    further. A key and its classes are a bucket.
 2. Classes are compared with the pivots of their buckets where they share enough of them: links found give components. This only thins what follows.
-3. Classes of buckets that still hold several components are partitioned into groups: a component, or for classes still
-   alone those that share their first such bucket, in parts of ``GROUP`` members or so. The token-group matrix has a row for each
+3. Classes of buckets that still hold several components are partitioned into groups: a large component, or else
+   the classes that share their largest such bucket, in parts of ``GROUP`` members or so. The token-group matrix has a row for each
    key and group. Of two components the smaller asks: a class meets the matrix rows of its keys, and asks a group
    if they share as many as it shares with a linked member at least. What lies inside one component is not asked: it can't change the result.
 4. A group that is asked is measured whole: the asker's overlap with the union of all members' tokens bounds its overlap with each, and
@@ -423,11 +423,11 @@ def _sets_of_classes(docs: DataFrame, n: int, names: DataFrame) -> DataFrame:
 
 
 def partition_groups(rows: DataFrame) -> DataFrame:
-    """node, comp, n and grp: each class in one group, similar ones together; rows are (bucket, node, n, comp)."""
-    # first and n are the same for all rows of a class but the bucket
-    each = rows.groupBy("node", "comp", "n").agg(F.min("bucket").alias("first"))
+    """node, comp, n and grp: each class in one group, similar ones together; rows are (bucket, its number of classes k, node, n, comp)."""
+    # classes of one cluster share its largest buckets: the fewer groups it makes, the fewer are asked
+    each = rows.groupBy("node", "comp", "n").agg(F.max(F.struct("k", "bucket"))["bucket"].alias("first"))
     sizes = each.groupBy("comp").agg(F.count(F.lit(1)).alias("of_comp"))
-    keyed = each.join(sizes, "comp").withColumn("key", F.when(F.col("of_comp") > 1, F.xxhash64("comp")).otherwise(F.xxhash64("first", F.lit(1))))
+    keyed = each.join(sizes, "comp").withColumn("key", F.when(F.col("of_comp") > GROUP // 2, F.xxhash64("comp")).otherwise(F.xxhash64("first", F.lit(1))))
     parts = keyed.groupBy("key").agg(F.ceil(F.count(F.lit(1)) / GROUP).alias("parts"))
     dealt = keyed.join(parts, "key").withColumn("part", F.pmod(F.xxhash64("node"), "parts"))
     return dealt.select("node", "comp", "n", F.xxhash64("key", "part").alias("grp"))
@@ -439,11 +439,11 @@ def matrix_links(shared: DataFrame, comps: DataFrame, docs: DataFrame, n: int, c
     known = known.select("bucket", "node", "n", F.coalesce("comp", "node").alias("comp"))
     # by bands, all classes of a bucket have been compared with its pivot: two classes are done with
     done = 2 if need is _one else 1
-    several = known.groupBy("bucket").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.count(F.lit(1)).alias("k")).where(f"x <> y and k > {done}").select("bucket")
+    several = known.groupBy("bucket").agg(F.min("comp").alias("x"), F.max("comp").alias("y"), F.count(F.lit(1)).alias("k")).where(f"x <> y and k > {done}").select("bucket", "k")
     weight = comps.groupBy("comp").agg(F.count(F.lit(1)).alias("weight"))
     # of two components the one with the lower rank asks
     rows = store(
-        known.join(several, "bucket").join(weight, "comp", "left").select("bucket", "node", "n", "comp", F.struct(F.coalesce("weight", F.lit(1)).alias("weight"), "comp").alias("rank")),
+        known.join(several, "bucket").join(weight, "comp", "left").select("bucket", "k", "node", "n", "comp", F.struct(F.coalesce("weight", F.lit(1)).alias("weight"), "comp").alias("rank")),
         "tg-open",
     ).df
     groups = store(partition_groups(rows), "tg-groups")
@@ -457,7 +457,7 @@ def matrix_links(shared: DataFrame, comps: DataFrame, docs: DataFrame, n: int, c
     ranked = rows.join(wide, "bucket").where("rank < highest")
     # a bucket with many askers and groups is dealt out: each of its askers meets all its groups in one of the parts
     plan = store(ranked.groupBy("bucket", "g").agg(F.ceil(F.count(F.lit(1)) * F.col("g") / PAIRS).alias("salts")), "tg-plan")
-    asks = ranked.drop("g").join(plan.df, "bucket").withColumn("salt", F.pmod(F.xxhash64("node", F.lit(2)), "salts"))
+    asks = ranked.drop("g", "k").join(plan.df, "bucket").withColumn("salt", F.pmod(F.xxhash64("node", F.lit(2)), "salts"))
     offered = matrix.df.join(plan.df, "bucket").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
     fits = f"rank < top and 100 * n >= {percent} * n0 and 100 * n1 >= {percent} * n"
     met = asks.join(offered.select("bucket", "salt", "grp", "top", "n0", "n1"), ["bucket", "salt"]).where(fits)
