@@ -14,10 +14,11 @@ together whose number of pairs grows faster than the corpus, which is why bands
 1. One pass over the texts: size, digest and keys of each shingle set. Keys are exchanged packed, by ranges; those of one class alone go no
    further. A key and its classes are a bucket.
 2. Classes are compared with the pivots of their buckets where they share enough of them: links found give components. This only thins what follows.
-3. Classes of buckets that still hold several components are partitioned into groups: a large component, or else
-   the classes that share their largest such bucket, in parts of ``GROUP`` members or so. The token-group matrix has a row for each
-   key and group. Of two components the smaller asks: a class meets the matrix rows of its keys, and asks a group
-   if they share as many as it shares with a linked member at least. What lies inside one component is not asked: it can't change the result.
+3. Classes of buckets that still hold several components are partitioned into clusters: a large component, or else
+   the classes whose largest such buckets lead to one (two hops). A cluster is dealt into groups of ``GROUP`` members or ``GROUP_TOKENS`` tokens or so.
+   The token-group matrix has a row for each key and cluster. Of two components the smaller asks: a class meets the matrix rows of its keys, and asks the
+   groups of a cluster if they share as many keys as it shares with a linked member at least, and those only where sizes allow a link.
+   What lies inside one component is not asked: it can't change the result.
 4. A group that is asked is measured whole: the asker's overlap with the union of all members' tokens bounds its overlap with each, and
    only where that reaches the threshold are the members compared. Askers of a group are dealt into blocks, so a task holds
    a group and a block whatever their numbers.
@@ -46,9 +47,9 @@ from .shingles import mix, shingle_set
 
 #: Hash functions of a band.
 ROWS = 4
-#: Members of a group, and askers in a block: two such sets at most are in a task's memory.
-GROUP = 512
-#: Rows of a bucket's matrix that one task pairs with askers.
+#: Members of a group, and askers in a block, and their tokens: about, as they are dealt by hash. A task holds one of either.
+GROUP, GROUP_TOKENS = 1024, 1 << 20
+#: Rows that one task makes of a key's askers and what is offered to them.
 PAIRS = 1_000_000
 #: Shingles that are ordered by their frequency, at most: 16 bytes each go with the tasks. The others are ordered by hash.
 MOST_FREQUENT = 1_000_000
@@ -423,14 +424,26 @@ def _sets_of_classes(docs: DataFrame, n: int, names: DataFrame) -> DataFrame:
 
 
 def partition_groups(rows: DataFrame) -> DataFrame:
-    """node, comp, n and grp: each class in one group, similar ones together; rows are (bucket, its number of classes k, node, n, comp)."""
-    # classes of one cluster share its largest buckets: the fewer groups it makes, the fewer are asked
-    each = rows.groupBy("node", "comp", "n").agg(F.max(F.struct("k", "bucket"))["bucket"].alias("first"))
+    """node, comp, n, rank, cluster and grp: each class in one group, similar ones together; rows are (bucket, its number of classes k, node, n, comp, rank)."""
+    # classes of one cluster share its largest buckets: each follows its largest one, and a bucket the largest that its own classes follow
+    each = rows.groupBy("node", "comp", "n", "rank").agg(F.max(F.struct("k", "bucket")).alias("first"))
+    lead = store(rows.select("bucket", "node").join(each.select("node", "first"), "node").groupBy("bucket").agg(F.max("first")["bucket"].alias("lead")), "tg-lead").df
+    twice = lead.join(lead.select(F.col("bucket").alias("lead"), F.col("lead").alias("top")), "lead").select("bucket", "top")
     sizes = each.groupBy("comp").agg(F.count(F.lit(1)).alias("of_comp"))
-    keyed = each.join(sizes, "comp").withColumn("key", F.when(F.col("of_comp") > GROUP // 2, F.xxhash64("comp")).otherwise(F.xxhash64("first", F.lit(1))))
-    parts = keyed.groupBy("key").agg(F.ceil(F.count(F.lit(1)) / GROUP).alias("parts"))
-    dealt = keyed.join(parts, "key").withColumn("part", F.pmod(F.xxhash64("node"), "parts"))
-    return dealt.select("node", "comp", "n", F.xxhash64("key", "part").alias("grp"))
+    keyed = each.withColumn("bucket", F.col("first.bucket")).join(twice, "bucket").join(sizes, "comp")
+    keyed = keyed.withColumn("cluster", F.when(F.col("of_comp") > GROUP // 2, F.xxhash64("comp")).otherwise(F.xxhash64("top", F.lit(1))))
+    parts = keyed.groupBy("cluster").agg(F.ceil(F.greatest(F.count(F.lit(1)) / GROUP, F.sum("n") / GROUP_TOKENS)).alias("parts"))
+    dealt = keyed.join(parts, "cluster").withColumn("part", F.pmod(F.xxhash64("node"), "parts"))
+    return dealt.select("node", "comp", "n", "rank", "cluster", F.xxhash64("cluster", "part").alias("grp"))
+
+
+def _meet(asks: DataFrame, offered: DataFrame, on: str, tag: str) -> DataFrame:
+    """asks joined with what is offered on a key; a key with many of both is dealt out: each asker meets all that is offered in one part."""
+    numbers = asks.groupBy(on).agg(F.count(F.lit(1)).alias("a")).join(offered.groupBy(on).agg(F.count(F.lit(1)).alias("g")), on)
+    plan = store(numbers.select(on, F.ceil(F.col("a") * F.col("g") / PAIRS).alias("salts")), tag).df
+    salted = asks.join(plan, on).withColumn("salt", F.pmod(F.xxhash64("node", F.lit(2)), "salts")).drop("salts")
+    copies = offered.join(plan, on).withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1))).drop("salts")
+    return salted.join(copies, [on, "salt"]).drop("salt")
 
 
 def matrix_links(shared: DataFrame, comps: DataFrame, docs: DataFrame, n: int, classes: DataFrame, percent: int, need: Callable[[str], str]) -> DataFrame:
@@ -447,25 +460,20 @@ def matrix_links(shared: DataFrame, comps: DataFrame, docs: DataFrame, n: int, c
         "tg-open",
     ).df
     groups = store(partition_groups(rows), "tg-groups")
-    matrix = store(
-        rows.join(groups.df.select("node", "grp"), "node")
-        .groupBy("bucket", "grp")
-        .agg(F.max("rank").alias("top"), F.min("n").alias("n0"), F.max("n").alias("n1")),
-        "tg-matrix",
-    )
-    wide = matrix.df.groupBy("bucket").agg(F.count(F.lit(1)).alias("g"), F.max("top").alias("highest"))
-    ranked = rows.join(wide, "bucket").where("rank < highest")
-    # a bucket with many askers and groups is dealt out: each of its askers meets all its groups in one of the parts
-    plan = store(ranked.groupBy("bucket", "g").agg(F.ceil(F.count(F.lit(1)) * F.col("g") / PAIRS).alias("salts")), "tg-plan")
-    asks = ranked.drop("g", "k").join(plan.df, "bucket").withColumn("salt", F.pmod(F.xxhash64("node", F.lit(2)), "salts"))
-    offered = matrix.df.join(plan.df, "bucket").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
+    extent = [F.max("rank").alias("top"), F.min("n").alias("n0"), F.max("n").alias("n1")]
+    matrix = store(rows.join(groups.df.select("node", "cluster"), "node").groupBy("bucket", "cluster").agg(*extent), "tg-matrix")
+    wide = matrix.df.groupBy("bucket").agg(F.max("top").alias("highest"))
+    asks = rows.join(wide, "bucket").where("rank < highest").select("bucket", "node", "n", "comp", "rank")
     fits = f"rank < top and 100 * n >= {percent} * n0 and 100 * n1 >= {percent} * n"
-    met = asks.join(offered.select("bucket", "salt", "grp", "top", "n0", "n1"), ["bucket", "salt"]).where(fits)
+    met = _meet(asks, matrix.df, "bucket", "tg-plan").where(fits)
     # a linked member has at least this many tokens, and shares that many with the asker as its own size or the asker's allows
     least = f"greatest(min(n0), ceil({percent} * n / 100))"
     bound = F.expr(f"count(1) >= least({need('n')}, {need(f'cast({least} as int)')})")
-    asked = store(met.groupBy("node", "comp", "n", "grp").agg(bound.alias("enough")).where("enough").select("node", "comp", "grp"), "tg-asked")
-    blocks = store(asked.df.groupBy("grp").agg(F.ceil(F.count(F.lit(1)) / GROUP).alias("blocks")), "tg-blocks")
+    near = store(met.groupBy("node", "comp", "n", "rank", "cluster").agg(bound.alias("enough")).where("enough").drop("enough"), "tg-near").df
+    parts = groups.df.groupBy("cluster", "grp").agg(*extent)
+    asked = store(_meet(near, parts, "cluster", "tg-parts").where(fits).select("node", "comp", "n", "grp"), "tg-asked")
+    per = F.greatest(F.count(F.lit(1)) / GROUP, F.sum("n") / GROUP_TOKENS)
+    blocks = store(asked.df.groupBy("grp").agg(F.ceil(per).alias("blocks")), "tg-blocks")
     askers = asked.df.join(blocks.df, "grp").select(
         "grp", F.pmod(F.xxhash64("node", F.lit(3)), "blocks").alias("block"), F.lit(0).alias("side"), "node", "comp"
     )
