@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 import math
 import random
 import re
@@ -319,6 +320,48 @@ def test_wrapper_without_any_hint_in_names():
         assert wi.removed(page(i), wrapper)["template"] >= 2
 
 
+def test_wrapper_is_counted_over_all_pages(spark):
+    """A rare layout, a text just above and one just below its share, and more layouts than are asked for at once."""
+
+    def page(i):
+        if i % 100 == 0:
+            return f"<body><section class=r><p class=s>From the rare archive</p><p class=t>piece {i}</p></section>"
+        if i < 40:
+            tag = "".join(f"<div class={'abcdefghijklmnopqrst'[i // 2]}{k}>" for k in "uvw")
+            return f"<body>{tag}own {i}"
+        often = "Printed in the town" if i % 10 < 7 else f"line of {i}"
+        seldom = "Read this as well" if i % 10 < 5 else f"other line of {i}"
+        return f"<body><div class=x><div class=y>{often}</div><div class=z>{seldom}</div><div class=q>article {i}</div></div>"
+
+    pages = [page(i) for i in range(1, 601)]
+    wrapper = wi.induce(pages)
+    assert wi.extract(page(300), wrapper) == "piece 300"
+    assert wi.extract(page(41), wrapper) == "Read this as well\narticle 41"
+    df = spark.createDataFrame([(i % 7 or None, f"http://h.example/{i}", p) for i, p in enumerate(pages * 2)], "page_id long, url string, html string").repartition(5)
+    rows = {r["url"]: r["text"] for r in wi.extract_pages(df).collect()}
+    assert rows == {f"http://h.example/{i}": wi.extract(p, wrapper) for i, p in enumerate(pages * 2)}
+    made = wi.wrappers(df.selectExpr("page_id", "html", "'h' host")).collect()
+    assert [json.loads(r["wrapper"]) for r in made] == [wrapper]
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_wrappers_equal_induction_in_memory(spark, seed):
+    rnd = random.Random(seed)
+
+    def tree(depth):
+        out = ""
+        for _ in range(rnd.randrange(1, 4)):
+            inner = tree(depth - 1) if depth and rnd.random() < 0.7 else rnd.choice(["same", "alike", f"text {rnd.randrange(40)}"])
+            out += f"<div class='{rnd.choice(['a', 'b', 'c', 'ad', 'menu'])}'>{inner}</div>"
+        return out
+
+    pages = [(i, rnd.choice("gh"), f"<body>{tree(rnd.randrange(4))}") for i in range(240)]
+    df = spark.createDataFrame(pages, "page_id long, host string, html string").repartition(3)
+    found = {r["host"]: json.loads(r["wrapper"]) for r in wi.wrappers(df).collect()}
+    assert found == {host: wi.induce([p for _, h, p in pages if h == host]) for host in "gh"}
+    assert any(w["template"] for w in found.values())
+
+
 def test_repeated_pages_make_no_template():
     pages = ["<body><div class=a>Site</div><div class=b>the same article</div>"] * 10
     pages += [f"<body><div class=a>Site</div><div class=b>article {i}</div>" for i in range(5)]

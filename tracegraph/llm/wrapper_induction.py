@@ -1,19 +1,22 @@
 """HTML extraction: wrapper induction.
 
-For every host a bounded set of its pages is aligned as DOM trees by simple tree matching. Siblings of one label are folded into one
-repeated node, so a tree has a node per label path, and two trees match in time about in proportion to their nodes. Pages that match a
-centre page well form a layout with it; the others look for a centre of their own, so a host may have several layouts. Nodes whose
-text is the same on most different pages of a layout that have the node are template, nodes whose text varies are slots. The wrapper of a host is
-the list of template texts by node path.
+All different pages of a host take part: its wrapper is counted, not estimated. Pages are aligned as DOM trees by simple tree matching.
+Siblings of one label are folded into one repeated node, so a tree has a node per label path, and two trees match in time about in
+proportion to their nodes. Pages of one tree (a shape) align alike and are matched once. Shapes are taken in the order of what their trees
+share with those of all pages of the host: one that matches a layout's centre well joins the first such layout, another is the centre of a
+layout of its own, so a host may have several. Nodes whose text is the same on most different pages of a layout that have the node are
+template, nodes whose text varies are slots. The wrapper of a host is the list of template texts by node path.
 
 Induction sees every visible block, whatever its tag and names. The wrapper is then applied to each page of the host: blocks that are
 template go. Of what varies, blocks in elements that by tag, role or class hold menus, adverts, forms, comments and the like go too.
 Names are whole words of class, id or role; they never count on html, body, main and article, and neither tags nor names
 count on an element that holds most of the host's varying text. Names don't count where they would leave a page empty.
 
-The sample for induction is ``sample`` pages per host at most, those with the smallest hashes of page_id in as many
-hash buckets: a documented parameter, taken by combined minima, so a host with a third of all pages costs no more than another.
-Every page is then extracted, whole, in one pass without shuffling the html; wrappers are joined by host.
+``induce`` does this for pages in memory, ``wrappers`` for a table, with the same result. There no task holds a host: pages are told apart
+by digests of their texts, shapes and texts are counted by combined sums, and shapes meet the centres in rounds, ``ROUND`` to ``ROUNDS`` shapes of each
+host asked for new centres at a time until every shape has its layout. A shape is matched only with centres that share a node it can't do without. Texts are
+exchanged as digests of 64 bits; those of the templates are read again from one page each. Every page is then
+extracted, whole, in one pass without shuffling the html; wrappers are joined by host.
 
 Defined results: null or empty html, or no content, give empty text. Pages without a host, and hosts with fewer than
 ``least`` different pages, use the rules on tags, roles and classes alone. Unclosed and misnested tags are repaired
@@ -22,17 +25,19 @@ as browsers do for p, li, td and the like. Repeated rows are extracted alike; an
 
 from __future__ import annotations
 
+import hashlib
 import html as entities
 import json
+import math
 import re
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import store, table
+from .common import Stored, store, table
 
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 #: Elements whose content is no text of the page.
@@ -60,6 +65,10 @@ ASIDE_BY_NAME, ASIDE_BY_TAG = "\0", "\1"
 CONTROLS = frozenset("button select option textarea input label".split())
 #: A page belongs to a layout if it matches this share of the smaller tree; a text is template on this share of a node's pages.
 SAME_LAYOUT, TEMPLATE = 0.5, 0.6
+#: Shapes of a host asked for new centres in the first round and, at most, in a later one: eight times as many each round.
+ROUND, ROUNDS = 16, 4096
+#: Characters of shapes that meet the centres of a host in one group.
+MEET = 1_000_000
 #: Labels of a path: of elements nested deeper, the innermost count.
 DEPTH = 64
 
@@ -233,35 +242,73 @@ def blocks(root: Node) -> list[tuple[tuple[str, ...], str]]:
     return out
 
 
+def _digest(text: str) -> int:
+    """64 bits of a text, signed."""
+    return int.from_bytes(hashlib.blake2b(text.encode(), digest_size=8).digest(), "little", signed=True)
+
+
 class Tree:
-    """A DOM tree reduced for alignment: blocks only, siblings of one label folded into one repeated node."""
+    """A DOM tree reduced for alignment: blocks only, siblings of one label folded into one repeated node; ``at`` is the place of its path."""
 
-    __slots__ = ("children", "label", "texts")
+    __slots__ = ("at", "children", "label")
 
     def __init__(self, label: str):
-        self.label, self.texts = label, []
+        self.label, self.at = label, -1
         self.children: dict[str, Tree] = {}
 
 
-def reduced(found: list[tuple[tuple[str, ...], str]]) -> Tree:
-    root = Tree("#")
-    for path, text in found:
-        node = root
-        for label in path:
-            if label not in node.children:
-                node.children[label] = Tree(label)
-            node = node.children[label]
-        node.texts.append(text)
-    return root
+def shape_of(found: list[tuple[tuple[str, ...], str]]) -> str:
+    """The different paths of a page's blocks in page order, as text: of each the number of labels shared with the one before, and the rest."""
+    coded, before = [], ()
+    for path in dict.fromkeys(p for p, _ in found):
+        n = 0
+        while n < len(path) and n < len(before) and path[n] == before[n]:
+            n += 1
+        coded.append([n, *path[n:]])
+        before = path
+    return json.dumps(coded, separators=(",", ":"))
+
+
+def _items(found: list[tuple[tuple[str, ...], str]]) -> Counter:
+    """Characters of each text of a page at each place among its different paths."""
+    place = {p: k for k, p in enumerate(dict.fromkeys(p for p, _ in found))}
+    out: Counter = Counter()
+    for p, t in found:
+        out[place[p], t] += len(t)
+    return out
 
 
-def size_of(tree: Tree) -> int:
-    n, work = 0, [tree]
-    while work:
-        x = work.pop()
-        n += 1
-        work += x.children.values()
-    return n
+class Shape:
+    """What pages of one tree share: their paths, the tree and a digest for each of its nodes."""
+
+    __slots__ = ("id", "nodes", "paths", "tree")
+
+    def __init__(self, coded: str):
+        self.id, self.tree = _digest(coded), Tree("#")
+        self.paths: list[tuple[str, ...]] = []
+        self.nodes = {(): 0}
+        before: tuple[str, ...] = ()
+        for n, *rest in json.loads(coded):
+            before = (*before[:n], *rest)
+            node, known = self.tree, 0
+            for depth, label in enumerate(before, 1):
+                if label not in node.children:
+                    node.children[label] = Tree(label)
+                    self.nodes[before[:depth]] = _digest(f"{known}/{label}")
+                node, known = node.children[label], self.nodes[before[:depth]]
+            node.at = len(self.paths)
+            self.paths.append(before)
+
+    def needed(self) -> list[int]:
+        """Nodes of which a match with a tree at least as large holds one: so many, the deepest, that the others are too few for it."""
+        return [self.nodes[p] for p in sorted(self.nodes, key=len)[math.ceil(SAME_LAYOUT * len(self.nodes)) - 1 :]]
+
+    def aligned(self, centre: Shape) -> list[int] | None:
+        """The places of the paths that match nodes of the centre; None if too few do."""
+        size, pairs = match(centre.tree, self.tree)
+        if self.id != centre.id and (size <= 1 or size < SAME_LAYOUT * min(len(self.nodes), len(centre.nodes))):
+            return None
+        return [y.at for _, y in pairs if y.at >= 0]
 
 
 def _heaviest(order: list[tuple[int, int]]) -> list[int]:
@@ -332,56 +379,101 @@ def _unnamed(found: list[tuple[tuple[str, ...], str]], kept: Iterable[str] = ())
     return both or [(p, t) for p, t in found if not _aside(p, ASIDE_BY_TAG, kept)]
 
 
-def layouts(trees: list[Tree], least: int) -> list[tuple[Tree, list[tuple[Tree, Tree]]]]:
-    """Centres of the pages' layouts, and for each the (node of the centre, node of a page) pairs of all its pages.
+#: Of a page, each node counts for this over the tree's size: whole numbers, so that sums don't depend on their order.
+_SHARE = 1_000_000
 
-    The centre is the page that matches the others most; pages that it doesn't match well are left for the next one.
-    """
-    out, left = [], list(trees)
-    while len(left) >= least:
-        sizes = [size_of(t) for t in left]
-        scores = [[match(t, u)[0] for u in left] for t in left]
-        near = [[s >= SAME_LAYOUT * min(sizes[i], sizes[j]) and s > 1 for j, s in enumerate(row)] for i, row in enumerate(scores)]
-        i = max(range(len(left)), key=lambda i: (sum(near[i]), sum(s / sizes[j] for j, s in enumerate(scores[i]))))
-        mine = [u for j, u in enumerate(left) if near[i][j] or j == i]
-        if len(mine) >= least:
-            out.append((left[i], [p for u in mine for p in match(left[i], u)[1]]))
-        left = [u for u in left if not any(u is m for m in mine)]
+
+class Centres:
+    """Centres in their order, found by nodes: of the smaller tree, those it can't do without in a match meet any node of the other."""
+
+    def __init__(self, shapes: Iterable[Shape] = ()):
+        self.all: list[Shape] = []
+        self.by_node: dict[int, list[int]] = defaultdict(list)
+        self.by_needed: dict[int, list[int]] = defaultdict(list)
+        for x in shapes:
+            self.add(x)
+
+    def add(self, x: Shape) -> None:
+        for v in x.nodes.values():
+            self.by_node[v].append(len(self.all))
+        for v in x.needed():
+            self.by_needed[v].append(len(self.all))
+        self.all.append(x)
+
+    def first(self, x: Shape) -> tuple[Shape, list[int]] | None:
+        """The first centre that a shape matches, and the places of the paths that match."""
+        near = {k for v in x.needed() for k in self.by_node.get(v, ())}
+        near.update(k for v in x.nodes.values() for k in self.by_needed.get(v, ()))
+        for k in sorted(near):
+            if (places := x.aligned(self.all[k])) is not None:
+                return self.all[k], places
+        return None
+
+
+def leaders(shapes: list[Shape]) -> Centres:
+    """The centres among shapes in their order: those that match no centre before them."""
+    out = Centres()
+    for x in shapes:
+        if out.first(x) is None:
+            out.add(x)
     return out
 
 
+def _asides(path: tuple[str, ...]) -> list[str]:
+    """The paths of the elements around a block that tag or name puts outside."""
+    return ["/".join(path[: i + 1]) for i, x in enumerate(path) if x[-1] in ASIDE_BY_NAME + ASIDE_BY_TAG]
+
+
 def induce(pages: list[str], least: int = 4) -> dict | None:
-    """The wrapper of a host from some of its pages; None if too few differ."""
-    found = [blocks(parse(p)) for p in pages]
-    different = list({tuple(t for _, t in f): f for f in found if f}.values())
+    """The wrapper of a host from its pages; None if too few differ."""
+    different: dict[str, tuple] = {}
+    for page in pages:
+        if found := blocks(parse(page)):
+            coded, key = shape_of(found), "\n".join(t for _, t in found)
+            this = (_digest(coded), [k for k, _ in _items(found)], coded, found)
+            different[key] = min(different.get(key, this), this, key=lambda x: x[:2])
     if len(different) < least:
         return None
-    made = layouts([reduced(f) for f in different], least)
-    if not made:
+    number = Counter(coded for _, _, coded, _ in different.values())
+    shapes = {coded: Shape(coded) for coded in number}
+    weight: Counter = Counter()
+    for coded, x in shapes.items():
+        for node in x.nodes.values():
+            weight[node] += number[coded] * _SHARE // len(x.nodes)
+    centres = leaders(sorted(shapes.values(), key=lambda x: (-sum(weight[v] for v in x.nodes.values()), x.id)))
+    layout: dict[str, tuple[int, list[int]]] = {}
+    for coded, x in shapes.items():
+        centre, places = centres.first(x)
+        layout[coded] = centre.id, places
+    of = Counter()
+    for coded, n in number.items():
+        of[layout[coded][0]] += n
+    if max(of.values()) < least:
         return None
+    seen, times, chars = Counter(), Counter(), Counter()
+    for _, _, coded, found in different.values():
+        centre, places = layout[coded]
+        if of[centre] >= least:
+            held = {shapes[coded].paths[k] for k in places}
+            seen.update((centre, p) for p in held)
+            times.update({(centre, p, t) for p, t in found if p in held})
+            for p, t in found:
+                if p in held:
+                    chars[centre, p, t] += len(t)
     template: dict[str, set[str]] = {}
-    varying: Counter = Counter()
-    for centre, pairs in made:
-        texts: dict[int, list[list[str]]] = {}
-        for x, y in pairs:
-            texts.setdefault(id(x), []).append(y.texts)
-        work: list[tuple[Tree, tuple[str, ...]]] = [(centre, ())]
-        while work:
-            node, path = work.pop()
-            here = (*path, node.label) if node is not centre else ()
-            seen = [s for s in texts.get(id(node), []) if s]
-            if seen:
-                times = Counter(t for s in seen for t in set(s))
-                constant = {t for t, n in times.items() if n >= least and n >= TEMPLATE * len(seen)}
-                if constant:
-                    template.setdefault("/".join(here), set()).update(constant)
-                size = sum(len(x) for s in seen for x in s if x not in constant)
-                for depth in range(len(here) + 1):
-                    varying[here[:depth]] += size
-            work += [(c, here) for c in node.children.values()]
-    all_ = varying[()]
-    kept = sorted("/".join(p) for p, n in varying.items() if p and p[-1][-1] in ASIDE_BY_NAME + ASIDE_BY_TAG and 2 * n > all_)
-    return {"template": {p: sorted(t) for p, t in sorted(template.items())}, "kept": kept}
+    varying, all_ = Counter(), 0
+    for (centre, p, t), n in times.items():
+        if n >= least and n >= TEMPLATE * seen[centre, p]:
+            template.setdefault("/".join(p), set()).add(t)
+        else:
+            all_ += chars[centre, p, t]
+            for x in _asides(p):
+                varying[x] += chars[centre, p, t]
+    return _wrapper(template, [p for p, n in varying.items() if 2 * n > all_])
+
+
+def _wrapper(template: dict[str, set[str]], kept: Iterable[str]) -> dict:
+    return {"template": {p: sorted(t) for p, t in sorted(template.items())}, "kept": sorted(kept)}
 
 
 def removed(page: str | None, wrapper: dict | None) -> dict[str, int]:
@@ -407,29 +499,162 @@ def extract(page: str | None, wrapper: dict | None = None) -> str:
     return "\n".join(t for _, t in (main or found))
 
 
-def wrappers(pages: DataFrame, sample: int = 24, least: int = 4) -> DataFrame:
-    """host and its wrapper as JSON, for hosts where one can be induced: stored."""
-    keyed = pages.where("host is not null").select(
-        "host", F.pmod(F.xxhash64("page_id", F.lit(1)), F.lit(sample)).alias("b"), F.xxhash64("page_id").alias("h"), "page_id"
-    )
-    chosen = keyed.groupBy("host", "b").agg(F.min(F.struct("h", "page_id")).alias("m")).select("host", F.col("m.page_id").alias("page_id"))
-    held = store(chosen, "wrap-sample")
-    rows = pages.select("host", "page_id", "html").join(held.df, ["host", "page_id"], "left_semi").dropDuplicates(["host", "page_id"])
+_PAGES = "host string, key binary, shape long, coded string, at array<int>, text array<long>, chars array<long>, ref long"
 
-    def run(group):
-        found = induce([h for h in group.column("html").to_pylist() if h], least)
-        host = group.column("host")[:1] if found else group.column("host")[:0]
-        text = pa.array([json.dumps(found)] if found else [], pa.string())
-        return pa.table({"host": host, "wrapper": text})
 
-    return store(rows.groupBy("host").applyInArrow(run, "host string, wrapper string"), "wrap-found").df
+def _different(pages: DataFrame) -> DataFrame:
+    """For each different page of a host its shape, its texts as digests with place and characters, and a digest of its html."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows: list[tuple] = []
+            for host, page, ref in zip(*(batch.column(c).to_pylist() for c in ("host", "html", "ref")), strict=True):
+                if not (found := blocks(parse(page))):
+                    continue
+                coded = shape_of(found)
+                chars = _items(found)
+                key = hashlib.blake2b("\n".join(t for _, t in found).encode(), digest_size=16).digest()
+                rows.append((host, key, _digest(coded), coded, [k for k, _ in chars], [_digest(t) for _, t in chars], list(chars.values()), ref))
+            kinds = [pa.string(), pa.binary(), pa.int64(), pa.string(), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int64()]
+            columns = zip(*rows, strict=True) if rows else [()] * len(kinds)
+            names = ["host", "key", "shape", "coded", "at", "text", "chars", "ref"]
+            yield pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(columns, kinds, strict=True)], names)
+
+    rest = F.struct("shape", "at", "text", "ref", "coded", "chars")
+    read = pages.where("host is not null and html is not null").select("host", "html", F.xxhash64("html").alias("ref"))
+    return read.mapInArrow(run, _PAGES).groupBy("host", "key").agg(F.min(rest).alias("m")).select("host", "m.*")
 
 
-def extract_pages(pages: DataFrame, sample: int = 24, least: int = 4) -> DataFrame:
+def _scored(shapes: DataFrame) -> DataFrame:
+    """Shapes with what their trees share with those of all pages of the host."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            nodes = [list(Shape(c).nodes.values()) for c in batch.column("coded").to_pylist()]
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("host"), batch.column("shape"), batch.column("n"), pa.array(nodes, pa.list_(pa.int64()))], ["host", "shape", "n", "nodes"]
+            )
+
+    of = shapes.select("host", "shape", "n", "coded").mapInArrow(run, "host string, shape long, n long, nodes array<long>")
+    each = of.select("host", "shape", F.expr(f"n * {_SHARE} div size(nodes)").alias("share"), F.explode("nodes").alias("node"))
+    weight = each.groupBy("host", "node").agg(F.sum("share").alias("weight"))
+    score = each.join(weight, ["host", "node"]).groupBy("host", "shape").agg(F.sum("weight").alias("score"))
+    return shapes.join(score, ["host", "shape"])
+
+
+_LAID = "host string, shape long, n long, coded string, score long, centre long, paths array<string>, asides array<array<string>>"
+
+
+def _laid_out(shapes: DataFrame) -> list[Stored]:
+    """Shapes with the centre of their layout and, where they match it, their paths: a table a round, null centres go on to the next."""
+
+    def lead(group):
+        rows = sorted(zip(*(group.column(c).to_pylist() for c in ("score", "shape", "coded")), strict=True), key=lambda x: (-x[0], x[1]))
+        coded = {x: c for _, x, c in rows}
+        found = [coded[x.id] for x in leaders([Shape(c) for c in coded.values()]).all]
+        return pa.table({"host": pa.array([group.column("host")[0].as_py()] * len(found), pa.string()), "place": range(len(found)), "coded": found})
+
+    def meet(group, asked):
+        rows = sorted(zip(asked.column("place").to_pylist(), asked.column("coded").to_pylist(), strict=True))
+        centres = Centres(Shape(c) for _, c in rows)
+        laid: list[tuple] = []
+        for coded in group.column("coded").to_pylist():
+            x = Shape(coded)
+            centre, places = centres.first(x) or (None, ())
+            held = set(places)
+            paths = ["/".join(p) if k in held else None for k, p in enumerate(x.paths)] if held else []
+            laid.append((centre.id if centre else None, paths, [_asides(p) for p in x.paths] if held else []))
+        made = zip(*laid, strict=True) if laid else [()] * 3
+        kinds = [pa.int64(), pa.list_(pa.string()), pa.list_(pa.list_(pa.string()))]
+        columns = {c: group.column(c) for c in ("host", "shape", "n", "coded", "score")}
+        return pa.table(columns | {c: pa.array(list(v), k) for c, v, k in zip(("centre", "paths", "asides"), made, kinds, strict=True)})
+
+    out, left, size = [], shapes, ROUND
+    best = Window.partitionBy("host").orderBy(F.desc("score"), "shape")
+    while True:
+        asked = left.select("host", "shape", "coded", "score", F.row_number().over(best).alias("rank")).where(F.col("rank") <= size)
+        centres = asked.groupBy("host").applyInArrow(lead, "host string, place long, coded string")
+        groups = left.groupBy("host").agg((F.sum(F.length("coded")) / MEET + 1).cast("long").alias("groups"))
+        dealt = left.join(groups, "host").withColumn("group", F.expr("pmod(shape, groups)")).drop("groups")
+        told = centres.join(groups, "host").withColumn("group", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups") - 1))).drop("groups")
+        met = dealt.groupBy("host", "group").cogroup(told.groupBy("host", "group")).applyInArrow(meet, _LAID)
+        out.append(store(met, "wrap-layouts"))
+        left, size = out[-1].df.where("centre is null").select("host", "shape", "n", "coded", "score"), min(8 * size, ROUNDS)
+        if left.isEmpty():
+            return out
+
+
+def _texts(pages: DataFrame) -> DataFrame:
+    """host, digest and text of every block."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = [(h, t) for h, page in zip(*(batch.column(c).to_pylist() for c in ("host", "html")), strict=True) for _, t in blocks(parse(page))]
+            columns = [pa.array([h for h, _ in rows], pa.string()), pa.array([_digest(t) for _, t in rows], pa.int64()), pa.array([t for _, t in rows], pa.string())]
+            yield pa.RecordBatch.from_arrays(columns, ["host", "text", "words"])
+
+    return pages.select("host", "html").mapInArrow(run, "host string, text long, words string").distinct()
+
+
+def wrappers(pages: DataFrame, least: int = 4) -> DataFrame:
+    """host and its wrapper as JSON, for hosts where one can be induced, from all of their pages: stored."""
+    different = store(_different(pages), "wrap-pages")
+    counted = different.df.groupBy("host", "shape").agg(F.count(F.lit(1)).alias("n"), F.max("coded").alias("coded"))
+    enough = different.df.groupBy("host").count().where(F.col("count") >= least).select("host")
+    shapes = store(counted.join(enough, "host", "left_semi"), "wrap-shapes")
+    scored = store(_scored(shapes.df), "wrap-scores")
+    rounds = _laid_out(scored.df)
+    laid = rounds[0].df
+    for x in rounds[1:]:
+        laid = laid.union(x.df)
+    laid = laid.where("centre is not null")
+    large = laid.groupBy("host", "centre").agg(F.sum("n").alias("of")).where(F.col("of") >= least).select("host", "centre")
+    node = F.transform("paths", lambda p: F.when(p.isNotNull(), F.xxhash64("host", "centre", p)))
+    laid = laid.join(large, ["host", "centre"], "left_semi").select("host", "shape", "n", "paths", "asides", node.alias("nodes"))
+    each = laid.select("host", "n", F.explode(F.arrays_zip("nodes", "paths", "asides")).alias("x")).select("host", "n", "x.*").where("nodes is not null")
+    nodes = store(each.groupBy("host", F.col("nodes").alias("node"), F.col("paths").alias("path"), "asides").agg(F.sum("n").alias("seen")), "wrap-nodes")
+
+    places = different.df.join(laid.select("host", "shape", "nodes"), ["host", "shape"])
+    places = places.select("ref", F.transform("at", lambda k: F.get("nodes", k)).alias("node"), "text", "chars")
+    items = places.select("ref", F.explode(F.arrays_zip("node", "text", "chars")).alias("x"))
+    times = items.select("ref", "x.*").where("node is not null").groupBy("node", "text").agg(
+        F.count(F.lit(1)).alias("times"), F.sum("chars").alias("chars"), F.min("ref").alias("ref")
+    )
+    constant = (F.col("times") >= least) & (F.col("times") >= TEMPLATE * F.col("seen"))
+    told = times.join(nodes.df.select("node", "seen"), "node").select("node", F.when(constant, F.col("text")).alias("text"), "chars", "ref")
+    told = store(told.groupBy("node", "text").agg(F.sum("chars").alias("chars"), F.min("ref").alias("ref")), "wrap-texts")
+
+    found = told.df.where("text is not null").join(nodes.df, "node").select("host", "path", "text", "ref")
+    hashed = pages.where("host is not null").select("host", "html", F.xxhash64("html").alias("ref"))
+    one = hashed.join(found.select("host", "ref").distinct(), ["host", "ref"], "left_semi").dropDuplicates(["host", "ref"])
+    template = found.join(_texts(one), ["host", "text"]).select("host", "path", "words")
+    vary = told.df.where("text is null").join(nodes.df, "node").select("host", "asides", "chars")
+    all_ = vary.groupBy("host").agg(F.sum("chars").alias("all"))
+    outside = vary.select("host", F.explode("asides").alias("path"), "chars").groupBy("host", "path").agg(F.sum("chars").alias("n"))
+    kept = outside.join(all_, "host").where(2 * F.col("n") > F.col("all")).select("host", "path", F.lit(None).cast("string").alias("words"))
+    hosts = nodes.df.select("host", F.lit(None).cast("string").alias("path"), F.lit(None).cast("string").alias("words")).distinct()
+
+    def run(group):
+        template: dict[str, set[str]] = {}
+        kept = []
+        for path, text in zip(group.column("path").to_pylist(), group.column("words").to_pylist(), strict=True):
+            if text is not None:
+                template.setdefault(path, set()).add(text)
+            elif path is not None:
+                kept.append(path)
+        return pa.table({"host": group.column("host")[:1], "wrapper": pa.array([json.dumps(_wrapper(template, kept))], pa.string())})
+
+    out = store(hosts.union(template).union(kept).groupBy("host").applyInArrow(run, "host string, wrapper string"), "wrap-found")
+    for x in (different, shapes, scored, *rounds, nodes, told):
+        x.drop()
+    return out.df
+
+
+def extract_pages(pages: DataFrame, least: int = 4) -> DataFrame:
     """page_id, url, text and n_chars of every page."""
     host = F.lower(F.regexp_extract("url", r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]+)", 1))
     hosted = pages.select("page_id", "url", "html", F.when(host != "", host).alias("host"))
-    found = wrappers(hosted, sample, least)
+    found = wrappers(hosted, least)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known: dict[str, dict] = {}
