@@ -2,35 +2,70 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from tracegraph.sources import files
 
 CODECS = ("snappy", "lz4_raw", "zstd", "gzip", "none")
 CORE = ("object_id", "ts_us", "location_id")
+#: Values of a property that a row of the split store holds at most, and rows of a Parquet row group: readers unpack a group's arrays at once.
+ROWS_PER_VALUE, ROWS_PER_GROUP = 4096, 128
 
 
 def write_split(edges: DataFrame, path: str, key: Column, props: list[str], codec: str = "snappy") -> None:
-    """One dataset per property keyed by ``row_key``; row order inside a key is by time, the same for all."""
+    """One dataset per property: its values by ``row_key``, ``ROWS_PER_VALUE`` at most in a row; ``row_part`` names a row, the same in all datasets.
+
+    Row order inside a key is by time. Ranges follow the whole order, so a busy key is dealt over several tasks. The rows are
+    sorted and cut once, into ``_rows``; the datasets are its columns.
+    """
     if codec not in CODECS:
         raise ValueError(f"codec {codec!r}: choose one of {CODECS}")
-    keyed = edges.withColumn("row_key", key)
-    rows = F.array_sort(F.collect_list(F.struct("ts_us", "object_id", "location_id", *[c for c in props if c not in CORE])))
-    lists = keyed.groupBy("row_key").agg(rows.alias("r"))
-    for c in dict.fromkeys([*CORE, *props]):
-        out = lists.select("row_key", F.col(f"r.{c}").alias(c))
-        out.write.mode("overwrite").option("compression", codec).parquet(f"{path}/{c}")
+    columns, order = list(dict.fromkeys([*CORE, *props])), ["row_key", "ts_us", "object_id", "location_id"]
+    rows = edges.withColumn("row_key", key).select("row_key", *columns)
+    ranged = rows.repartitionByRange(*order).sortWithinPartitions(*order).select(F.monotonically_increasing_id().alias("row_part"), "*")
+    most = ROWS_PER_VALUE
+
+    def cut(batches):
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            names = batch.column("row_key")
+            new = pc.fill_null(pc.not_equal(names.slice(1), names.slice(0, len(names) - 1)), True).to_numpy(zero_copy_only=False)
+            bounds = np.concatenate([[0], np.flatnonzero(new) + 1, [len(names)]])
+            starts = np.concatenate([np.arange(a, b, most) for a, b in zip(bounds, bounds[1:])])
+            offsets, at = pa.array(np.append(starts, len(names)), pa.int32()), pa.array(starts)
+            lists = [pa.ListArray.from_arrays(offsets, batch.column(c)) for c in columns]
+            yield pa.RecordBatch.from_arrays([names.take(at), batch.column("row_part").take(at), *lists], ["row_key", "row_part", *columns])
+
+    types = {f.name: f.dataType for f in rows.schema}
+    schema = T.StructType([T.StructField("row_key", types["row_key"]), T.StructField("row_part", T.LongType()), *[T.StructField(c, T.ArrayType(types[c])) for c in columns]])
+    options = {"parquet.block.size": 64 << 20, "parquet.block.row.count.limit": ROWS_PER_GROUP}
+    spark, whole = edges.sparkSession, f"{path}/_rows"
+    ranged.mapInArrow(cut, schema).write.mode("overwrite").options(**options).parquet(whole)
+    for c in columns:
+        out = spark.read.schema(schema).parquet(whole).select("row_key", "row_part", c)
+        out.write.mode("overwrite").options(compression=codec, **options).parquet(f"{path}/{c}")
+    files.delete(spark, whole)
 
 
 def read_split(spark: SparkSession, path: str, columns: list[str], keys: Column | None = None) -> DataFrame:
-    """Only the datasets of ``columns`` are read; they are zipped per key."""
+    """Only the datasets of ``columns`` are read; their rows are zipped.
+
+    The join is always by merging: files of repeated values are tiny beside the arrays in them, so their size says nothing of a broadcast's.
+    """
     out = None
     for c in columns:
         part = spark.read.parquet(f"{path}/{c}")
         part = part.where(keys) if keys is not None else part
-        out = part if out is None else out.join(part, "row_key")
-    zipped = F.arrays_zip(*[F.col(c) for c in columns])
-    return out.select("row_key", F.explode(zipped).alias("z")).select("row_key", *[F.col(f"z.{c}") for c in columns])
+        out = part if out is None else out.join(part.drop("row_key").hint("merge"), "row_part")
+    first, *rest = columns
+    at = out.select("row_key", *rest, F.posexplode(first).alias("row_pos", first))
+    return at.select("row_key", *[F.col(c) if c == first else F.col(c)[F.col("row_pos")].alias(c) for c in columns])
 
 
 def write_packed(edges: DataFrame, path: str, key: Column, props: list[str], codec: str = "lz4") -> None:
